@@ -7,10 +7,13 @@
    COORDINATES tokens, then the first COORDINATES - MATCHES + 1 tokens of each, in any common
    order, have one in common: only that prefix is posted. The order puts tokens last that are
    frequent over the table, so hot passages post few classes (their lists are skipped).
-4. Within a posting list, pairs are formed against leaders, not all with all: a list's
-   members of one component need no further pair. Lists of up to SMALL members form all
-   pairs at once; longer ones take a few leaders a round, until every list lies in one
-   component or all its pairs across components were tried.
+4. Posting lists of up to SMALL members form all their pairs. The classes of longer lists are
+   posted once more, under the rarest shingles of their full sets: with |x| - ceil(p |x|) + 1
+   of them a pair of the asked similarity p has one in common, and variants that differ more
+   have only shingles of their own there. Within those lists pairs are formed against
+   leaders, not all with all: a list's members of one component need no further pair. A few
+   leaders are taken a round, until every list lies in one component or all its pairs across
+   components were tried.
 5. A pair's collisions over the whole signatures are counted; pairs under MATCHES go.
 6. The rest is confirmed on full shingle sets: the members' sets stream past their leader's,
    which is repeated for every BLOCK members, so a hot leader is many small groups.
@@ -90,22 +93,26 @@ def sets_table(df: DataFrame, text: str, id_col: str, width: int) -> DataFrame:
     return materialize(map_arrow(rows, run, schema), "near-sets")
 
 
-def frequent_buckets(classes: DataFrame) -> dict[int, int]:
+def frequent_buckets(classes: DataFrame, whole: bool = False) -> dict[int, int]:
     """Token buckets that many classes share, with a coarse level. Any common order of tokens
     gives whole results; this one only keeps lists short, so local counts may be cut: each
-    task reports its heavy buckets, and the heaviest MAX_FREQUENT of all are kept."""
+    task reports its heavy buckets, and the heaviest MAX_FREQUENT of all are kept. whole: of
+    full sets in place of signatures."""
 
     def count(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         local = np.zeros(1 << BUCKET_BITS, np.int64)
         for whole in batches:
             for batch in slices(whole):
-                t = tokens(_signatures(batch.column(0))) >> np.uint64(64 - BUCKET_BITS)
-                local += np.bincount(t.reshape(-1).astype(np.int64), minlength=len(local))
+                if whole:
+                    t = mix64(np.frombuffer(b"".join(batch.column(0).to_pylist()), np.uint64))
+                else:
+                    t = tokens(_signatures(batch.column(0))).reshape(-1)
+                local += np.bincount((t >> np.uint64(64 - BUCKET_BITS)).astype(np.int64), minlength=len(local))
         heavy = np.flatnonzero(local > max(8.0, 4.0 * local.mean()))
         yield pa.record_batch([pa.array(heavy), pa.array(local[heavy])], names=["bucket", "n"])
 
     found = (
-        classes.select("sig")
+        classes.select("shingles" if whole else "sig")
         .mapInArrow(count, "bucket long, n long")
         .groupBy("bucket")
         .agg(F.sum("n").alias("n"))
@@ -144,6 +151,51 @@ def posting_lists(posted: DataFrame) -> DataFrame:
     return materialize(posted.join(lengths, "token"), "near-lists")
 
 
+def fetch_texts(rows: DataFrame, df: DataFrame, text: str, id_col: str) -> DataFrame:
+    """rows (with rep_id, rep_key) and the text of each: a filter of the keys, bounded in size,
+    drops most texts before the join's shuffle."""
+    shared = df.sparkSession.sparkContext.broadcast(key_filter(rows.select("rep_key")))
+
+    def may_be(batch: pa.RecordBatch) -> pa.RecordBatch:
+        kept = pa.array(np.flatnonzero(in_filter(batch.column(1).to_numpy(), shared.value)))
+        return batch.take(kept)
+
+    base = df.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), F.col(text).alias("text"))
+    texts = map_arrow(base, may_be, base.schema)
+    same = F.col("rep_id").eqNullSafe(F.col("doc_id")) & (F.col("rep_key") == F.col("text_key"))
+    return rows.join(texts, same).drop("doc_id", "text_key", "rep_id", "rep_key")
+
+
+def set_lists(wide: DataFrame, classes: DataFrame, df: DataFrame, text: str, id_col: str, width: int, percent: int) -> DataFrame:
+    """Posting lists of the given classes under the prefix of their full shingle sets."""
+    rows = wide.join(classes, "class").select("class", F.col("rep.doc_id").alias("rep_id"), F.col("rep.text_key").alias("rep_key"))
+
+    def to_sets(batch: pa.RecordBatch) -> pa.RecordBatch:
+        sets = [x.tobytes() for x in all_shingles(text_bytes(batch.column(1)), width)]
+        return pa.record_batch([batch.column(0), pa.array(sets, pa.binary())], names=["class", "shingles"])
+
+    fetched = fetch_texts(rows, df, text, id_col).select("class", "text")
+    sets = materialize(map_arrow(fetched, to_sets, "class binary, shingles binary"), "near-full").dropDuplicates(["class"])
+    levels = np.zeros(1 << BUCKET_BITS, np.uint8)
+    for bucket, level in frequent_buckets(sets.select("shingles"), whole=True).items():
+        levels[bucket] = level
+    shared = df.sparkSession.sparkContext.broadcast(levels)  # 1 MB
+
+    def post(batch: pa.RecordBatch) -> pa.RecordBatch:
+        tokens_, who = [], []
+        for i, raw in enumerate(batch.column(1).to_pylist()):
+            t = mix64(np.frombuffer(raw, np.uint64))
+            level = shared.value[(t >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)].astype(np.uint64)
+            n = len(t) - -(-percent * len(t) // 100) + 1
+            chosen = t[np.lexsort((t, level))[:n]]
+            tokens_.append(chosen)
+            who += [i] * len(chosen)
+        flat = np.concatenate(tokens_).view(np.int64)
+        return pa.record_batch([pa.array(flat), batch.column(0).take(pa.array(who, pa.int64()))], names=["token", "class"])
+
+    return posting_lists(map_arrow(sets, post, "token long, class binary"))
+
+
 def small_pairs(lists: DataFrame) -> DataFrame:
     """All pairs of the lists with up to SMALL members."""
     few = lists.where(F.col("members") <= SMALL)
@@ -212,18 +264,7 @@ def confirm(pairs: DataFrame, classes: DataFrame, df: DataFrame, text: str, id_c
         blocked.select(F.col("a").alias("class"), "a", "block", F.lit(0).alias("role")).distinct()
     )
     rows = wanted.join(classes.select("class", F.col("rep.doc_id").alias("rep_id"), F.col("rep.text_key").alias("rep_key")), "class")
-    bloom = key_filter(rows.select("rep_key"))
-    shared = df.sparkSession.sparkContext.broadcast(bloom)  # at most FILTER_BYTES
-
-    def may_be(batch: pa.RecordBatch) -> pa.RecordBatch:
-        kept = pa.array(np.flatnonzero(in_filter(batch.column(1).to_numpy(), shared.value)))
-        return batch.take(kept)
-
-    base = df.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), F.col(text).alias("text"))
-    texts = map_arrow(base, may_be, base.schema)
-    fetched = rows.join(
-        texts, F.col("rep_id").eqNullSafe(F.col("doc_id")) & (F.col("rep_key") == F.col("text_key"))
-    ).select("a", "block", "role", "class", "text")
+    fetched = fetch_texts(rows, df, text, id_col).select("a", "block", "role", "class", "text")
     grouped = fetched.repartition(F.col("a"), F.col("block")).sortWithinPartitions("a", "block", "role", "class")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -342,13 +383,16 @@ def components(df: DataFrame, text: str = "text", id_col: str = "doc_id", width:
     tried: DataFrame | None = None
     links: DataFrame | None = None
     placed: DataFrame | None = None
-    large = lists.where(F.col("members") > SMALL).select("token", "class")
-    has_large = bool(large.take(1))
+    wide = lists.where(F.col("members") > SMALL)
+    has_large = bool(wide.take(1))
+    if has_large:
+        sub = set_lists(wide.select("class").distinct(), classes, df, text, id_col, width, percent)
+        large = sub.where(F.col("members") > SMALL).select("token", "class")
     for round_no in range(ROUNDS + 1):
         if round_no == 0:
             pairs = small_pairs(lists)
             if has_large:
-                pairs = pairs.unionByName(leader_pairs(large, None, 0)[0]).distinct()
+                pairs = pairs.unionByName(small_pairs(sub)).unionByName(leader_pairs(large, None, 0)[0]).distinct()
         elif not has_large:
             break
         elif round_no < ROUNDS:
