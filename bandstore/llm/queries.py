@@ -19,7 +19,7 @@ def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "toxic")
-    grammar = toxicity.train(docs.where(crc_mod("doc_id", 5) != 0).join(labels, "doc_id"))
+    grammar = toxicity.train(docs.where(crc_mod("doc_id", 5) != 0), labels.where(crc_mod("doc_id", 5) != 0))
     rows = docs.withColumn("held_out", crc_mod("doc_id", 5) == 0)
     return toxicity.score(rows, grammar).select("doc_id", "held_out", "score", "predicted", "n_clauses")
 

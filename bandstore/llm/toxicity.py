@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import map_arrow, seeded_hash
+from .common import map_arrow, materialize, seeded_hash
 
 INSULT, THREAT, TARGET, NEGATION, REPORT = "insult", "threat", "target", "negation", "report"
 
@@ -184,7 +184,7 @@ def learn_lexicon(
     labelled: DataFrame, text: str, label: str, max_entries: int = 5000, min_count: int = 4
 ) -> tuple[dict[str, tuple[str, float]], dict[str, tuple[str, float]]]:
     """Words and stems whose texts are labelled 1 far more often than others. Counting is
-    distributed and covers every labelled row given; `max_entries` bounds what is kept."""
+    distributed over the rows given; `max_entries` bounds what is kept."""
     totals = {r[0]: r[1] for r in labelled.groupBy(label).count().collect()}
     ones, zeros = totals.get(1, 0), totals.get(0, 0)
     if not ones or not zeros:
@@ -246,17 +246,28 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2, steps: int =
     return tuple(float(v) for v in w)
 
 
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, id_col: str, max_rows: int, seed: int) -> DataFrame:
+    """Texts of about `max_rows` labelled rows, chosen by a seeded hash of the id. The chosen
+    labels are broadcast: `max_rows` bounds them, and a few sigmas of chance."""
+    known = labels.where(F.col(label).isNotNull() & F.col(id_col).isNotNull()).select(id_col, label)
+    draw = seeded_hash(seed, F.col(id_col).cast("string")) / F.lit(float(1 << 62))
+    chosen = known.where(draw < F.lit(min(1.0, max_rows / max(1, known.count()))))
+    return docs.join(F.broadcast(chosen), id_col)
+
+
 def train(
-    labelled: DataFrame,
+    docs: DataFrame,
+    labels: DataFrame,
     text: str = "text",
     label: str = "toxic",
     id_col: str = "doc_id",
     max_fit_rows: int = 20_000,
     seed: int = 23,
 ) -> Grammar:
-    """Learn the lexicon on all labelled rows, and the logistic layer on a bounded sample of
-    about `max_fit_rows` of them, chosen by a seeded hash of the id."""
-    rows = labelled.where(F.col(label).isNotNull() & F.col(text).isNotNull())
+    """Learn lexicon and logistic layer on a bounded sample of about `max_fit_rows` labelled
+    rows, whose texts are written once to the shared folder."""
+    found = labelled_sample(docs.select(id_col, text), labels, label, id_col, max_fit_rows, seed)
+    rows = materialize(found.where(F.col(text).isNotNull()), "toxic-sample")
     words, stems = learn_lexicon(rows, text, label)
     base = default_grammar()
     merged = {w: e for w, e in base.words.items()}
@@ -267,11 +278,7 @@ def train(
             if w not in merged or merged[w][0] == INSULT:
                 merged[w] = e
     grammar = Grammar(merged, stems)
-    n = rows.count()
-    if not n:
-        return grammar
-    draw = seeded_hash(seed, F.col(id_col).cast("string")) / F.lit(float(1 << 62))
-    sample = rows.where(draw < F.lit(min(1.0, max_fit_rows / n))).select(text, label)
+    sample = rows.select(text, label)
 
     def extract(batch: pa.RecordBatch) -> pa.RecordBatch:
         automaton = grammar.automaton()
