@@ -92,7 +92,9 @@ def edges_anywhere(hi: np.ndarray, m: int, attempt: int, **_) -> np.ndarray:
 
 
 def edges_fuse(hi: np.ndarray, m: int, attempt: int, segments: int = 100, **_) -> np.ndarray:
-    """Three slots in three neighbouring segments of a random window."""
+    """Three slots in three neighbouring segments of a random window; fewer segments for small
+    tables, so that a segment keeps some dozens of slots."""
+    segments = min(segments, max(1, m // 64))
     size = max(1, m // (segments + 2))
     s = _scaled(hi, segments, attempt * 8 + 5)
     return np.stack([(s + i) * size + _scaled(hi, size, attempt * 8 + i) for i in range(3)], axis=1)
@@ -100,7 +102,7 @@ def edges_fuse(hi: np.ndarray, m: int, attempt: int, segments: int = 100, **_) -
 
 def edges_coupled(hi: np.ndarray, m: int, attempt: int, k: int = 4, window: int = 40, **_) -> np.ndarray:
     """k slots within one window of a random position: spatially coupled."""
-    size = max(k, m // window)
+    size = max(min(m, 32 * k), m // window)
     base = _scaled(hi, max(1, m - size), attempt * 16 + 15)
     part = max(1, size // k)
     return np.stack([base + i * part + _scaled(hi, part, attempt * 16 + i) for i in range(k)], axis=1)
@@ -161,7 +163,7 @@ def build_peeling(kind: str, keys: Keys, r: int) -> Slots:
     make, load = PEELING[kind]
     n = len(keys)
     for attempt in range(60):
-        m = int(math.ceil(load * (1 + 0.01 * attempt) * n)) + 96
+        m = int(math.ceil(load * (1 + 0.01 * attempt * (1 + attempt / 8)) * n)) + 96
         m += -m % 3
         edges = make(keys.hi, m, attempt)
         if (rounds := peel(edges, m)) is not None:
