@@ -36,7 +36,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_arrow, materialize, mix64, slices, text_bytes
+from .common import map_arrow, materialize, mix64, release, slices, text_bytes
 from .shingles import all_shingles
 
 COORDINATES, MATCHES = 64, 40
@@ -357,6 +357,7 @@ def connect(links: DataFrame, max_rounds: int = 60) -> DataFrame:
         if n_moved == _digest(edges):
             break
         edges = after
+        release(links.sparkSession)
     else:
         raise RuntimeError("components did not settle")
     node = edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
@@ -380,6 +381,7 @@ def components(df: DataFrame, text: str = "text", id_col: str = "doc_id", width:
         "near-classes",
     )
     lists = posting_lists(postings(classes))
+    release(df.sparkSession)
     tried: DataFrame | None = None
     links: DataFrame | None = None
     placed: DataFrame | None = None
@@ -388,6 +390,7 @@ def components(df: DataFrame, text: str = "text", id_col: str = "doc_id", width:
     if has_large:
         sub = set_lists(wide.select("class").distinct(), classes, df, text, id_col, width, percent)
         large = sub.where(F.col("members") > SMALL).select("token", "class")
+        release(df.sparkSession)
     for round_no in range(ROUNDS + 1):
         if round_no == 0:
             pairs = small_pairs(lists)
@@ -409,6 +412,7 @@ def components(df: DataFrame, text: str = "text", id_col: str = "doc_id", width:
         pairs = materialize(pairs, "near-pairs")
         tried = pairs if tried is None else tried.unionByName(pairs)
         matched = materialize(matching(pairs, classes), "near-matches")
+        release(df.sparkSession)
         if matched.take(1):
             new = confirm(matched, classes, df, text, id_col, width, percent)
             links = new if links is None else links.unionByName(new)

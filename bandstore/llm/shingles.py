@@ -71,7 +71,7 @@ def shingle_hashes(texts: list[bytes], width: int = 3) -> list[np.ndarray]:
     return out
 
 
-def grouped(texts: list[bytes], limit: int = 2 << 20):
+def grouped(texts: list[bytes], limit: int = 1 << 19):
     """Runs of texts of about `limit` bytes; a longer text goes alone."""
     run: list[bytes] = []
     size = 0
