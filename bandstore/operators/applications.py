@@ -72,7 +72,6 @@ def place(cells: np.ndarray, n_cells: int, seed: int = 1, max_steps: int = 200)
 def build_perfect_hash(df: DataFrame, cols: list[str], shard_keys: int = 1 << 16, **options) -> PerfectHash:
     """Shards of about shard_keys keys, each on LOAD times as many cells; a shard without a
     placement tries more cells. One shuffle; then the choices become a static function."""
-    spark = df.sparkSession
     keys = hashing.with_digest(df.select(*cols), cols).where(F.col("hi").isNotNull()).select("hi", "lo").distinct()
     n_shards = band.n_shards_for(keys.count(), shard_keys)
     dealt = keys.select(hashing.shard_column(F.col("hi"), n_shards).alias("shard"), "hi", "lo", F.lit(0).cast("long").alias("value"))
@@ -96,7 +95,6 @@ def build_perfect_hash(df: DataFrame, cols: list[str], shard_keys: int = 1 << 16
     # A row for each shard: prefix sums over the shards' sizes.
     before = F.sum("n_cells").over(W.partitionBy(F.lit(0)).orderBy("shard").rowsBetween(W.unboundedPreceding, -1))
     sizes = per_shard.withColumn("base", F.coalesce(before, F.lit(0)).cast("long"))
-    del spark
     return PerfectHash(choice, sizes, cols, n_shards)
 
 
@@ -115,7 +113,7 @@ def perfect_hash(ph: PerfectHash, df: DataFrame, out: str = "id") -> DataFrame:
     keyed = hashing.with_digest(got, ph.cols, "xx128", 1, "_hi", "_lo")
     keyed = keyed.withColumn("_shard", hashing.shard_column(F.col("_hi"), ph.n_shards))
     joined = keyed.join(F.broadcast(ph.sizes.withColumnRenamed("shard", "_shard")), "_shard", "left")  # a row per shard
-    round_no = F.lit(1000 * 0 + 5000) + F.col("attempt") * CANDIDATES + F.col("_choice")
+    round_no = F.lit(5000) + F.col("attempt") * CANDIDATES + F.col("_choice")
     h = F.shiftrightunsigned(hashing.remix_column(F.col("_hi"), round_no), 32)
     cell = F.shiftrightunsigned(h * F.col("n_cells"), 32)
     return joined.withColumn(out, F.col("base") + cell).drop("_choice", "_hi", "_lo", "_shard", "n_cells", "attempt", "base")
@@ -248,11 +246,11 @@ def ngram_probe(docs: DataFrame, benchmark: DataFrame, n: int = 8, r: int = 12)
     through a filter over the items' n-grams, and what passes is joined exactly."""
 
     def grams(df: DataFrame, id_col: str) -> DataFrame:
-        words = F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "")
-        count = F.size(words) - n + 1
+        split = df.select(id_col, F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "").alias("words"))
+        count = F.size("words") - n + 1
         at = F.when(count > 0, F.sequence(F.lit(1), count)).otherwise(F.array().cast("array<int>"))
-        text = F.transform(at, lambda i: F.array_join(F.slice(words, i, n), " "))
-        return df.select(id_col, F.explode(F.array_distinct(text)).alias("gram"))
+        text = F.transform(at, lambda i: F.array_join(F.slice("words", i, n), " "))
+        return split.select(id_col, F.explode(F.array_distinct(text)).alias("gram"))
 
     items = grams(benchmark, "item_id")
     f = band.build(items, ["gram"], kind="zero", r=r)
