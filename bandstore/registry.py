@@ -576,9 +576,10 @@ def _report(spark) -> DataFrame:
     )
 
 
-@query(f"""SELECT name, w, count(*) AS n, CAST(min(overhead) AS DOUBLE) AS best FROM (VALUES {REPORT}) t(name, w, r, overhead, ns) GROUP BY CUBE (name, w)""")
+@query(f"""SELECT coalesce(name, '*') AS name, coalesce(CAST(w AS INT), -1) AS w, count(*) AS n, CAST(min(overhead) AS DOUBLE) AS best FROM (VALUES {REPORT}) t(name, w, r, overhead, ns) GROUP BY CUBE (t.name, t.w)""")
 def report_cube(spark, sf):
-    return _report(spark).cube("name", "w").agg(F.count(F.lit(1)).alias("n"), F.min("overhead").alias("best"))
+    cube = _report(spark).cube("name", "w").agg(F.count(F.lit(1)).alias("n"), F.min("overhead").alias("best"))
+    return cube.withColumns({"name": F.coalesce("name", F.lit("*")), "w": F.coalesce("w", F.lit(-1))})
 
 
 @query(
