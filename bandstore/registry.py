@@ -18,7 +18,7 @@ from .functions import hashing
 from .operators import applications as apps
 from .operators import baselines, build, kernel, lookup, solve
 from .params import BandParams
-from .plans import metrics
+from .plans import metrics, sql_functions, versions
 from .sources.store import load
 from .streaming import probes
 
@@ -680,6 +680,36 @@ def contamination_probe(spark, sf):
     return apps.ngram_probe(load(spark, sf, "documents", "doc_id", "text"), load(spark, sf, "benchmark", "item_id", "text"))
 
 
+# ---- SQL surface and versions -----------------------------------------------------------------------------
+
+
+@query(ORDERS_SQL)
+def sql_function(spark, sf):
+    """The function called from SQL."""
+    df = orders(spark, sf)
+    sql_functions.register(spark, "band_code", build.build(df, ["o_orderkey"], "code", r=3))
+    df.createOrReplaceTempView("band_orders")
+    hi, lo = sql_functions.digest_sql(1, "o_orderkey")
+    return spark.sql(f"SELECT o_orderkey, band_code({hi}, {lo}) AS code FROM band_orders")
+
+
+@query("SELECT count(*) AS n FROM orders")
+def sql_table_function(spark, sf):
+    sql_functions.register(spark, "band_layers_of", build.build(orders(spark, sf), ["o_orderkey"], "code", r=3, n_shards=4))
+    return spark.sql("SELECT sum(n_in - n_bumped) AS n FROM band_layers_of_layers()")
+
+
+@query(
+    """WITH v AS (SELECT ts, min(event_id) AS version FROM events WHERE event_type = 'purchase' GROUP BY ts)
+    SELECT e.event_id, coalesce(v.version, -1) AS version FROM events e ASOF LEFT JOIN v ON e.ts >= v.ts"""
+)
+def version_as_of(spark, sf):
+    """The structure version that holds at each event: versions are purchases, by their time."""
+    events = load(spark, sf, "events", "event_id", "ts", "event_type").withColumn("ts", F.col("ts").cast("timestamp"))
+    made = events.where("event_type = 'purchase'").groupBy("ts").agg(F.min("event_id").alias("version"))
+    return versions.as_of(events.select("event_id", "ts"), made, "ts", "version").select("event_id", F.coalesce("version", F.lit(-1).cast("long")).alias("version"))
+
+
 # ---- streams -----------------------------------------------------------------------------------------------
 
 
