@@ -7,14 +7,16 @@
    COORDINATES tokens, then the first COORDINATES - MATCHES + 1 tokens of each, in any common
    order, have one in common: only that prefix is posted. The order puts tokens last that are
    frequent over the table, so hot passages post few classes (their lists are skipped).
-4. Posting lists of up to SMALL members form all their pairs. The classes of longer lists are
-   posted once more, under the rarest shingles of their full sets: with |x| - ceil(p |x|) + 1
-   of them a pair of the asked similarity p has one in common, and variants that differ more
-   have only shingles of their own there. Within those lists pairs are formed against
-   leaders, not all with all: a list's members of one component need no further pair. A few
-   leaders are taken a round, until every list lies in one component or all its pairs across
-   components were tried.
-5. A pair's collisions over the whole signatures are counted; pairs under MATCHES go.
+4. The classes of lists with more than SMALL members are posted once more, under the rarest
+   shingles of their full sets: with |x| - ceil(p |x|) + 1 of them a pair of the asked
+   similarity p has one in common, and variants that differ more have only shingles of their
+   own there.
+5. A list's classes are compared where they meet, by parity sketches: the bits in which two
+   sketches differ are no more than the shingles in which their sets differ, so dropping a
+   pair with too many loses no link, and only likely pairs are written. Lists of over HOT
+   members first link to a few leaders; then what lies outside a list's largest component is
+   compared with all of it, in groups of two blocks of BLOCK members, however long the list.
+   A pair's collisions over the whole signatures are counted; pairs under MATCHES go.
 6. The rest is confirmed on full shingle sets: the members' sets stream past their leader's,
    which is repeated for every BLOCK members, so a hot leader is many small groups.
 7. Confirmed links join components by alternating large-star and small-star rounds.
@@ -29,18 +31,19 @@ only if it has no other row (then component_id is null).
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_arrow, materialize, mix64, release, slices, text_bytes
+from .common import map_arrow, materialize, mix64, release, slices, small_batches, text_bytes
 from .shingles import all_shingles
 
 COORDINATES, MATCHES = 64, 40
-SMALL, LEADERS, ROUNDS, BLOCK = 16, 4, 3, 256
+SMALL, HOT, LEADERS, BLOCK = 16, 256, 4, 256
+SKETCH_BITS = 512
 BUCKET_BITS, MAX_FREQUENT = 20, 1 << 16
 
 _MULTIPLIERS = mix64(np.arange(1, COORDINATES + 1, dtype=np.uint64) * np.uint64(0xA24BAED4963EE407)) | np.uint64(1)
@@ -69,51 +72,68 @@ def tokens(signatures: np.ndarray) -> np.ndarray:
     return mix64(signatures.astype(np.uint64) | keys[None, :])
 
 
+def sketch(shingles: np.ndarray) -> bytes:
+    """Parities of the numbers of shingles in SKETCH_BITS hash classes."""
+    at = mix64(shingles ^ np.uint64(0x452821E638D01377)) % np.uint64(SKETCH_BITS)
+    return np.packbits((np.bincount(at.astype(np.int64), minlength=SKETCH_BITS) & 1).astype(bool)).tobytes()
+
+
+def may_link(x: np.ndarray, y: np.ndarray, n_x: np.ndarray, n_y: np.ndarray, percent: int) -> np.ndarray:
+    """Whether sets with these sketches and sizes can be as similar as asked. Sets that differ
+    in d shingles are if d (100 + percent) <= (100 - percent) (n_x + n_y)."""
+    differ = np.maximum(np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64), np.abs(n_x - n_y))
+    return differ * (100 + percent) <= (100 - percent) * (n_x + n_y)
+
+
+def _sketches(column: pa.Array) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint64).reshape(-1, SKETCH_BITS // 64)
+
+
 def _signatures(column: pa.Array) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), np.uint32).reshape(-1, COORDINATES)
 
 
 def sets_table(df: DataFrame, text: str, id_col: str, width: int) -> DataFrame:
-    """(doc_id, text_key, n_shingles, class, sig) of every row; class and sig null for an
+    """(doc_id, text_key, n_shingles, class, sig, odd) of every row; the last three null for an
     empty set. Written to the shared folder, without texts."""
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        n, keys, sigs = [], [], []
+        n, keys, sigs, odd = [], [], [], []
         for s in all_shingles(text_bytes(batch.column(2)), width):
             n.append(len(s))
             keys.append(set_key(s) if len(s) else None)
             sigs.append(signature(s).tobytes() if len(s) else None)
+            odd.append(sketch(s) if len(s) else None)
         return pa.record_batch(
-            [batch.column(0), batch.column(1), pa.array(n, pa.int64()), pa.array(keys, pa.binary()), pa.array(sigs, pa.binary())],
-            names=["doc_id", "text_key", "n_shingles", "class", "sig"],
+            [batch.column(0), batch.column(1), pa.array(n, pa.int64()), *(pa.array(x, pa.binary()) for x in (keys, sigs, odd))],
+            names=["doc_id", "text_key", "n_shingles", "class", "sig", "odd"],
         )
 
     rows = df.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), F.col(text).alias("text"))
-    schema = "doc_id long, text_key long, n_shingles long, class binary, sig binary"
+    schema = "doc_id long, text_key long, n_shingles long, class binary, sig binary, odd binary"
     return materialize(map_arrow(rows, run, schema), "near-sets")
 
 
-def frequent_buckets(classes: DataFrame, whole: bool = False) -> dict[int, int]:
-    """Token buckets that many classes share, with a coarse level. Any common order of tokens
+def frequent_buckets(rows: DataFrame, tokens_of: Callable[[pa.RecordBatch], Iterable[np.ndarray]]) -> dict[int, int]:
+    """Token buckets that many rows share, with a coarse level. Any common order of tokens
     gives whole results; this one only keeps lists short, so local counts may be cut: each
-    task reports its heavy buckets, and the heaviest MAX_FREQUENT of all are kept. whole: of
-    full sets in place of signatures."""
+    task reports its heavy buckets, and the heaviest MAX_FREQUENT of all are kept."""
 
     def count(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         local = np.zeros(1 << BUCKET_BITS, np.int64)
         for whole in batches:
             for batch in slices(whole):
-                if whole:
-                    t = mix64(np.frombuffer(b"".join(batch.column(0).to_pylist()), np.uint64))
-                else:
-                    t = tokens(_signatures(batch.column(0))).reshape(-1)
-                local += np.bincount((t >> np.uint64(64 - BUCKET_BITS)).astype(np.int64), minlength=len(local))
+                waiting: list[np.ndarray] = []
+                for t in tokens_of(batch):
+                    waiting.append((t.reshape(-1) >> np.uint64(64 - BUCKET_BITS)).astype(np.int64))
+                if waiting:
+                    at, n = np.unique(np.concatenate(waiting), return_counts=True)
+                    local[at] += n
         heavy = np.flatnonzero(local > max(8.0, 4.0 * local.mean()))
         yield pa.record_batch([pa.array(heavy), pa.array(local[heavy])], names=["bucket", "n"])
 
     found = (
-        classes.select("shingles" if whole else "sig")
-        .mapInArrow(count, "bucket long, n long")
+        rows.mapInArrow(count, "bucket long, n long")
         .groupBy("bucket")
         .agg(F.sum("n").alias("n"))
         .orderBy(F.desc("n"), "bucket")
@@ -126,7 +146,7 @@ def frequent_buckets(classes: DataFrame, whole: bool = False) -> dict[int, int]:
 def postings(classes: DataFrame) -> DataFrame:
     """(token, class): the prefix of each class in the common order."""
     levels = np.zeros(1 << BUCKET_BITS, np.uint8)
-    for bucket, level in frequent_buckets(classes).items():
+    for bucket, level in frequent_buckets(classes.select("sig"), lambda batch: [tokens(_signatures(batch.column(0)))]).items():
         levels[bucket] = level
     shared = classes.sparkSession.sparkContext.broadcast(levels)  # 1 MB
     prefix = COORDINATES - MATCHES + 1
@@ -146,9 +166,11 @@ def postings(classes: DataFrame) -> DataFrame:
 
 
 def posting_lists(posted: DataFrame) -> DataFrame:
-    """Postings of lists with two classes or more, with the list's length."""
-    lengths = posted.groupBy("token").agg(F.count(F.lit(1)).alias("members")).where(F.col("members") > 1)
-    return materialize(posted.join(lengths, "token"), "near-lists")
+    """Postings of lists with two classes or more, with the list's length. Both sides of the
+    join read one exchange."""
+    dealt = posted.repartition("token")
+    lengths = dealt.groupBy("token").agg(F.count(F.lit(1)).alias("members")).where(F.col("members") > 1)
+    return materialize(dealt.join(lengths.hint("merge"), "token"), "near-lists")
 
 
 def fetch_texts(rows: DataFrame, df: DataFrame, text: str, id_col: str) -> DataFrame:
@@ -167,72 +189,136 @@ def fetch_texts(rows: DataFrame, df: DataFrame, text: str, id_col: str) -> DataF
 
 
 def set_lists(wide: DataFrame, classes: DataFrame, df: DataFrame, text: str, id_col: str, width: int, percent: int) -> DataFrame:
-    """Posting lists of the given classes under the prefix of their full shingle sets."""
-    rows = wide.join(classes, "class").select("class", F.col("rep.doc_id").alias("rep_id"), F.col("rep.text_key").alias("rep_key"))
+    """Posting lists of the given classes under the prefix of their full shingle sets. Sets are
+    made from the texts where they are read, once to count and once to post; only prefixes are
+    shuffled."""
+    rows = materialize(
+        wide.join(classes, "class").select("class", F.col("rep.doc_id").alias("rep_id"), F.col("rep.text_key").alias("rep_key")),
+        "near-wide",
+    )
+    known = df.sparkSession.sparkContext.broadcast(key_filter(rows.select("rep_key")))
+    base = df.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), F.col(text).alias("text"))
 
-    def to_sets(batch: pa.RecordBatch) -> pa.RecordBatch:
-        sets = [x.tobytes() for x in all_shingles(text_bytes(batch.column(1)), width)]
-        return pa.record_batch([batch.column(0), pa.array(sets, pa.binary())], names=["class", "shingles"])
+    def to_sets(batch: pa.RecordBatch) -> tuple[pa.RecordBatch, Iterator[np.ndarray]]:
+        kept = batch.take(pa.array(np.flatnonzero(in_filter(batch.column(1).to_numpy(), known.value))))
+        return kept, all_shingles(text_bytes(kept.column(2)), width)
 
-    fetched = fetch_texts(rows, df, text, id_col).select("class", "text")
-    sets = materialize(map_arrow(fetched, to_sets, "class binary, shingles binary"), "near-full").dropDuplicates(["class"])
     levels = np.zeros(1 << BUCKET_BITS, np.uint8)
-    for bucket, level in frequent_buckets(sets.select("shingles"), whole=True).items():
+    for bucket, level in frequent_buckets(base, lambda batch: (mix64(s) for s in to_sets(batch)[1])).items():
         levels[bucket] = level
     shared = df.sparkSession.sparkContext.broadcast(levels)  # 1 MB
 
-    def post(batch: pa.RecordBatch) -> pa.RecordBatch:
-        tokens_, who = [], []
-        for i, raw in enumerate(batch.column(1).to_pylist()):
-            t = mix64(np.frombuffer(raw, np.uint64))
-            level = shared.value[(t >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)].astype(np.uint64)
+    def prefixes(batch: pa.RecordBatch) -> pa.RecordBatch:
+        kept, sets = to_sets(batch)
+        out = []
+        for s in sets:
+            t = mix64(s)
+            level = shared.value[(t >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)]
             n = len(t) - -(-percent * len(t) // 100) + 1
-            chosen = t[np.lexsort((t, level))[:n]]
-            tokens_.append(chosen)
-            who += [i] * len(chosen)
-        flat = np.concatenate(tokens_).view(np.int64)
-        return pa.record_batch([pa.array(flat), batch.column(0).take(pa.array(who, pa.int64()))], names=["token", "class"])
-
-    return posting_lists(map_arrow(sets, post, "token long, class binary"))
-
-
-def small_pairs(lists: DataFrame) -> DataFrame:
-    """All pairs of the lists with up to SMALL members."""
-    few = lists.where(F.col("members") <= SMALL)
-    a = few.select("token", F.col("class").alias("a"))
-    b = few.select("token", F.col("class").alias("b"))
-    return a.join(b, "token").where(F.col("a") < F.col("b")).select("a", "b").distinct()
-
-
-def leader_pairs(large: DataFrame, components: DataFrame | None, round_no: int) -> tuple[DataFrame, DataFrame]:
-    """Pairs of this round's leaders of each long list with the members of other components;
-    and the lists that are still open. Leaders go by a seeded hash, the same in all lists."""
-    order = F.struct(F.xxhash64(F.lit(round_no), "class").alias("h"), F.col("class").alias("class"))
-    if components is None:
-        placed = large.withColumn("component", F.col("class"))
-        open_lists = placed
-    else:
-        placed = with_component(large, components)
-        spread = placed.groupBy("token").agg(
-            F.min("component").alias("lo"), F.max("component").alias("hi")
-        ).where(F.col("lo") < F.col("hi")).select("token")
-        open_lists = placed.join(spread, "token", "left_semi")
-    heads = _least(open_lists, order)
-    pairs = (
-        open_lists.join(heads, "token")
-        .where((F.col("class") != F.col("leader")) & (F.col("component") != F.col("leader_component")))
+            out.append(t[np.lexsort((t, level))[:n]].tobytes())
+        return pa.record_batch([kept.column(0), kept.column(1), pa.array(out, pa.binary())], names=["doc_id", "text_key", "prefix"])
+
+    made = map_arrow(base, prefixes, "doc_id long, text_key long, prefix binary")
+    same = F.col("rep_id").eqNullSafe(F.col("doc_id")) & (F.col("rep_key") == F.col("text_key"))
+    found = materialize(made.join(rows, same).select("class", "prefix").dropDuplicates(["class"]), "near-prefixes")
+
+    def post(batch: pa.RecordBatch) -> pa.RecordBatch:
+        raw = batch.column(1).to_pylist()
+        who = np.repeat(np.arange(len(raw)), [len(x) // 8 for x in raw])
+        return pa.record_batch(
+            [pa.array(np.frombuffer(b"".join(raw), np.int64)), batch.column(0).take(pa.array(who))], names=["token", "class"]
+        )
+
+    return posting_lists(map_arrow(found, post, "token long, class binary"))
+
+
+def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of the same group whose sketches allow a link. grouped: (token, class), and
+    (block, component) where groups are blocks of a list; pairs of one component are left out.
+    A group has up to max(HOT, 2 BLOCK) members and goes to one task in sorted order."""
+    by_block = "block" in grouped.columns
+    keys = ["token", "block"] if by_block else ["token"]
+    rows = grouped.join(classes.select("class", "n_shingles", "odd"), "class")
+    extra = ["component"] if by_block else []
+    dealt = rows.select(*keys, "class", "n_shingles", "odd", *extra).repartition(*keys).sortWithinPartitions(*keys)
+
+    def compare(table: pa.Table) -> pa.RecordBatch | None:
+        n = table.num_rows
+        edge = np.zeros(n, bool)
+        edge[0] = True
+        for name in keys:
+            column = table.column(name).to_numpy()
+            edge[1:] |= column[1:] != column[:-1]
+        starts = np.flatnonzero(edge)
+        ends = np.repeat(np.append(starts[1:], n), np.diff(np.append(starts, n)))
+        partners = ends - np.arange(n) - 1
+        sizes = table.column("n_shingles").to_numpy()
+        sketches = _sketches(table.column("odd").combine_chunks())
+        names = table.column("class").to_pylist()
+        own = table.column("component").to_pylist() if by_block else None
+        upto = np.cumsum(partners)
+        out_a, out_b, at = [], [], 0
+        while at < n:  # rows with about PAIRS_AT_ONCE pairs
+            past = upto[at - 1] if at else 0
+            to = max(at + 1, int(np.searchsorted(upto, past + PAIRS_AT_ONCE, "right")))
+            count = partners[at:to]
+            left = np.repeat(np.arange(at, to), count)
+            right = left + 1 + np.arange(len(left)) - np.repeat(np.cumsum(count) - count, count)
+            kept = may_link(sketches[left], sketches[right], sizes[left], sizes[right], percent)
+            for i, j in zip(left[kept].tolist(), right[kept].tolist(), strict=True):
+                if own is None or own[i] != own[j]:
+                    out_a.append(min(names[i], names[j]))
+                    out_b.append(max(names[i], names[j]))
+            at = to
+        if not out_a:
+            return None
+        return pa.record_batch([pa.array(out_a, pa.binary()), pa.array(out_b, pa.binary())], names=["a", "b"])
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        open_rows: pa.Table | None = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            table = pa.Table.from_batches([batch])
+            if open_rows is not None:
+                table = pa.concat_tables([open_rows, table])
+            last = np.ones(table.num_rows, bool)  # rows of the group that the next batch may go on with
+            for name in keys:
+                column = table.column(name).to_numpy()
+                last &= column == column[-1]
+            cut = int(np.argmax(last))
+            open_rows = table.slice(cut)
+            if cut and (found := compare(table.slice(0, cut))) is not None:
+                yield found
+        if open_rows is not None and (found := compare(open_rows)) is not None:
+            yield found
+
+    small_batches(grouped.sparkSession)
+    return dealt.mapInArrow(run, "a binary, b binary").where("a < b").distinct()
+
+
+PAIRS_AT_ONCE = 1 << 15
+
+
+def leader_pairs(hot: DataFrame) -> DataFrame:
+    """Pairs of the leaders of each list with its members. Leaders go by a seeded hash, the
+    same in all lists."""
+    heads = _least(hot, F.struct(F.xxhash64(F.lit(0), "class").alias("h"), F.col("class").alias("class")))
+    return (
+        hot.select("token", "class")
+        .join(heads, "token")
+        .where(F.col("class") != F.col("leader"))
         .select(F.least("leader", "class").alias("a"), F.greatest("leader", "class").alias("b"))
         .distinct()
     )
-    return pairs, open_lists
 
 
 def _least(lists: DataFrame, order) -> DataFrame:
     """LEADERS members of each list: the least by `order` of each of LEADERS hash classes, so
     plain minima with partial aggregation find them."""
     part = F.pmod(F.xxhash64(F.lit(977), "class"), F.lit(LEADERS)).alias("part")
-    picked = lists.groupBy("token", part).agg(F.min(F.struct(order.alias("o"), F.col("component").alias("c"))).alias("m"))
-    return picked.select("token", F.col("m.o.class").alias("leader"), F.col("m.c").alias("leader_component"))
+    picked = lists.groupBy("token", part).agg(F.min(order).alias("o"))
+    return picked.select("token", F.col("o.class").alias("leader"))
 
 
 def with_component(rows: DataFrame, components: DataFrame) -> DataFrame:
@@ -240,15 +326,18 @@ def with_component(rows: DataFrame, components: DataFrame) -> DataFrame:
     return joined.withColumn("component", F.coalesce("component", "class"))
 
 
-def matching(pairs: DataFrame, classes: DataFrame) -> DataFrame:
-    """Pairs that agree on MATCHES coordinates or more."""
-    left = classes.select(F.col("class").alias("a"), F.col("sig").alias("sig_a"))
-    right = classes.select(F.col("class").alias("b"), F.col("sig").alias("sig_b"))
-    both = pairs.join(left, "a").join(right, "b").select("a", "b", "sig_a", "sig_b")
+def matching(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """Pairs that agree on MATCHES coordinates or more and whose sketches allow a link."""
+    left, right = (
+        classes.select(F.col("class").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("sig", "odd", "n_shingles"))) for x in "ab"
+    )
+    both = pairs.join(left, "a").join(right, "b").select("a", "b", *(f"{c}_{x}" for c in ("sig", "odd", "n_shingles") for x in "ab"))
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        n = (_signatures(batch.column(2)) == _signatures(batch.column(3))).sum(axis=1)
-        kept = pa.array(np.flatnonzero(n >= MATCHES))
+        collisions = (_signatures(batch.column(2)) == _signatures(batch.column(3))).sum(axis=1)
+        sizes = batch.column(6).to_numpy(), batch.column(7).to_numpy()
+        near = may_link(_sketches(batch.column(4)), _sketches(batch.column(5)), *sizes, percent)
+        kept = pa.array(np.flatnonzero((collisions >= MATCHES) & near))
         return pa.record_batch([batch.column(0).take(kept), batch.column(1).take(kept)], names=["a", "b"])
 
     return map_arrow(both, run, "a binary, b binary")
@@ -377,54 +466,37 @@ def components(df: DataFrame, text: str = "text", id_col: str = "doc_id", width:
     classes = materialize(
         rows.where(F.col("class").isNotNull())
         .groupBy("class")
-        .agg(F.min(F.struct("doc_id", "text_key")).alias("rep"), F.min("sig").alias("sig")),
+        .agg(F.min(F.struct("doc_id", "text_key")).alias("rep"), *(F.min(c).alias(c) for c in ("sig", "odd", "n_shingles"))),
         "near-classes",
     )
     lists = posting_lists(postings(classes))
     release(df.sparkSession)
-    tried: DataFrame | None = None
-    links: DataFrame | None = None
-    placed: DataFrame | None = None
+    met = lists.where(F.col("members") <= SMALL).select("token", "class")
     wide = lists.where(F.col("members") > SMALL)
-    has_large = bool(wide.take(1))
-    if has_large:
+    hot: DataFrame | None = None
+    if wide.take(1):
         sub = set_lists(wide.select("class").distinct(), classes, df, text, id_col, width, percent)
-        large = sub.where(F.col("members") > SMALL).select("token", "class")
+        met = met.unionByName(sub.where(F.col("members") <= HOT).select("token", "class"))
+        hot = sub.where(F.col("members") > HOT)
         release(df.sparkSession)
-    for round_no in range(ROUNDS + 1):
-        if round_no == 0:
-            pairs = small_pairs(lists)
-            if has_large:
-                pairs = pairs.unionByName(small_pairs(sub)).unionByName(leader_pairs(large, None, 0)[0]).distinct()
-        elif not has_large:
-            break
-        elif round_no < ROUNDS:
-            pairs, still = leader_pairs(large, placed, round_no)
-            large = materialize(still.select("token", "class"), "near-open")
-            has_large = bool(large.take(1))
-            if not has_large:
-                break
-            pairs = leader_pairs(large, placed, round_no)[0]
-        else:
-            pairs = remaining_pairs(large, placed)
-        if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        pairs = materialize(pairs, "near-pairs")
-        tried = pairs if tried is None else tried.unionByName(pairs)
-        matched = materialize(matching(pairs, classes), "near-matches")
+        if not hot.take(1):
+            hot = None
+    pairs = likely_pairs(met, classes, percent)
+    if hot is not None:
+        pairs = pairs.unionByName(leader_pairs(hot)).distinct()
+    none = df.sparkSession.createDataFrame([], "node binary, component binary")
+    links, placed = linked(pairs, None, classes, df, text, id_col, width, percent)
+    if hot is not None:
         release(df.sparkSession)
-        if matched.take(1):
-            new = confirm(matched, classes, df, text, id_col, width, percent)
-            links = new if links is None else links.unionByName(new)
-            placed = materialize(connect(links), "near-components")
-        if placed is None:
-            placed = df.sparkSession.createDataFrame([], "node binary, component binary")
+        blocks = open_blocks(hot.select("token", "class"), none if placed is None else placed)
+        found, joined = linked(likely_pairs(blocks, classes, percent), links, classes, df, text, id_col, width, percent)
+        placed = joined if found is not None else placed
     if placed is None:
-        placed = df.sparkSession.createDataFrame([], "node binary, component binary")
+        placed = none
     labelled = with_component(classes.select("class", F.col("rep.doc_id").alias("least")), placed)
     least = labelled.groupBy("component").agg(F.min("least").alias("component_id"))
     of_class = labelled.join(least, "component").select("class", "component_id")
-    out = rows.drop("sig").join(of_class, "class", "left")
+    out = rows.drop("sig", "odd").join(of_class, "class", "left")
     alone = F.col("class").isNull()
     component_id = F.when(alone, F.col("doc_id")).otherwise(F.col("component_id"))
     return out.select(
@@ -436,13 +508,41 @@ def components(df: DataFrame, text: str = "text", id_col: str = "doc_id", width:
     )
 
 
-def remaining_pairs(large: DataFrame, placed: DataFrame) -> DataFrame:
-    """All pairs across components of the lists that the rounds left open; the exact end of
-    the search, after leaders have joined what is alike."""
-    at = with_component(large, placed)
-    left = at.select("token", F.col("class").alias("a"), F.col("component").alias("ca"))
-    right = at.select("token", F.col("class").alias("b"), F.col("component").alias("cb"))
-    return left.join(right, "token").where("a < b and ca <> cb").select("a", "b").distinct()
+def linked(
+    pairs: DataFrame, links: DataFrame | None, classes: DataFrame, df: DataFrame, text: str, id_col: str, width: int, percent: int
+) -> tuple[DataFrame | None, DataFrame | None]:
+    """The links so far with those of the pairs that are confirmed, and their components."""
+    matched = materialize(matching(pairs, classes, percent), "near-matches")
+    release(df.sparkSession)
+    if not matched.take(1):
+        return links, None if links is None else materialize(connect(links), "near-components")
+    new = confirm(matched, classes, df, text, id_col, width, percent)
+    links = new if links is None else links.unionByName(new)
+    return links, materialize(connect(links), "near-components")
+
+
+def open_blocks(hot: DataFrame, placed: DataFrame) -> DataFrame:
+    """(token, block, class, component): the groups in which the members outside a list's
+    largest component meet all others. Lists within one component are closed. Members are cut
+    into blocks by a hash, those of the largest component (side 1) and the rest (side 0) for
+    themselves; a group holds two blocks of which one at least has side 0."""
+    at = materialize(with_component(hot, placed).select("token", "class", "component"), "near-open")
+    counts = at.groupBy("token", "component").agg(F.count(F.lit(1)).alias("n"))
+    tops = counts.groupBy("token").agg(F.max(F.struct("n", "component")).alias("top"), F.sum("n").alias("all"))
+    lists = tops.where(F.col("top.n") < F.col("all")).select(
+        "token",
+        F.col("top.component").alias("largest"),
+        F.ceil(2 * (F.col("all") - F.col("top.n")) / BLOCK).cast("int").alias("rest_blocks"),
+        F.ceil(2 * F.col("top.n") / BLOCK).cast("int").alias("top_blocks"),
+    )  # blocks of BLOCK / 2 members on average, as a hash deals them
+    rows = at.join(lists, "token").withColumn("side", (F.col("component") == F.col("largest")).cast("int"))
+    own = F.pmod(F.xxhash64(F.lit(31), "class"), F.when(F.col("side") == 1, F.col("top_blocks")).otherwise(F.col("rest_blocks")))
+    rows = rows.withColumn("own", F.when(F.col("side") == 1, F.col("rest_blocks")).otherwise(0) + own)
+    rest = F.sequence(F.lit(0), F.col("rest_blocks") - 1)
+    every = F.sequence(F.lit(0), F.col("rest_blocks") + F.col("top_blocks") - 1)
+    partners = rows.withColumn("other", F.explode(F.when(F.col("side") == 1, rest).otherwise(every)))
+    group = (F.least("own", "other").cast("long") * (F.col("rest_blocks") + F.col("top_blocks")) + F.greatest("own", "other")).alias("block")
+    return partners.select("token", group, "class", "component")
 
 
 def drop_near_duplicates(df: DataFrame, text: str = "text", id_col: str = "doc_id", width: int = 5, percent: int = 80) -> DataFrame:
