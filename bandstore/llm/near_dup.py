@@ -328,6 +328,16 @@ def with_component(rows: DataFrame, components: DataFrame) -> DataFrame:
 
 def matching(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     """Pairs that agree on MATCHES coordinates or more and whose sketches allow a link."""
+    pairs = materialize(pairs, "near-pairs")
+    met = pairs.select(F.explode(F.array("a", "b")).alias("class"))
+    known = classes.sparkSession.sparkContext.broadcast(key_filter(met.select(F.xxhash64("class"))))
+
+    def in_pairs(batch: pa.RecordBatch) -> pa.RecordBatch:
+        kept = pa.array(np.flatnonzero(in_filter(batch.column(0).to_numpy(), known.value)))
+        return batch.take(kept)
+
+    keyed = classes.select(F.xxhash64("class").alias("key"), "class", "sig", "odd", "n_shingles")
+    classes = map_arrow(keyed, in_pairs, keyed.schema)
     left, right = (
         classes.select(F.col("class").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("sig", "odd", "n_shingles"))) for x in "ab"
     )
@@ -516,9 +526,21 @@ def linked(
     release(df.sparkSession)
     if not matched.take(1):
         return links, None if links is None else materialize(connect(links), "near-components")
-    new = confirm(matched, classes, df, text, id_col, width, percent)
-    links = new if links is None else links.unionByName(new)
-    return links, materialize(connect(links), "near-components")
+    # A pair of each class first: most others then lie within a component and need no texts.
+    pending = matched.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
+    for last in (False, True):
+        new = confirm(pending, classes, df, text, id_col, width, percent)
+        links = new if links is None else links.unionByName(new)
+        placed = materialize(connect(links), "near-components")
+        release(df.sparkSession)
+        if not last:
+            side = {x: placed.select(F.col("node").alias(x), F.col("component").alias(f"in_{x}")) for x in "ab"}
+            apart = matched.join(side["a"], "a", "left").join(side["b"], "b", "left")
+            apart = apart.where(F.coalesce("in_a", "a") != F.coalesce("in_b", "b")).select("a", "b")
+            pending = materialize(apart.join(pending, ["a", "b"], "left_anti"), "near-apart")
+            if not pending.take(1):
+                break
+    return links, placed
 
 
 def open_blocks(hot: DataFrame, placed: DataFrame) -> DataFrame:
