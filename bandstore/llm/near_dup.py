@@ -38,7 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_arrow, materialize, mix64, release, slices, small_batches, text_bytes
+from .common import give_back, map_arrow, materialize, mix64, release, slices, small_batches, text_bytes
 from .shingles import all_shingles
 
 COORDINATES, MATCHES = 64, 40
@@ -292,6 +292,7 @@ def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int) -> DataFr
                 yield found
         if open_rows is not None and (found := compare(open_rows)) is not None:
             yield found
+        give_back()
 
     small_batches(grouped.sparkSession)
     return dealt.mapInArrow(run, "a binary, b binary").where("a < b").distinct()
@@ -388,6 +389,7 @@ def confirm(pairs: DataFrame, classes: DataFrame, df: DataFrame, text: str, id_c
                     yield pa.record_batch(
                         [pa.array([x for x, _ in out], pa.binary()), pa.array([x for _, x in out], pa.binary())], names=["a", "b"]
                     )
+        give_back()
 
     return materialize(grouped.mapInArrow(run, "a binary, b binary"), "near-links")
 

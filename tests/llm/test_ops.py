@@ -443,3 +443,16 @@ def test_license_lines_in_documents(spark, texts):
             assert got[d] == "mit-line"
         elif "icense" not in t:
             assert got[d] is None
+
+
+def test_near_dup_sketches_lose_no_link():
+    rng = np.random.default_rng(5)
+    for size in (1, 7, 90, 3000):
+        base = np.unique(rng.integers(0, 1 << 63, size, dtype=np.int64).view(np.uint64))
+        for changed in range(0, size + 1, max(1, size // 12)):
+            new = rng.integers(0, 1 << 63, changed, dtype=np.int64).view(np.uint64)
+            other = np.unique(np.concatenate([base[changed:], new]))
+            common = len(np.intersect1d(base, other))
+            linked = 100 * common >= 85 * (len(base) + len(other) - common)
+            x, y = (np.frombuffer(near_dup.sketch(s), np.uint64)[None, :] for s in (base, other))
+            assert not linked or near_dup.may_link(x, y, np.array([len(base)]), np.array([len(other)]), 85)[0]
