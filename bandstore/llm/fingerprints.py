@@ -2,8 +2,9 @@
 
 A text is a multiset of paragraphs (lines, and the clauses of a line). Each paragraph is
 hashed to a wide vector of small signed numbers; a text's fingerprint is the sum of its
-paragraphs' vectors, lane by lane modulo 2**16. Sums do not depend on order, and a paragraph
-is inserted or deleted by adding or subtracting its vector. As lanes are independent and of
+paragraphs' vectors, lane by lane modulo 2**64. Sums do not depend on order, and a paragraph
+is inserted or deleted by adding or subtracting its vector. No text is long enough to wrap a
+lane, so lanes read as signed numbers are the sums themselves. As lanes are independent and of
 mean zero, the cosine of two fingerprints estimates the cosine of the paragraph multisets,
 so the same sums also tell how alike two texts are.
 
@@ -29,7 +30,7 @@ from pyspark.sql import functions as F
 
 from .common import map_arrow, mix64, seeded_hash, slices
 
-LANES, LANE_BITS = 128, 16
+LANES, LANE_BITS = 128, 64
 _PARAGRAPH = re.compile(r"[^\n.!?,;:|]+[.!?,;:|]*|[.!?,;:|]+")
 _LANE_KEYS = mix64(np.arange(1, LANES // 4 + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 
@@ -39,45 +40,44 @@ def paragraphs(text: str) -> list[str]:
 
 
 def vectors(parts: list[str]) -> np.ndarray:
-    """(paragraph, lane) int16 vectors. Four 16-bit lanes come from each 64-bit hash; a lane
+    """(paragraph, lane) int32 vectors. Four 16-bit lanes come from each 64-bit hash; a lane
     is +-w for a paragraph's weight w, with the sign from the hash."""
     if not parts:
-        return np.zeros((0, LANES), np.int16)
+        return np.zeros((0, LANES), np.int32)
     h = np.fromiter((xxhash.xxh3_64_intdigest(p) for p in parts), np.uint64, len(parts))
     wide = mix64(h[:, None] ^ _LANE_KEYS[None, :])
     lanes = wide.view(np.int16).reshape(len(parts), LANES)
-    # Signs from the top bit, magnitudes 1 to 4 from two further bits: sums stay small enough
-    # to be read as signed numbers, and equal sums of different multisets stay unlikely.
+    # Signs from the top bit, magnitudes 1 to 4 from two further bits: equal sums of different
+    # multisets stay unlikely.
     signed = ((lanes & 3) + 1) * np.where(lanes < 0, -1, 1).astype(np.int16)
-    weight = np.fromiter((max(1, round(len(p) ** 0.5 / 2)) for p in parts), np.int16, len(parts))
+    weight = np.fromiter((max(1, round(len(p) ** 0.5 / 2)) for p in parts), np.int32, len(parts))
     return signed * weight[:, None]
 
 
 def fingerprint(text: str | None) -> np.ndarray:
     """Sum of paragraph vectors modulo 2**LANE_BITS, read as signed lanes."""
-    return insert(np.zeros(LANES, np.int16), paragraphs(text or ""))
+    return insert(np.zeros(LANES, np.int64), paragraphs(text or ""))
 
 
 def insert(state: np.ndarray, parts: list[str], step: int = 1 << 14) -> np.ndarray:
     """Fingerprint after the paragraphs are added."""
-    total = state.astype(np.int64)
+    total = state.copy()
     for at in range(0, len(parts), step):
-        total = total + vectors(parts[at : at + step]).sum(axis=0, dtype=np.int64)
-    return total.astype(np.uint64).astype(np.uint16).view(np.int16)
+        total += vectors(parts[at : at + step]).sum(axis=0, dtype=np.int64)
+    return total
 
 
 def delete(state: np.ndarray, parts: list[str]) -> np.ndarray:
     """Fingerprint after the paragraphs are taken out."""
-    gone = insert(np.zeros(LANES, np.int16), parts)
-    return (state.astype(np.int64) - gone.astype(np.int64)).astype(np.uint64).astype(np.uint16).view(np.int16)
+    return state - insert(np.zeros(LANES, np.int64), parts)
 
 
 def digest(state: np.ndarray) -> str:
-    return state.astype(">i2").tobytes().hex()
+    return state.astype(">i8").tobytes().hex()
 
 
 def parse(value: str) -> np.ndarray:
-    return np.frombuffer(bytes.fromhex(value), ">i2").astype(np.int16)
+    return np.frombuffer(bytes.fromhex(value), ">i8").astype(np.int64)
 
 
 def likeness(a: np.ndarray, b: np.ndarray) -> float:

@@ -216,6 +216,25 @@ def test_edit_report_odd_rows(odd):
     assert fingerprints.fingerprints(odd).where("fingerprint is null").count() == 0
 
 
+def test_fingerprint_of_long_repetitive_text():
+    """Tens of thousands of equal paragraphs: likeness is the cosine of the unwrapped sums."""
+    line = "the same line of about sixty characters again and once more here"
+    text = f"{line}\n" * 30000
+    edited = fingerprints.edited_text(text, "another line, with other words and of another length\n" * 20000)
+    sums = []
+    for t in (text, edited):
+        counts = defaultdict(int)
+        for p in fingerprints.paragraphs(t):
+            counts[p] += 1
+        sums.append(sum(n * fingerprints.vectors([p])[0].astype(float) for p, n in counts.items()))
+    x, y = sums
+    want = (x @ y) / ((x @ x) * (y @ y)) ** 0.5
+    a, b = fingerprints.fingerprint(text), fingerprints.fingerprint(edited)
+    assert abs(a).max() > 1 << 15 and (a == x).all() and (b == y).all()
+    assert want > 0.5 and abs(fingerprints.likeness(a, b) - want) < 1e-9
+    assert (fingerprints.delete(a, fingerprints.paragraphs(text)) == 0).all()
+
+
 # ---- 5 sharding
 
 
