@@ -5,7 +5,13 @@ in each are anchors; the longest increasing subsequence of their positions is ke
 gaps between anchors are aligned in the same way, with the words that are unique within the
 gap. Gaps without unique words are closed by matching their equal ends. Coverage is the share
 of the template's words that are aligned, within a stretch of the text that is at most twice
-the template's length.
+the template's length. Where a notice is repeated nearby no word is unique, so besides the
+stretch around needed words, windows of one to two template lengths are aligned, placed where
+a needed word says that the template begins.
+
+All covered notices of a text are listed in `notices`, by place; those of one template do not
+overlap, those of different templates may (a one-line MIT notice covers 4 of 5 words of the
+BSD line). The other columns tell of the best one.
 
 A text is aligned only with templates of which it has a needed word: a covering alignment
 matches COVERAGE of the template's words, so of any set of words that makes up more than the
@@ -18,7 +24,7 @@ longer template wins, then the first by name; repeated rows are scanned alike.
 from __future__ import annotations
 
 import re
-from bisect import bisect_left
+from bisect import bisect_left, insort
 from collections import Counter
 
 import ahocorasick
@@ -167,24 +173,75 @@ class Scanner:
                 out.setdefault(name, []).append(start)
         return out
 
-    def scan(self, text: str | None) -> tuple[str | None, float, int, int, int]:
-        """(license, coverage, matched words, first and end word of the stretch)."""
+    def scan(self, text: str | None) -> tuple[str | None, float, int, int, int, list[tuple]]:
+        """(license, coverage, matched words, first and end word of the stretch) of the best
+        notice, and the list of all."""
         low = (text or "").lower()
         wanted = self.places(low)
         if not wanted:
-            return None, 0.0, 0, 0, 0
+            return None, 0.0, 0, 0, 0, []
         words = words_of(low)
         best = (None, 0.0, 0, 0, 0)
         key = (0.0, 0)
+        found = []
         for name in sorted(wanted):
             template = self.templates[name]
-            for a, b in self.stretches(words, template):
-                pairs = densest(align(words[a:b], template), len(template))
-                share = len(pairs) / len(template)
-                if share >= self.coverage and (share, len(template)) > key:
+            for n_pairs, first, end in self.notices(words, template):
+                share = n_pairs / len(template)
+                found.append((name, share, n_pairs, first, end))
+                if (share, len(template)) > key:
                     key = (share, len(template))
-                    best = (name, share, len(pairs), a + pairs[0][0], a + pairs[-1][0] + 1)
-        return best
+                    best = found[-1]
+        return *best, sorted(found, key=lambda x: (x[3], x[4], x[0]))
+
+    def notices(self, words: list[str], template: list[str]) -> list[tuple[int, int, int]]:
+        """Covered (matched words, first, end) of one template that do not overlap: the fullest
+        first, then the shortest, then the first in the text. What is left of a stretch between
+        them is searched again."""
+        taken: list[tuple[int, int, int]] = []  # first, end, matched words; in order
+        open_ = self.stretches(words, template)[::-1]
+        while open_:
+            a, b = open_.pop()
+            at = bisect_left(taken, (b,)) - 1  # the last to begin before b
+            if at >= 0 and taken[at][1] > a:  # stretches overlap
+                open_ += [(x, y) for x, y in ((a, taken[at][0]), (taken[at][1], b)) if x < y]
+                continue
+            chosen: list[tuple[int, int, int]] = []
+            for n_pairs, first, end in sorted(self.candidates(words, template, a, b), key=lambda x: (-x[0], x[2] - x[1], x[1])):
+                if all(end <= y[0] or y[1] <= first for y in chosen):
+                    chosen.append((first, end, n_pairs))
+            for x in chosen:
+                insort(taken, x)
+            if chosen:
+                open_.append((a, b))
+        return [(n_pairs, first, end) for first, end, n_pairs in sorted(taken, key=lambda x: (-x[2], x[0]))]
+
+    def candidates(self, words: list[str], template: list[str], a: int, b: int) -> set[tuple[int, int, int]]:
+        """Covered alignments of the stretch and of the windows around its needed words."""
+        n = len(template)
+        at: dict[str, list[int]] = {}
+        for i, w in enumerate(template):
+            if w in self.needed:
+                at.setdefault(w, []).append(i)
+        windows = {(a, b)}
+        for i in range(a, b):
+            for p in at.get(words[i], ()):
+                windows |= {(max(a, i - p - more), min(b, i - p + n + more)) for more in (0, n // 4, n // 2)}
+        have = Counter(template)
+        out: set[tuple[int, int, int]] = set()
+        whole_to = a  # windows within whole notices need no look
+        for x, y in sorted(windows):
+            if y <= whole_to:
+                continue
+            near = Counter(w for w in words[x:y] if w in have)
+            if sum(min(k, have[w]) for w, k in near.items()) < self.coverage * n:
+                continue  # too few of the template's words in any order
+            pairs = densest(align(words[x:y], template), n)
+            if len(pairs) / n >= self.coverage:
+                out.add((len(pairs), x + pairs[0][0], x + pairs[-1][0] + 1))
+                if len(pairs) == n and pairs[-1][0] - pairs[0][0] == n - 1:
+                    whole_to = x + pairs[-1][0] + 1
+        return out
 
     def stretches(self, words: list[str], template: list[str]) -> list[tuple[int, int]]:
         """Stretches of the text around runs of the template's needed words: uniqueness of
@@ -203,12 +260,15 @@ class Scanner:
 
 
 def scan(df: DataFrame, templates: dict[str, str] | None = None, text: str = "text", coverage: float = COVERAGE) -> DataFrame:
-    """Add license, coverage, matched_words, first_word, end_word to every row; whole texts."""
+    """Add license, coverage, matched_words, first_word, end_word and notices to every row;
+    whole texts."""
     added = [("license", T.StringType()), ("coverage", T.DoubleType()), ("matched_words", T.LongType()), ("first_word", T.LongType()), ("end_word", T.LongType())]
+    added.append(("notices", T.ArrayType(T.StructType([T.StructField(n, t) for n, t in added]))))
     df = df.drop(*[n for n, _ in added])
     names, at = df.columns, df.columns.index(text)
     schema = T.StructType([*df.schema.fields, *(T.StructField(n, t) for n, t in added)])
     chosen = templates or TEMPLATES
+    fields = [n for n, _ in added[:-1]]
     made: list[Scanner] = []
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
@@ -216,7 +276,9 @@ def scan(df: DataFrame, templates: dict[str, str] | None = None, text: str = "te
             made.append(Scanner(chosen, coverage))
         rows = [made[0].scan(t) for t in batch.column(at).to_pylist()]
         kinds = [pa.string(), pa.float64(), pa.int64(), pa.int64(), pa.int64()]
+        one = pa.struct(list(zip(fields, kinds, strict=True)))
         new = [pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)]
+        new.append(pa.array([[dict(zip(fields, x, strict=True)) for x in r[5]] for r in rows], pa.list_(one)))
         return pa.record_batch([*[batch.column(i) for i in range(len(names))], *new], names=schema.names)
 
     return map_arrow(df, run, schema)

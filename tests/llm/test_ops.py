@@ -455,6 +455,26 @@ def test_license_scan(spark, odd):
     assert licenses.scan(odd).count() == odd.count() and licenses.scan(odd.limit(0)).count() == 0
 
 
+def test_repeated_notices(spark):
+    """A notice that occurs again near itself is found, each time, beside those of other templates."""
+    line = "Released under the MIT License."
+    full, bsd = licenses.TEMPLATES["mit"], licenses.TEMPLATES["bsd-2-clause"]
+    edited = full.replace("free of charge, ", "").replace("including without limitation", "with")
+    rows = [
+        (1, f"foo bar {line} lorem ipsum. {line} dolor sit."),
+        (2, f"{full} {full} {full}"),
+        (3, f"A notice. {edited} Another. {edited} Third. {full} {bsd} {bsd} {line}"),
+        (4, f"{line} " * 500),
+    ]
+    got = {r["doc_id"]: r for r in plain(licenses.scan(spark.createDataFrame(rows, "doc_id long, text string")))}
+    assert [(got[i]["license"], got[i]["coverage"]) for i in range(1, 5)] == [("mit-line", 1.0), ("mit", 1.0), ("mit", 1.0), ("mit-line", 1.0)]
+    names = {i: [x["license"] for x in r["notices"] if x["coverage"] == 1 or x["matched_words"] > 20] for i, r in got.items()}
+    assert names[1] == ["mit-line"] * 2 and names[2] == ["mit"] * 3 and names[4] == ["mit-line"] * 500
+    assert names[3] == ["mit"] * 3 + ["bsd-2-clause"] * 2 + ["mit-line"]
+    n = len(licenses.words_of(full))
+    assert [(x["first_word"], x["end_word"]) for x in got[2]["notices"]] == [(0, n), (n, 2 * n), (2 * n, 3 * n)]
+
+
 def test_license_lines_in_documents(spark, texts):
     got = {r["doc_id"]: r["license"] for r in plain(queries.op10_licenses(spark, SF))}
     for d, t in texts.items():
