@@ -62,8 +62,8 @@ class Grammar:
     report_loss: float = 0.6
 
     def automaton(self) -> ahocorasick.Automaton:
-        """Only entries that can start a match are searched for; a clause is tagged in full
-        around each hit."""
+        """Only entries that can start a match are searched for; a clause with a hit is
+        tagged from its start to its end."""
         found = ahocorasick.Automaton()
         for word, (tag, weight) in self.words.items():
             if tag in (INSULT, THREAT):
@@ -146,15 +146,14 @@ def matched_clauses(text: str, g: Grammar, automaton: ahocorasick.Automaton) ->
         start, end = clause
         marks = {s: (tag, w) for s, _, tag, w in pending}
         tags = []
-        lo, hi = max(start, pending[0][0] - 200), min(end, pending[-1][1] + 200)
-        for m in WORD_RUN.finditer(text, lo, hi):
+        for m in WORD_RUN.finditer(text, start, end):
             if m.start() in marks:
                 tags.append(marks.pop(m.start()))
             else:
                 entry = g.words.get(m.group())
                 tags.append(entry if entry and entry[0] not in (INSULT, THREAT) else ("", 0.0))
         tags += marks.values()
-        quoted = bool(QUOTES & set(text[max(start, lo) : hi]))
+        quoted = bool(QUOTES & set(text[start:end]))
         found.append((start, end, *clause_weight(tags, quoted, g)))
         pending.clear()
 

@@ -102,6 +102,19 @@ def test_grammar_scores_clauses():
     assert toxicity.matched_clauses("", g, a) == []
 
 
+def test_clauses_are_read_whole():
+    """Targets, reports and quotation marks count however far from the hit they are."""
+    g = toxicity.default_grammar()
+    a = g.automaton()
+    weight = lambda t: sum(c[2] for c in toxicity.matched_clauses(t.lower(), g, a))
+    for far in ("", "word " * 30, "word " * 3000):
+        assert weight(f"idiot {far}you") == pytest.approx(weight("idiot") * g.target_gain)
+        assert weight(f"you {far}idiot {far}") == pytest.approx(weight("idiot") * g.target_gain)
+        assert weight(f'"{far}idiot') == pytest.approx(weight("idiot") * g.report_loss)
+        assert weight(f"idiot {far}said") == pytest.approx(weight("idiot") * g.report_loss)
+        assert weight(f"you {far}kill") == pytest.approx(weight("you kill"))
+
+
 def test_toxicity_held_out(spark):
     got = {r["doc_id"]: r for r in plain(queries.op2_toxicity(spark, "/root/testdata/sf0.01"))}
     labels = spark.read.parquet("/root/testdata/sf0.01/labels.parquet").collect()
