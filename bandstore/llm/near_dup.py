@@ -2,9 +2,10 @@
 
 1. Each text becomes a set of word shingles; texts with equal sets form one class.
 2. A class gets a signature of COORDINATES minima. A pair as similar as the threshold agrees
-   on at least MATCHES coordinates but for a chance of about 1e-6 (binomial tail).
-3. Classes are posted under (coordinate, value) tokens. If two classes share MATCHES of their
-   COORDINATES tokens, then the first COORDINATES - MATCHES + 1 tokens of each, in any common
+   on at least m coordinates but for a chance of MISS at most (binomial tail); m follows from
+   the threshold: 34 at 80 percent (3.2e-7), 39 at 85 percent (6.3e-7).
+3. Classes are posted under (coordinate, value) tokens. If two classes share m of their
+   COORDINATES tokens, then the first COORDINATES - m + 1 tokens of each, in any common
    order, have one in common: only that prefix is posted. The order puts tokens last that are
    frequent over the table, so hot passages post few classes (their lists are skipped).
 4. The classes of lists with more than SMALL members are posted once more, under the rarest
@@ -16,7 +17,8 @@
    pair with too many loses no link, and only likely pairs are written. Lists of over HOT
    members first link to a few leaders; then what lies outside a list's largest component is
    compared with all of it, in groups of two blocks of BLOCK members, however long the list.
-   A pair's collisions over the whole signatures are counted; pairs under MATCHES go.
+   For pairs met by tokens alone the collisions over the whole signatures are counted, and
+   those under m go; pairs met by set prefixes are exact candidates and all stay.
 6. The rest is confirmed on full shingle sets: the members' sets stream past their leader's,
    which is repeated for every BLOCK members, so a hot leader is many small groups.
 7. Confirmed links join components by alternating large-star and small-star rounds.
@@ -32,6 +34,7 @@ only if it has no other row (then component_id is null).
 from __future__ import annotations
 
 from collections.abc import Callable, Iterable, Iterator
+from math import comb
 
 import numpy as np
 import pyarrow as pa
@@ -41,7 +44,7 @@ from pyspark.sql import functions as F
 from .common import give_back, map_arrow, materialize, mix64, release, slices, small_batches, text_bytes
 from .shingles import all_shingles
 
-COORDINATES, MATCHES = 64, 40
+COORDINATES, MISS = 64, 1e-6
 SMALL, HOT, LEADERS, BLOCK = 16, 256, 4, 256
 SKETCH_BITS = 512
 BUCKET_BITS, MAX_FREQUENT = 20, 1 << 16
@@ -50,6 +53,17 @@ _MULTIPLIERS = mix64(np.arange(1, COORDINATES + 1, dtype=np.uint64) * np.uint64(
 _OFFSETS = mix64(np.arange(1, COORDINATES + 1, dtype=np.uint64) * np.uint64(0x9FB21C651E98DF25))
 
 
+def matches_for(percent: int) -> int:
+    """The most coordinates on which a pair of this similarity agrees but for a chance of MISS;
+    1 at least, which leaves a larger chance below 20 percent."""
+    p, below = percent / 100, 0.0
+    for m in range(COORDINATES):
+        below += comb(COORDINATES, m) * p**m * (1 - p) ** (COORDINATES - m)
+        if below > MISS:
+            return max(1, m)
+    return COORDINATES
+
+
 def signature(shingles: np.ndarray, step: int = 4096) -> np.ndarray:
     """uint32 minima of COORDINATES multiplicative hashes."""
     low = np.full(COORDINATES, np.iinfo(np.uint64).max, np.uint64)
@@ -143,13 +157,13 @@ def frequent_buckets(rows: DataFrame, tokens_of: Callable[[pa.RecordBatch], Iter
     return {r["bucket"]: int(r["n"]).bit_length() for r in found}
 
 
-def postings(classes: DataFrame) -> DataFrame:
+def postings(classes: DataFrame, percent: int) -> DataFrame:
     """(token, class): the prefix of each class in the common order."""
     levels = np.zeros(1 << BUCKET_BITS, np.uint8)
     for bucket, level in frequent_buckets(classes.select("sig"), lambda batch: [tokens(_signatures(batch.column(0)))]).items():
         levels[bucket] = level
     shared = classes.sparkSession.sparkContext.broadcast(levels)  # 1 MB
-    prefix = COORDINATES - MATCHES + 1
+    prefix = COORDINATES - matches_for(percent) + 1
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         t = tokens(_signatures(batch.column(1)))
@@ -233,11 +247,12 @@ def set_lists(wide: DataFrame, classes: DataFrame, df: DataFrame, text: str, id_
 
 
 def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) of the same group whose sketches allow a link. grouped: (token, class), and
-    (block, component) where groups are blocks of a list; pairs of one component are left out.
+    """Pairs (a, b, exact) of the same group whose sketches allow a link. grouped: (token, exact,
+    class), and (block, component) where groups are blocks of a list; pairs of one component are
+    left out. Tokens are exact where they are of set prefixes, a pair where one of its tokens is.
     A group has up to max(HOT, 2 BLOCK) members and goes to one task in sorted order."""
     by_block = "block" in grouped.columns
-    keys = ["token", "block"] if by_block else ["token"]
+    keys = ["token", "exact", "block"] if by_block else ["token", "exact"]
     rows = grouped.join(classes.select("class", "n_shingles", "odd"), "class")
     extra = ["component"] if by_block else []
     dealt = rows.select(*keys, "class", "n_shingles", "odd", *extra).repartition(*keys).sortWithinPartitions(*keys)
@@ -255,9 +270,10 @@ def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int) -> DataFr
         sizes = table.column("n_shingles").to_numpy()
         sketches = _sketches(table.column("odd").combine_chunks())
         names = table.column("class").to_pylist()
+        exact = table.column("exact").to_pylist()
         own = table.column("component").to_pylist() if by_block else None
         upto = np.cumsum(partners)
-        out_a, out_b, at = [], [], 0
+        out_a, out_b, out_exact, at = [], [], [], 0
         while at < n:  # rows with about PAIRS_AT_ONCE pairs
             past = upto[at - 1] if at else 0
             to = max(at + 1, int(np.searchsorted(upto, past + PAIRS_AT_ONCE, "right")))
@@ -269,10 +285,12 @@ def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int) -> DataFr
                 if own is None or own[i] != own[j]:
                     out_a.append(min(names[i], names[j]))
                     out_b.append(max(names[i], names[j]))
+                    out_exact.append(exact[i])
             at = to
         if not out_a:
             return None
-        return pa.record_batch([pa.array(out_a, pa.binary()), pa.array(out_b, pa.binary())], names=["a", "b"])
+        columns = [pa.array(out_a, pa.binary()), pa.array(out_b, pa.binary()), pa.array(out_exact, pa.bool_())]
+        return pa.record_batch(columns, names=["a", "b", "exact"])
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         open_rows: pa.Table | None = None
@@ -295,21 +313,25 @@ def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int) -> DataFr
         give_back()
 
     small_batches(grouped.sparkSession)
-    return dealt.mapInArrow(run, "a binary, b binary").where("a < b").distinct()
+    return once(dealt.mapInArrow(run, "a binary, b binary, exact boolean").where("a < b"))
+
+
+def once(pairs: DataFrame) -> DataFrame:
+    return pairs.groupBy("a", "b").agg(F.max("exact").alias("exact"))
 
 
 PAIRS_AT_ONCE = 1 << 15
 
 
 def leader_pairs(hot: DataFrame) -> DataFrame:
-    """Pairs of the leaders of each list with its members. Leaders go by a seeded hash, the
-    same in all lists."""
+    """Pairs of the leaders of each list of set prefixes with its members. Leaders go by a
+    seeded hash, the same in all lists."""
     heads = _least(hot, F.struct(F.xxhash64(F.lit(0), "class").alias("h"), F.col("class").alias("class")))
     return (
         hot.select("token", "class")
         .join(heads, "token")
         .where(F.col("class") != F.col("leader"))
-        .select(F.least("leader", "class").alias("a"), F.greatest("leader", "class").alias("b"))
+        .select(F.least("leader", "class").alias("a"), F.greatest("leader", "class").alias("b"), F.lit(True).alias("exact"))
         .distinct()
     )
 
@@ -328,7 +350,9 @@ def with_component(rows: DataFrame, components: DataFrame) -> DataFrame:
 
 
 def matching(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
-    """Pairs that agree on MATCHES coordinates or more and whose sketches allow a link."""
+    """Pairs (a, b) whose sketches allow a link, and that are exact or agree on as many
+    coordinates as `percent` asks for."""
+    least = matches_for(percent)
     pairs = materialize(pairs, "near-pairs")
     met = pairs.select(F.explode(F.array("a", "b")).alias("class"))
     known = classes.sparkSession.sparkContext.broadcast(key_filter(met.select(F.xxhash64("class"))))
@@ -342,13 +366,14 @@ def matching(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
     left, right = (
         classes.select(F.col("class").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("sig", "odd", "n_shingles"))) for x in "ab"
     )
-    both = pairs.join(left, "a").join(right, "b").select("a", "b", *(f"{c}_{x}" for c in ("sig", "odd", "n_shingles") for x in "ab"))
+    both = pairs.join(left, "a").join(right, "b").select("a", "b", "exact", *(f"{c}_{x}" for c in ("sig", "odd", "n_shingles") for x in "ab"))
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        collisions = (_signatures(batch.column(2)) == _signatures(batch.column(3))).sum(axis=1)
-        sizes = batch.column(6).to_numpy(), batch.column(7).to_numpy()
-        near = may_link(_sketches(batch.column(4)), _sketches(batch.column(5)), *sizes, percent)
-        kept = pa.array(np.flatnonzero((collisions >= MATCHES) & near))
+        exact = batch.column(2).to_numpy(zero_copy_only=False)
+        collisions = (_signatures(batch.column(3)) == _signatures(batch.column(4))).sum(axis=1)
+        sizes = batch.column(7).to_numpy(), batch.column(8).to_numpy()
+        near = may_link(_sketches(batch.column(5)), _sketches(batch.column(6)), *sizes, percent)
+        kept = pa.array(np.flatnonzero((exact | (collisions >= least)) & near))
         return pa.record_batch([batch.column(0).take(kept), batch.column(1).take(kept)], names=["a", "b"])
 
     return map_arrow(both, run, "a binary, b binary")
@@ -481,21 +506,21 @@ def components(df: DataFrame, text: str = "text", id_col: str = "doc_id", width:
         .agg(F.min(F.struct("doc_id", "text_key")).alias("rep"), *(F.min(c).alias(c) for c in ("sig", "odd", "n_shingles"))),
         "near-classes",
     )
-    lists = posting_lists(postings(classes))
+    lists = posting_lists(postings(classes, percent))
     release(df.sparkSession)
-    met = lists.where(F.col("members") <= SMALL).select("token", "class")
+    met = lists.where(F.col("members") <= SMALL).select("token", F.lit(False).alias("exact"), "class")
     wide = lists.where(F.col("members") > SMALL)
     hot: DataFrame | None = None
     if wide.take(1):
         sub = set_lists(wide.select("class").distinct(), classes, df, text, id_col, width, percent)
-        met = met.unionByName(sub.where(F.col("members") <= HOT).select("token", "class"))
+        met = met.unionByName(sub.where(F.col("members") <= HOT).select("token", F.lit(True).alias("exact"), "class"))
         hot = sub.where(F.col("members") > HOT)
         release(df.sparkSession)
         if not hot.take(1):
             hot = None
     pairs = likely_pairs(met, classes, percent)
     if hot is not None:
-        pairs = pairs.unionByName(leader_pairs(hot)).distinct()
+        pairs = once(pairs.unionByName(leader_pairs(hot)))
     none = df.sparkSession.createDataFrame([], "node binary, component binary")
     links, placed = linked(pairs, None, classes, df, text, id_col, width, percent)
     if hot is not None:
@@ -546,7 +571,7 @@ def linked(
 
 
 def open_blocks(hot: DataFrame, placed: DataFrame) -> DataFrame:
-    """(token, block, class, component): the groups in which the members outside a list's
+    """(token, exact, block, class, component): the groups in which the members outside a list's
     largest component meet all others. Lists within one component are closed. Members are cut
     into blocks by a hash, those of the largest component (side 1) and the rest (side 0) for
     themselves; a group holds two blocks of which one at least has side 0."""
@@ -566,7 +591,7 @@ def open_blocks(hot: DataFrame, placed: DataFrame) -> DataFrame:
     every = F.sequence(F.lit(0), F.col("rest_blocks") + F.col("top_blocks") - 1)
     partners = rows.withColumn("other", F.explode(F.when(F.col("side") == 1, rest).otherwise(every)))
     group = (F.least("own", "other").cast("long") * (F.col("rest_blocks") + F.col("top_blocks")) + F.greatest("own", "other")).alias("block")
-    return partners.select("token", group, "class", "component")
+    return partners.select("token", F.lit(True).alias("exact"), group, "class", "component")
 
 
 def drop_near_duplicates(df: DataFrame, text: str = "text", id_col: str = "doc_id", width: int = 5, percent: int = 80) -> DataFrame:

@@ -508,3 +508,36 @@ def test_near_dup_sketches_lose_no_link():
             linked = 100 * common >= 85 * (len(base) + len(other) - common)
             x, y = (np.frombuffer(near_dup.sketch(s), np.uint64)[None, :] for s in (base, other))
             assert not linked or near_dup.may_link(x, y, np.array([len(base)]), np.array([len(other)]), 85)[0]
+
+
+def test_least_collisions_follow_the_threshold():
+    for percent, want in ((80, 34), (85, 39), (100, 64)):
+        assert near_dup.matches_for(percent) == want
+    rng = np.random.default_rng(7)
+    counts = rng.binomial(64, 0.8, 200_000)
+    assert (counts < near_dup.matches_for(80)).sum() <= 3
+
+
+def test_pairs_with_few_collisions_are_linked(spark):
+    """Pairs at 80 percent that agree on 39 of 64 coordinates, which a fixed 40 dropped."""
+    rows = []
+    for seed in (2195, 2274):
+        rng = random.Random(seed)
+        words = [f"w{rng.randrange(10**6)}" for _ in range(120)]
+        other = words[:]
+        other[20], other[60], other[-2] = "x", "y", "z"
+        x, y = (near_dup.signature(s) for s in near_dup.all_shingles([" ".join(words).encode(), " ".join(other).encode()], 5))
+        assert (x == y).sum() == 39
+        rows += [(seed, " ".join(words)), (seed + 1, " ".join(other))]
+    got = plain(near_dup.components(spark.createDataFrame(rows, "doc_id long, text string"), width=5, percent=80))
+    assert {r["doc_id"]: r["component_id"] for r in got} == {2195: 2195, 2196: 2195, 2274: 2274, 2275: 2274}
+
+
+def test_exact_pairs_skip_the_collisions(spark):
+    sigs = [np.full(64, i, np.uint32).tobytes() for i in range(2)]
+    classes = spark.createDataFrame(
+        [(bytes([i]), bytearray(sigs[i]), bytearray(64), 100) for i in range(2)], "class binary, sig binary, odd binary, n_shingles long"
+    )
+    for exact in (True, False):
+        pairs = spark.createDataFrame([(bytes([0]), bytes([1]), exact)], "a binary, b binary, exact boolean")
+        assert near_dup.matching(pairs, classes, 80).count() == int(exact)
