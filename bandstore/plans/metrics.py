@@ -106,6 +106,30 @@ def zero_report(members: solve.Keys, foreign: solve.Keys, p: BandParams) -> dict
     return {"redundant": redundant / max(1, len(members)), "span": span, "fpr": model.false_positive_rate(span, p.r)}
 
 
+def zero_span(members: DataFrame, foreign: DataFrame, cols: list[str], grid: list[BandParams]) -> DataFrame:
+    """Per eps, zero_report over all keys of both tables: (eps, n_members, redundant, n_foreign,
+    inside), each shard's system in a task of its own."""
+    both = [hashing.with_digest(df.select(*cols), cols).where("hi is not null").select("hi", "lo").distinct() for df in (members, foreign)]
+    n_shards = band.n_shards_for(both[0].count())
+    shard = hashing.shard_column(F.col("hi"), n_shards).alias("shard")
+    rows = both[0].select(shard, F.lit(True).alias("member"), "hi", "lo").unionByName(both[1].select(shard, F.lit(False).alias("member"), "hi", "lo"))
+    which = F.explode(F.array(*[F.lit(i) for i in range(len(grid))])).alias("at")
+
+    def run(table: pa.Table) -> pa.Table:
+        member = table.column("member").to_numpy()
+        hi, lo = (table.column(c).to_numpy().view(np.uint64) for c in ("hi", "lo"))
+        own, other = (solve.Keys(hi[x], lo[x], np.zeros(int(x.sum()), np.uint64)) for x in (member, ~member))
+        p = grid[table.column("at")[0].as_py()]
+        got = zero_report(own, other, p)
+        return pa.table({
+            "eps": [p.eps], "n_members": [len(own)], "redundant": [round(got["redundant"] * len(own))],
+            "n_foreign": [len(other)], "inside": [round(got["span"] * len(other))],
+        })
+
+    of_shards = rows.select("*", which).groupBy("shard", "at").applyInArrow(run, "eps double, n_members long, redundant long, n_foreign long, inside long")
+    return of_shards.groupBy("eps").agg(*(F.sum(c).alias(c) for c in ("n_members", "redundant", "n_foreign", "inside")))
+
+
 def _rows(keys: solve.Keys, n_starts: int, p: BandParams) -> Iterator[tuple[int, int]]:
     start = hashing.starts(keys.hi, n_starts, 0, 0)
     words = hashing.coefficients(keys.lo, p.w, p.coef, 0, 0)
@@ -245,20 +269,26 @@ def tune_layer(pairs: DataFrame, base: BandParams, eps_grid: list[float], b_grid
     return sweep(pairs, grid).orderBy("overhead")
 
 
-def success_curve(n: int, w: int, eps_grid: list[float], seeds: int = 20, r: int = 1) -> list[tuple[float, float]]:
-    """Share of seeds for which a plain system of n keys fits, by eps."""
-    out = []
-    for eps in eps_grid:
-        p = BandParams(kind="plain", w=w, r=r, eps=eps).resolved()
-        jobs = []
-        for seed in range(seeds):
-            rng = np.random.default_rng(seed)
-            hi, lo = (rng.integers(0, 1 << 63, n).astype(np.uint64) for _ in range(2))
-            keys = solve.Keys(hi, lo, hashing.fingerprint(lo, r))
-            jobs.append(solve.Job(keys, 0, 0, seed, solve.table_starts(n, eps, "plain")))
-        ok = sum(t is not None for t, _ in solve.solve_layer(jobs, p, w, False))
-        out.append((eps, ok / seeds))
-    return out
+def success_curve(df: DataFrame, cols: list[str], w: int, eps_grid: list[float], seeds: int = 20, r: int = 1, shard_keys: int = band.SHARD_KEYS) -> DataFrame:
+    """(eps, success): share of seeds for which a plain system of all the table's keys fits. A
+    table of over `shard_keys` keys is solved by shard, as a build does, and the share is over
+    shards and seeds."""
+    keyed = hashing.with_digest(df.select(*cols), cols).where("hi is not null").select("hi", "lo").distinct()
+    shard = hashing.shard_column(F.col("hi"), band.n_shards_for(keyed.count(), shard_keys)).alias("shard")
+    seed = F.explode(F.sequence(F.lit(0), F.lit(seeds - 1))).alias("seed")
+
+    def run(table: pa.Table) -> pa.Table:
+        hi, lo = (table.column(c).to_numpy().view(np.uint64) for c in ("hi", "lo"))
+        keys = solve.Keys(hi, lo, hashing.fingerprint(lo, r))
+        at, fits = table.column("seed")[0].as_py(), []
+        for eps in eps_grid:
+            p = BandParams(kind="plain", w=w, r=r, eps=eps).resolved()
+            job = solve.Job(keys, 0, 0, at, solve.table_starts(len(keys), eps, "plain"))
+            fits.append(float(next(iter(solve.solve_layer([job], p, w, False)))[0] is not None))
+        return pa.table({"eps": eps_grid, "fits": fits})
+
+    solved = keyed.select(shard, "hi", "lo").select("*", seed).groupBy("shard", "seed").applyInArrow(run, "eps double, fits double")
+    return solved.groupBy("eps").agg(F.avg("fits").alias("success"))
 
 
 def pareto(report: DataFrame, cost: str, time: str, name: str) -> DataFrame:

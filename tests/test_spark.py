@@ -183,3 +183,14 @@ def test_rebuild_each_batch_is_idempotent(spark, orders, tmp_path):
     write(orders, 0)
     write(orders, 0)
     assert store.read(spark, str(tmp_path / "v"), "batch-0").params.kind == "zero"
+
+
+def test_success_and_span_cover_the_table(spark):
+    """Every key of the table is in a system, at any size and by shard."""
+    df = spark.range(5000).withColumnRenamed("id", "k")
+    p = [BandParams(kind="zero", r=8, eps=0.1).resolved()]
+    got = metrics.zero_span(df, df.select((F.col("k") + 10**9).alias("k")), ["k"], p).collect()
+    assert [(r["n_members"], r["n_foreign"]) for r in got] == [(5000, 5000)] and got[0]["inside"] <= 100
+    for shard_keys in (1000, 1 << 20):
+        curve = {r["eps"]: r["success"] for r in metrics.success_curve(df, ["k"], 64, [-0.2, 0.3], 4, shard_keys=shard_keys).collect()}
+        assert curve[0.3] == 1.0 > curve[-0.2]
