@@ -7,28 +7,29 @@
 3. Classes are posted under (coordinate, value) tokens. If two classes share m of their
    COORDINATES tokens, then the first COORDINATES - m + 1 tokens of each, in any common
    order, have one in common: only that prefix is posted. The order puts tokens last that are
-   frequent over the table, so hot passages post few classes (their lists are skipped).
-4. The classes of lists with more than SMALL members are posted once more, under the rarest
-   shingles of their full sets: with |x| - ceil(p |x|) + 1 of them a pair of the asked
-   similarity p has one in common, and variants that differ more have only shingles of their
-   own there.
-5. A list's classes are compared where they meet, by parity sketches: the bits in which two
-   sketches differ are no more than the shingles in which their sets differ, so dropping a
-   pair with too many loses no link, and only likely pairs are written. Lists of over HOT
-   members first link to a few leaders; then what lies outside a list's largest component is
-   compared with all of it, in groups of two blocks of BLOCK members, however long the list.
-   For pairs met by tokens alone the collisions over the whole signatures are counted, and
-   those under m go; pairs met by set prefixes are exact candidates and all stay.
-6. The rest is confirmed on full shingle sets: the members' sets stream past their leader's,
-   which is repeated for every BLOCK members, so a hot leader is many small groups.
+   frequent over the table, so hot passages post few classes (their lists are skipped). Lists
+   of the same members count once.
+4. Where the members of a list meet, their collisions are counted over the whole signatures
+   (a byte of each coordinate, so never too few), and pairs under m go. So do pairs whose
+   parity sketches differ in more bits than the sets may differ in shingles, which loses no
+   link: the bits are never more than the shingles.
+5. First a list's likely pairs are cut to a forest of the most alike ones, a pair a member at
+   most, and those are confirmed. Then only likely pairs of different components are left:
+   lists within one component are closed, and in the others what lies outside the largest
+   component meets all of the list, in groups of two blocks of BLOCK members, however long the
+   list. All of these pairs are confirmed, so no link is lost to the forest.
+6. Pairs are confirmed on full shingle sets of 128-bit hashes: the members' sets stream past
+   their leader's, which is repeated for every BLOCK members, so a hot leader is many small
+   groups.
 7. Confirmed links join components by alternating large-star and small-star rounds.
 
-No step collects links, classes or signatures; what reaches the driver are counts and the
-list of frequent token buckets, which is bounded.
+No step collects links, classes or signatures; what reaches the driver are counts, the list of
+frequent token buckets and a bit filter of wanted texts, which are bounded.
 
 Defined results: null, empty and blank texts have an empty set and are linked with nothing;
 repeated rows are in one component; rows with a null id follow their component, and are kept
-only if it has no other row (then component_id is null).
+only if it has no other row (then component_id is null). Columns of the input are never touched;
+drop_near_duplicates gives them back whatever their names.
 """
 
 from __future__ import annotations
@@ -41,11 +42,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import give_back, map_arrow, materialize, mix64, release, slices, small_batches, text_bytes
-from .shingles import all_shingles
+from .common import Scratch, give_back, map_arrow, mix64, release, slices, small_batches, text_bytes
+from .shingles import all_shingles, wide_shingles
 
 COORDINATES, MISS = 64, 1e-6
-SMALL, HOT, LEADERS, BLOCK = 16, 256, 4, 256
+BLOCK = 256
 SKETCH_BITS = 512
 BUCKET_BITS, MAX_FREQUENT = 20, 1 << 16
 
@@ -92,6 +93,11 @@ def sketch(shingles: np.ndarray) -> bytes:
     return np.packbits((np.bincount(at.astype(np.int64), minlength=SKETCH_BITS) & 1).astype(bool)).tobytes()
 
 
+def brief(signatures: np.ndarray) -> np.ndarray:
+    """A byte of each coordinate's token: equal where the coordinates are."""
+    return (tokens(signatures) & np.uint64(255)).astype(np.uint8)
+
+
 def may_link(x: np.ndarray, y: np.ndarray, n_x: np.ndarray, n_y: np.ndarray, percent: int) -> np.ndarray:
     """Whether sets with these sketches and sizes can be as similar as asked. Sets that differ
     in d shingles are if d (100 + percent) <= (100 - percent) (n_x + n_y)."""
@@ -99,33 +105,36 @@ def may_link(x: np.ndarray, y: np.ndarray, n_x: np.ndarray, n_y: np.ndarray, per
     return differ * (100 + percent) <= (100 - percent) * (n_x + n_y)
 
 
-def _sketches(column: pa.Array) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), np.uint64).reshape(-1, SKETCH_BITS // 64)
+def _matrix(column: pa.Array, kind: type) -> np.ndarray:
+    """A row for each of the column's binaries, all of one length."""
+    return np.frombuffer(b"".join(column.to_pylist()), kind).reshape(len(column), -1)
 
 
-def _signatures(column: pa.Array) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), np.uint32).reshape(-1, COORDINATES)
+def keyed_texts(df: DataFrame, text: str, id_col: str) -> DataFrame:
+    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), F.col(text).alias("text"))
 
 
 def sets_table(df: DataFrame, text: str, id_col: str, width: int) -> DataFrame:
-    """(doc_id, text_key, n_shingles, class, sig, odd) of every row; the last three null for an
-    empty set. Written to the shared folder, without texts."""
+    """(doc_id, text_key, n_shingles, class, sig, brief, odd) of every row; the last four null for
+    an empty set."""
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        n, keys, sigs, odd = [], [], [], []
+        n, made = [], []
         for s in all_shingles(text_bytes(batch.column(2)), width):
             n.append(len(s))
-            keys.append(set_key(s) if len(s) else None)
-            sigs.append(signature(s).tobytes() if len(s) else None)
-            odd.append(sketch(s) if len(s) else None)
+            if len(s):
+                sig = signature(s)
+                made.append((set_key(s), sig.tobytes(), brief(sig[None, :]).tobytes(), sketch(s)))
+            else:
+                made.append((None,) * 4)
+        columns = [pa.array([m[i] for m in made], pa.binary()) for i in range(4)]
         return pa.record_batch(
-            [batch.column(0), batch.column(1), pa.array(n, pa.int64()), *(pa.array(x, pa.binary()) for x in (keys, sigs, odd))],
-            names=["doc_id", "text_key", "n_shingles", "class", "sig", "odd"],
+            [batch.column(0), batch.column(1), pa.array(n, pa.int64()), *columns],
+            names=["doc_id", "text_key", "n_shingles", "class", "sig", "brief", "odd"],
         )
 
-    rows = df.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), F.col(text).alias("text"))
-    schema = "doc_id long, text_key long, n_shingles long, class binary, sig binary, odd binary"
-    return materialize(map_arrow(rows, run, schema), "near-sets")
+    schema = "doc_id long, text_key long, n_shingles long, class binary, sig binary, brief binary, odd binary"
+    return map_arrow(keyed_texts(df, text, id_col), run, schema)
 
 
 def frequent_buckets(rows: DataFrame, tokens_of: Callable[[pa.RecordBatch], Iterable[np.ndarray]]) -> dict[int, int]:
@@ -160,13 +169,13 @@ def frequent_buckets(rows: DataFrame, tokens_of: Callable[[pa.RecordBatch], Iter
 def postings(classes: DataFrame, percent: int) -> DataFrame:
     """(token, class): the prefix of each class in the common order."""
     levels = np.zeros(1 << BUCKET_BITS, np.uint8)
-    for bucket, level in frequent_buckets(classes.select("sig"), lambda batch: [tokens(_signatures(batch.column(0)))]).items():
+    for bucket, level in frequent_buckets(classes.select("sig"), lambda batch: [tokens(_matrix(batch.column(0), np.uint32))]).items():
         levels[bucket] = level
     shared = classes.sparkSession.sparkContext.broadcast(levels)  # 1 MB
     prefix = COORDINATES - matches_for(percent) + 1
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        t = tokens(_signatures(batch.column(1)))
+        t = tokens(_matrix(batch.column(1), np.uint32))
         level = shared.value[(t >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)].astype(np.uint64)
         # Order by level, then by token; the token's low bits break ties of the packed key.
         order = np.argsort((level << np.uint64(56)) | (t >> np.uint64(8)), axis=1, kind="stable")[:, :prefix]
@@ -180,117 +189,79 @@ def postings(classes: DataFrame, percent: int) -> DataFrame:
 
 
 def posting_lists(posted: DataFrame) -> DataFrame:
-    """Postings of lists with two classes or more, with the list's length. Both sides of the
-    join read one exchange."""
+    """(token, class, members, leader) of the lists with two classes or more, each member set
+    once (told by its length and two 64-bit sums). leader: the member of the least seeded hash."""
     dealt = posted.repartition("token")
-    lengths = dealt.groupBy("token").agg(F.count(F.lit(1)).alias("members")).where(F.col("members") > 1)
-    return materialize(dealt.join(lengths.hint("merge"), "token"), "near-lists")
-
-
-def fetch_texts(rows: DataFrame, df: DataFrame, text: str, id_col: str) -> DataFrame:
-    """rows (with rep_id, rep_key) and the text of each: a filter of the keys, bounded in size,
-    drops most texts before the join's shuffle."""
-    shared = df.sparkSession.sparkContext.broadcast(key_filter(rows.select("rep_key")))
-
-    def may_be(batch: pa.RecordBatch) -> pa.RecordBatch:
-        kept = pa.array(np.flatnonzero(in_filter(batch.column(1).to_numpy(), shared.value)))
-        return batch.take(kept)
-
-    base = df.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), F.col(text).alias("text"))
-    texts = map_arrow(base, may_be, base.schema)
-    same = F.col("rep_id").eqNullSafe(F.col("doc_id")) & (F.col("rep_key") == F.col("text_key"))
-    return rows.join(texts, same).drop("doc_id", "text_key", "rep_id", "rep_key")
-
-
-def set_lists(wide: DataFrame, classes: DataFrame, df: DataFrame, text: str, id_col: str, width: int, percent: int) -> DataFrame:
-    """Posting lists of the given classes under the prefix of their full shingle sets. Sets are
-    made from the texts where they are read, once to count and once to post; only prefixes are
-    shuffled."""
-    rows = materialize(
-        wide.join(classes, "class").select("class", F.col("rep.doc_id").alias("rep_id"), F.col("rep.text_key").alias("rep_key")),
-        "near-wide",
+    order = F.xxhash64(F.lit(17), "class")
+    whole = dealt.groupBy("token").agg(
+        F.count(F.lit(1)).alias("members"),
+        F.bit_xor(F.xxhash64("class")).alias("mark"),
+        F.bit_xor(F.xxhash64(F.lit(5), "class")).alias("other_mark"),
+        F.min(order).alias("leader"),
     )
-    known = df.sparkSession.sparkContext.broadcast(key_filter(rows.select("rep_key")))
-    base = df.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), F.col(text).alias("text"))
-
-    def to_sets(batch: pa.RecordBatch) -> tuple[pa.RecordBatch, Iterator[np.ndarray]]:
-        kept = batch.take(pa.array(np.flatnonzero(in_filter(batch.column(1).to_numpy(), known.value))))
-        return kept, all_shingles(text_bytes(kept.column(2)), width)
-
-    levels = np.zeros(1 << BUCKET_BITS, np.uint8)
-    for bucket, level in frequent_buckets(base, lambda batch: (mix64(s) for s in to_sets(batch)[1])).items():
-        levels[bucket] = level
-    shared = df.sparkSession.sparkContext.broadcast(levels)  # 1 MB
-
-    def prefixes(batch: pa.RecordBatch) -> pa.RecordBatch:
-        kept, sets = to_sets(batch)
-        out = []
-        for s in sets:
-            t = mix64(s)
-            level = shared.value[(t >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)]
-            n = len(t) - -(-percent * len(t) // 100) + 1
-            out.append(t[np.lexsort((t, level))[:n]].tobytes())
-        return pa.record_batch([kept.column(0), kept.column(1), pa.array(out, pa.binary())], names=["doc_id", "text_key", "prefix"])
-
-    made = map_arrow(base, prefixes, "doc_id long, text_key long, prefix binary")
-    same = F.col("rep_id").eqNullSafe(F.col("doc_id")) & (F.col("rep_key") == F.col("text_key"))
-    found = materialize(made.join(rows, same).select("class", "prefix").dropDuplicates(["class"]), "near-prefixes")
-
-    def post(batch: pa.RecordBatch) -> pa.RecordBatch:
-        raw = batch.column(1).to_pylist()
-        who = np.repeat(np.arange(len(raw)), [len(x) // 8 for x in raw])
-        return pa.record_batch(
-            [pa.array(np.frombuffer(b"".join(raw), np.int64)), batch.column(0).take(pa.array(who))], names=["token", "class"]
-        )
-
-    return posting_lists(map_arrow(found, post, "token long, class binary"))
-
-
-def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b, exact) of the same group whose sketches allow a link. grouped: (token, exact,
-    class), and (block, component) where groups are blocks of a list; pairs of one component are
-    left out. Tokens are exact where they are of set prefixes, a pair where one of its tokens is.
-    A group has up to max(HOT, 2 BLOCK) members and goes to one task in sorted order."""
-    by_block = "block" in grouped.columns
-    keys = ["token", "exact", "block"] if by_block else ["token", "exact"]
-    rows = grouped.join(classes.select("class", "n_shingles", "odd"), "class")
-    extra = ["component"] if by_block else []
-    dealt = rows.select(*keys, "class", "n_shingles", "odd", *extra).repartition(*keys).sortWithinPartitions(*keys)
+    first = whole.where("members > 1").groupBy("members", "mark", "other_mark").agg(F.min("token").alias("token"), F.min("leader").alias("leader"))
+    rows = dealt.join(first.select("token", "members", "leader").hint("merge"), "token")
+    return rows.withColumn("leader", order == F.col("leader"))
+
+
+def first_groups(lists: DataFrame) -> DataFrame:
+    """(token, block, class): lists cut into blocks of about BLOCK members by a hash, the leader in
+    each, so that blocks hang together where it is alike."""
+    blocks = F.ceil(2 * F.col("members") / BLOCK).cast("int")
+    one = F.array(F.pmod(F.xxhash64(F.lit(31), "class"), blocks).cast("int"))
+    at = F.when(F.col("members") <= BLOCK, F.array(F.lit(0))).when(F.col("leader"), F.sequence(F.lit(0), blocks - 1)).otherwise(one)
+    return lists.select("token", "class", F.explode(at).alias("block")).withColumn("block", F.col("block").cast("long"))
+
+
+def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int, forest: bool) -> DataFrame:
+    """Pairs (a, b) of a group (token, block) that agree on enough coordinates and whose sketches
+    allow a link: a forest of the most alike, or all of different components (column component).
+    A group has up to 2 BLOCK members and goes to one task in sorted order."""
+    rows = grouped.join(classes.select("class", "n_shingles", "brief", "odd"), "class")
+    keys = ["token", "block"]
+    columns = [*keys, "class", "n_shingles", "brief", "odd"] + ([] if forest else ["component"])
+    dealt = rows.select(*columns).repartition(*keys).sortWithinPartitions(*keys)
+    least = matches_for(percent)
 
-    def compare(table: pa.Table) -> pa.RecordBatch | None:
+    def compare(table: pa.Table, starts: np.ndarray, lengths: np.ndarray) -> pa.RecordBatch | None:
+        """table: whole groups of these starts and lengths."""
         n = table.num_rows
-        edge = np.zeros(n, bool)
-        edge[0] = True
+        sizes = table.column("n_shingles").to_numpy()
+        briefs, odd = (_matrix(table.column(c).combine_chunks(), k) for c, k in (("brief", np.uint8), ("odd", np.uint64)))
+        partners = np.repeat(starts + lengths, lengths) - np.arange(n) - 1
+        left = np.repeat(np.arange(n), partners)
+        right = left + 1 + np.arange(len(left)) - np.repeat(np.cumsum(partners) - partners, partners)
+        kept = may_link(odd[left], odd[right], sizes[left], sizes[right], percent)
+        left, right = left[kept], right[kept]
+        agree = (briefs[left] == briefs[right]).sum(axis=1)
+        left, right, agree = (x[agree >= least] for x in (left, right, agree))
+        if forest:
+            chosen = _forest(left, right, np.bitwise_count(odd[left] ^ odd[right]).sum(axis=1, dtype=np.int64) - (agree << 16), n)
+        else:
+            own = table.column("component").combine_chunks().dictionary_encode().indices.to_numpy()
+            chosen = np.flatnonzero(own[left] != own[right])
+        if not len(chosen):
+            return None
+        names = np.array(table.column("class").to_pylist(), object)
+        x, y = names[left[chosen]], names[right[chosen]]
+        return pa.record_batch([pa.array(np.minimum(x, y), pa.binary()), pa.array(np.maximum(x, y), pa.binary())], names=["a", "b"])
+
+    def whole_groups(table: pa.Table) -> Iterator[pa.RecordBatch]:
+        edge = np.ones(table.num_rows, bool)
+        edge[1:] = False
         for name in keys:
             column = table.column(name).to_numpy()
             edge[1:] |= column[1:] != column[:-1]
         starts = np.flatnonzero(edge)
-        ends = np.repeat(np.append(starts[1:], n), np.diff(np.append(starts, n)))
-        partners = ends - np.arange(n) - 1
-        sizes = table.column("n_shingles").to_numpy()
-        sketches = _sketches(table.column("odd").combine_chunks())
-        names = table.column("class").to_pylist()
-        exact = table.column("exact").to_pylist()
-        own = table.column("component").to_pylist() if by_block else None
-        upto = np.cumsum(partners)
-        out_a, out_b, out_exact, at = [], [], [], 0
-        while at < n:  # rows with about PAIRS_AT_ONCE pairs
-            past = upto[at - 1] if at else 0
-            to = max(at + 1, int(np.searchsorted(upto, past + PAIRS_AT_ONCE, "right")))
-            count = partners[at:to]
-            left = np.repeat(np.arange(at, to), count)
-            right = left + 1 + np.arange(len(left)) - np.repeat(np.cumsum(count) - count, count)
-            kept = may_link(sketches[left], sketches[right], sizes[left], sizes[right], percent)
-            for i, j in zip(left[kept].tolist(), right[kept].tolist(), strict=True):
-                if own is None or own[i] != own[j]:
-                    out_a.append(min(names[i], names[j]))
-                    out_b.append(max(names[i], names[j]))
-                    out_exact.append(exact[i])
+        lengths = np.diff(np.append(starts, table.num_rows))
+        upto = np.cumsum(lengths * (lengths - 1) // 2)
+        at = 0
+        while at < len(starts):  # groups with about PAIRS_AT_ONCE pairs
+            to = max(at + 1, int(np.searchsorted(upto, (upto[at - 1] if at else 0) + PAIRS_AT_ONCE, "right")))
+            part = table.slice(starts[at], lengths[at:to].sum())
+            if (found := compare(part, starts[at:to] - starts[at], lengths[at:to])) is not None:
+                yield found
             at = to
-        if not out_a:
-            return None
-        columns = [pa.array(out_a, pa.binary()), pa.array(out_b, pa.binary()), pa.array(out_exact, pa.bool_())]
-        return pa.record_batch(columns, names=["a", "b", "exact"])
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         open_rows: pa.Table | None = None
@@ -306,109 +277,99 @@ def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int) -> DataFr
                 last &= column == column[-1]
             cut = int(np.argmax(last))
             open_rows = table.slice(cut)
-            if cut and (found := compare(table.slice(0, cut))) is not None:
-                yield found
-        if open_rows is not None and (found := compare(open_rows)) is not None:
-            yield found
+            if cut:
+                yield from whole_groups(table.slice(0, cut))
+        if open_rows is not None:
+            yield from whole_groups(open_rows)
         give_back()
 
     small_batches(grouped.sparkSession)
-    return once(dealt.mapInArrow(run, "a binary, b binary, exact boolean").where("a < b"))
+    return dealt.mapInArrow(run, "a binary, b binary").where("a < b").distinct()
 
 
-def once(pairs: DataFrame) -> DataFrame:
-    return pairs.groupBy("a", "b").agg(F.max("exact").alias("exact"))
+PAIRS_AT_ONCE = 1 << 16
 
 
-PAIRS_AT_ONCE = 1 << 15
+def _forest(left: np.ndarray, right: np.ndarray, cost: np.ndarray, n: int) -> np.ndarray:
+    """Indices of a spanning forest's pairs, cheapest first."""
+    above = list(range(n))
 
+    def top(x: int) -> int:
+        while above[x] != x:
+            above[x] = x = above[above[x]]
+        return x
 
-def leader_pairs(hot: DataFrame) -> DataFrame:
-    """Pairs of the leaders of each list of set prefixes with its members. Leaders go by a
-    seeded hash, the same in all lists."""
-    heads = _least(hot, F.struct(F.xxhash64(F.lit(0), "class").alias("h"), F.col("class").alias("class")))
-    return (
-        hot.select("token", "class")
-        .join(heads, "token")
-        .where(F.col("class") != F.col("leader"))
-        .select(F.least("leader", "class").alias("a"), F.greatest("leader", "class").alias("b"), F.lit(True).alias("exact"))
-        .distinct()
-    )
-
+    chosen = []
+    order = np.argsort(cost, kind="stable")
+    for k, x, y in zip(order.tolist(), left[order].tolist(), right[order].tolist(), strict=True):
+        x, y = top(x), top(y)
+        if x != y:
+            above[x] = y
+            chosen.append(k)
+    return np.array(chosen, np.int64)
 
-def _least(lists: DataFrame, order) -> DataFrame:
-    """LEADERS members of each list: the least by `order` of each of LEADERS hash classes, so
-    plain minima with partial aggregation find them."""
-    part = F.pmod(F.xxhash64(F.lit(977), "class"), F.lit(LEADERS)).alias("part")
-    picked = lists.groupBy("token", part).agg(F.min(order).alias("o"))
-    return picked.select("token", F.col("o.class").alias("leader"))
 
-
-def with_component(rows: DataFrame, components: DataFrame) -> DataFrame:
-    joined = rows.join(components.withColumnRenamed("node", "class"), "class", "left")
+def with_component(rows: DataFrame, placed: DataFrame) -> DataFrame:
+    joined = rows.join(placed.withColumnRenamed("node", "class"), "class", "left")
     return joined.withColumn("component", F.coalesce("component", "class"))
 
 
-def matching(pairs: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) whose sketches allow a link, and that are exact or agree on as many
-    coordinates as `percent` asks for."""
-    least = matches_for(percent)
-    pairs = materialize(pairs, "near-pairs")
-    met = pairs.select(F.explode(F.array("a", "b")).alias("class"))
-    known = classes.sparkSession.sparkContext.broadcast(key_filter(met.select(F.xxhash64("class"))))
-
-    def in_pairs(batch: pa.RecordBatch) -> pa.RecordBatch:
-        kept = pa.array(np.flatnonzero(in_filter(batch.column(0).to_numpy(), known.value)))
-        return batch.take(kept)
-
-    keyed = classes.select(F.xxhash64("class").alias("key"), "class", "sig", "odd", "n_shingles")
-    classes = map_arrow(keyed, in_pairs, keyed.schema)
-    left, right = (
-        classes.select(F.col("class").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in ("sig", "odd", "n_shingles"))) for x in "ab"
-    )
-    both = pairs.join(left, "a").join(right, "b").select("a", "b", "exact", *(f"{c}_{x}" for c in ("sig", "odd", "n_shingles") for x in "ab"))
-
-    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        exact = batch.column(2).to_numpy(zero_copy_only=False)
-        collisions = (_signatures(batch.column(3)) == _signatures(batch.column(4))).sum(axis=1)
-        sizes = batch.column(7).to_numpy(), batch.column(8).to_numpy()
-        near = may_link(_sketches(batch.column(5)), _sketches(batch.column(6)), *sizes, percent)
-        kept = pa.array(np.flatnonzero((exact | (collisions >= least)) & near))
-        return pa.record_batch([batch.column(0).take(kept), batch.column(1).take(kept)], names=["a", "b"])
-
-    return map_arrow(both, run, "a binary, b binary")
+def open_groups(lists: DataFrame, placed: DataFrame, scratch: Scratch) -> DataFrame:
+    """(token, block, class, component): the groups in which the members outside a list's largest
+    component meet all others. Lists within one component are closed. Members are cut into
+    blocks by a hash, those of the largest component (side 1) and the rest (side 0) for
+    themselves; a group holds two blocks of which one at least has side 0."""
+    at = scratch.write(with_component(lists, placed).select("token", "class", "component"), "labelled")
+    counts = at.groupBy("token", F.xxhash64("component").alias("label")).agg(F.count(F.lit(1)).alias("n"))
+    tops = counts.groupBy("token").agg(F.max(F.struct("n", "label")).alias("top"), F.sum("n").alias("all"))
+    open_lists = tops.where(F.col("top.n") < F.col("all")).select(
+        "token",
+        F.col("top.label").alias("largest"),
+        F.ceil(2 * (F.col("all") - F.col("top.n")) / BLOCK).cast("int").alias("rest_blocks"),
+        F.ceil(2 * F.col("top.n") / BLOCK).cast("int").alias("top_blocks"),
+    )  # blocks of BLOCK / 2 members on average, as a hash deals them
+    rows = at.join(open_lists, "token").withColumn("inside", F.xxhash64("component") == F.col("largest"))
+    own = F.pmod(F.xxhash64(F.lit(31), "class"), F.when(F.col("inside"), F.col("top_blocks")).otherwise(F.col("rest_blocks")))
+    rows = rows.withColumn("own", F.when(F.col("inside"), F.col("rest_blocks")).otherwise(0) + own)
+    rest = F.sequence(F.lit(0), F.col("rest_blocks") - 1)
+    every = F.sequence(F.lit(0), F.col("rest_blocks") + F.col("top_blocks") - 1)
+    single = (F.col("rest_blocks") == 1) & (F.col("top_blocks") == 1)  # one group holds all
+    others = F.when(single, F.array(F.lit(0))).when(F.col("inside"), rest).otherwise(every)
+    met = rows.withColumn("other", F.explode(others))
+    group = F.least("own", "other").cast("long") * (F.col("rest_blocks") + F.col("top_blocks")) + F.greatest("own", "other")
+    return met.select("token", F.when(single, F.lit(-1).cast("long")).otherwise(group).alias("block"), "class", "component")
 
 
 def confirm(pairs: DataFrame, classes: DataFrame, df: DataFrame, text: str, id_col: str, width: int, percent: int) -> DataFrame:
-    """Links (a, b) whose full sets are as similar as asked. The side with more pairs leads:
-    its set goes once to each block of its partners."""
+    """Links (a, b) whose full sets are as similar as asked. The set of a goes once to each block
+    of its partners."""
     blocks = F.pmod(F.xxhash64(F.lit(5), "b"), F.greatest(F.lit(1), F.ceil(F.col("pairs") / BLOCK))).cast("int")
-    sizes = pairs.groupBy("a").agg(F.count(F.lit(1)).alias("pairs"))
-    blocked = materialize(pairs.join(sizes, "a").select("a", "b", blocks.alias("block")), "near-blocks")
-    wanted = blocked.select(F.col("b").alias("class"), "a", "block", F.lit(1).alias("role")).unionByName(
-        blocked.select(F.col("a").alias("class"), "a", "block", F.lit(0).alias("role")).distinct()
-    )
-    rows = wanted.join(classes.select("class", F.col("rep.doc_id").alias("rep_id"), F.col("rep.text_key").alias("rep_key")), "class")
-    fetched = fetch_texts(rows, df, text, id_col).select("a", "block", "role", "class", "text")
+    counts = pairs.groupBy("a").agg(F.count(F.lit(1)).alias("pairs"))
+    blocked = pairs.join(counts, "a").select("a", "b", blocks.alias("block"))
+    roles = F.array(F.struct(F.lit(0).alias("role"), F.col("a").alias("class")), F.struct(F.lit(1).alias("role"), F.col("b").alias("class")))
+    asked = blocked.select("a", "block", F.explode(roles).alias("x")).select("a", "block", "x.role", "x.class").distinct()
+    rows = asked.join(classes.select("class", F.col("rep.doc_id").alias("rep_id"), F.col("rep.text_key").alias("rep_key")), "class")
+    texts = maybe_texts(rows.select("rep_key"), df, text, id_col)
+    same = F.col("rep_id").eqNullSafe(F.col("doc_id")) & (F.col("rep_key") == F.col("text_key"))
+    fetched = rows.join(texts, same).select("a", "block", "role", "class", "text")
     grouped = fetched.repartition(F.col("a"), F.col("block")).sortWithinPartitions("a", "block", "role", "class")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        leader, key, size = np.zeros(0, np.uint64), None, 0
-        last = None
+        none = np.zeros(0, np.uint64)
+        leader, key, last = (none, none), None, None
         for whole in batches:
-            for batch in slices(whole, 4 << 20):
+            for batch in slices(whole):
                 a, block, role, members = (batch.column(i).to_pylist() for i in range(4))
                 out = []
-                for i, s in enumerate(all_shingles(text_bytes(batch.column(4)), width)):
+                for i, s in enumerate(wide_shingles(text_bytes(batch.column(4)), width)):
                     if role[i] == 0:
-                        leader, key, size = s, (a[i], block[i]), len(s)
-                        last = None
+                        leader, key, last = s, (a[i], block[i]), None
                         continue
-                    if key != (a[i], block[i]) or members[i] == last:
+                    if key != (a[i], block[i]) or members[i] == last:  # a repeated row of the class
                         continue
                     last = members[i]
                     common = _common(leader, s)
-                    if 100 * common >= percent * (size + len(s) - common):
+                    if 100 * common >= percent * (len(leader[0]) + len(s[0]) - common):
                         out.append((a[i], members[i]))
                 if out:
                     yield pa.record_batch(
@@ -416,124 +377,120 @@ def confirm(pairs: DataFrame, classes: DataFrame, df: DataFrame, text: str, id_c
                     )
         give_back()
 
-    return materialize(grouped.mapInArrow(run, "a binary, b binary"), "near-links")
+    return grouped.mapInArrow(run, "a binary, b binary")
 
 
-def _common(a: np.ndarray, b: np.ndarray) -> int:
-    """Size of the intersection of two sorted distinct arrays."""
-    if not len(a) or not len(b):
+def _common(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> int:
+    """Size of the intersection of two sets of two-lane hashes, sorted by the first lane."""
+    if not len(a[0]) or not len(b[0]):
         return 0
-    at = np.searchsorted(a, b)
-    at[at == len(a)] = len(a) - 1
-    return int((a[at] == b).sum())
+    at = np.searchsorted(a[0], b[0])
+    at[at == len(a[0])] = 0
+    return int(((a[0][at] == b[0]) & (a[1][at] == b[1])).sum())
 
 
-FILTER_BYTES = 8 << 20
+FILTER_WORDS = 1 << 20
 
 
 def key_filter(keys: DataFrame) -> np.ndarray:
-    """Bit array of hashed keys; one of FILTER_BYTES at most is made in each task and sent."""
+    """Bits of hashed 64-bit keys, FILTER_WORDS words of 64 at most. One that many more keys fill
+    lets every row pass; what uses it is exact without it."""
     n = keys.count()
-    bits = min(FILTER_BYTES * 8, 1 << max(13, (max(n, 1) * 16 - 1).bit_length()))
+    words = min(FILTER_WORDS, 1 << max(7, (max(n, 1) // 4).bit_length()))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = np.zeros(bits, bool)
+        own = np.zeros(words, np.uint64)
         for batch in batches:
-            for at in _bits_of(batch.column(0).to_numpy(), bits):
-                own[at] = True
-        if own.any():
-            at = np.flatnonzero(np.packbits(own).reshape(-1))
-            yield pa.record_batch([pa.array(at), pa.array(np.packbits(own)[at].astype(np.int64))], names=["at", "v"])
+            for at, bit in _places(batch.column(0).to_numpy(), words):
+                np.bitwise_or.at(own, at, bit)
+        at = np.flatnonzero(own)
+        yield pa.record_batch([pa.array(at), pa.array(own[at].view(np.int64))], names=["at", "v"])
 
-    total = np.zeros(bits // 8, np.uint8)
+    total = np.zeros(words, np.uint64)
     merged = keys.mapInArrow(run, "at long, v long").groupBy("at").agg(F.bit_or("v").alias("v")).toArrow()
-    total[merged.column(0).to_numpy()] = merged.column(1).to_numpy().astype(np.uint8)
-    return np.unpackbits(total).astype(bool)
+    total[merged.column(0).to_numpy()] = merged.column(1).to_numpy().view(np.uint64)
+    return total
 
 
-def _bits_of(keys: np.ndarray, bits: int) -> list[np.ndarray]:
+def _places(keys: np.ndarray, words: int) -> list[tuple[np.ndarray, np.ndarray]]:
+    """(word, bit) of each key, twice."""
     h = mix64(keys.astype(np.int64).view(np.uint64))
-    mask = np.uint64(bits - 1)
-    return [(h & mask).astype(np.int64), ((h >> np.uint64(32)) & mask).astype(np.int64)]
+    mask, six = np.uint64(words - 1), np.uint64(63)
+    return [(((h >> np.uint64(s)) & mask).astype(np.int64), np.uint64(1) << ((h >> np.uint64(s + 26)) & six)) for s in (0, 32)]
 
 
-def in_filter(keys: np.ndarray, table: np.ndarray) -> np.ndarray:
-    a, b = _bits_of(keys, len(table))
-    return table[a] & table[b]
+def in_filter(keys: np.ndarray, words: np.ndarray) -> np.ndarray:
+    found = np.ones(len(keys), bool)
+    for at, bit in _places(keys, len(words)):
+        found &= (words[at] & bit) != 0
+    return found
 
 
-def connect(links: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """(node, component): the least node of each component, for all linked nodes. Large-star
-    and small-star rounds: every node hands its larger, then its smaller neighbours to its
-    least one, until nothing moves."""
-    edges = materialize(
-        links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), "near-edges"
-    )
+def maybe_texts(keys: DataFrame, df: DataFrame, text: str, id_col: str) -> DataFrame:
+    """(doc_id, text_key, text) of the rows whose text_key is among the keys, and a few more."""
+    shared = df.sparkSession.sparkContext.broadcast(key_filter(keys))
+    base = keyed_texts(df, text, id_col)
+
+    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+        return batch.take(pa.array(np.flatnonzero(in_filter(batch.column(1).to_numpy(), shared.value))))
+
+    return map_arrow(base, run, base.schema)
+
+
+def connect(links: DataFrame, scratch: Scratch, max_rounds: int = 60) -> DataFrame:
+    """(node, component): the least node of each component, for all linked nodes. Every node hands
+    its larger neighbours, then its smaller ones, to its least one (large and small stars), until
+    no node has two smaller neighbours or lies between two. Least neighbours are plain minima
+    with partial aggregation and meet the edges by a join, so a hub's edges need no one task."""
+    edges = scratch.write(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), "edges")
     for _ in range(max_rounds):
-        both = edges.select("u", "v").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("m", "u"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        large = materialize(large, "near-large")
-        small_least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(small_least, "u")
-        moved = small.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        kept = small_least.select("u", F.col("m").alias("v"))
-        after = materialize(moved.unionByName(kept).distinct(), "near-edges")
-        n_moved = _digest(after)
-        if n_moved == _digest(edges):
-            break
+        both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
+        smaller = F.when(F.col("v") < F.col("u"), F.col("v"))
+        least = both.groupBy("u").agg(F.min("v").alias("m"), F.max(smaller).alias("top"), F.max(F.col("v") > F.col("u")).alias("has_larger"))
+        least = scratch.write(least, "least")
+        if not least.where((F.col("top") != F.col("m")) | (F.col("top").isNotNull() & F.col("has_larger"))).take(1):
+            return least.select(F.col("u").alias("node"), F.least("u", "m").alias("component"))
+        low = least.select(F.col("u").alias("v"), F.least("u", "m").alias("m"))
+        large = scratch.write(edges.join(low, "v").select("u", F.col("m").alias("v")), "large")
+        least_small = large.groupBy("u").agg(F.min("v").alias("m"))
+        moved = large.join(least_small, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        after = scratch.write(moved.unionByName(least_small.select("u", F.col("m").alias("v"))), "edges")
+        scratch.drop(edges, least, large)
         edges = after
         release(links.sparkSession)
-    else:
-        raise RuntimeError("components did not settle")
-    node = edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
-    own = edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
-    return node.unionByName(own)
-
-
-def _digest(edges: DataFrame) -> tuple:
-    return tuple(edges.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("u", "v"))).first())
+    raise RuntimeError("components did not settle")
 
 
 def components(df: DataFrame, text: str = "text", id_col: str = "doc_id", width: int = 3, percent: int = 85) -> DataFrame:
     """(doc_id, text_key, n_shingles, component_id, kept) of every row. Rows are linked when
     100 * intersection >= percent * union of their shingle sets, and components are the
     closure; component_id is the least id of the component."""
-    rows = sets_table(df, text, id_col, width)
-    classes = materialize(
-        rows.where(F.col("class").isNotNull())
-        .groupBy("class")
-        .agg(F.min(F.struct("doc_id", "text_key")).alias("rep"), *(F.min(c).alias(c) for c in ("sig", "odd", "n_shingles"))),
-        "near-classes",
-    )
-    lists = posting_lists(postings(classes, percent))
-    release(df.sparkSession)
-    met = lists.where(F.col("members") <= SMALL).select("token", F.lit(False).alias("exact"), "class")
-    wide = lists.where(F.col("members") > SMALL)
-    hot: DataFrame | None = None
-    if wide.take(1):
-        sub = set_lists(wide.select("class").distinct(), classes, df, text, id_col, width, percent)
-        met = met.unionByName(sub.where(F.col("members") <= HOT).select("token", F.lit(True).alias("exact"), "class"))
-        hot = sub.where(F.col("members") > HOT)
-        release(df.sparkSession)
-        if not hot.take(1):
-            hot = None
-    pairs = likely_pairs(met, classes, percent)
-    if hot is not None:
-        pairs = once(pairs.unionByName(leader_pairs(hot)))
-    none = df.sparkSession.createDataFrame([], "node binary, component binary")
-    links, placed = linked(pairs, None, classes, df, text, id_col, width, percent)
-    if hot is not None:
-        release(df.sparkSession)
-        blocks = open_blocks(hot.select("token", "class"), none if placed is None else placed)
-        found, joined = linked(likely_pairs(blocks, classes, percent), links, classes, df, text, id_col, width, percent)
-        placed = joined if found is not None else placed
-    if placed is None:
-        placed = none
+    spark = df.sparkSession
+    scratch = Scratch(spark, "near")
+    rows = scratch.write(sets_table(df, text, id_col, width), "sets")
+    found = rows.where(F.col("class").isNotNull()).groupBy("class")
+    made = found.agg(F.min(F.struct("doc_id", "text_key")).alias("rep"), *(F.min(c).alias(c) for c in ("sig", "brief", "odd", "n_shingles")))
+    classes = scratch.write(made, "classes")
+    lists = scratch.write(posting_lists(postings(classes, percent)), "lists")
+    release(spark)
+    alike = scratch.write(likely_pairs(first_groups(lists), classes, percent, forest=True), "alike")
+    links = scratch.write(confirm(alike, classes, df, text, id_col, width, percent), "links")
+    release(spark)
+    placed = connect(links, scratch)
+    groups = open_groups(lists, placed, scratch)
+    apart = likely_pairs(groups, classes, percent, forest=False).join(alike, ["a", "b"], "left_anti")
+    apart = scratch.write(apart, "apart")
+    release(spark)
+    if apart.take(1):
+        more = scratch.write(confirm(apart, classes, df, text, id_col, width, percent), "links")
+        if more.take(1):
+            placed = joined(placed, more, scratch)
+        release(spark)
+    scratch.drop(lists, alike, links, apart)
     labelled = with_component(classes.select("class", F.col("rep.doc_id").alias("least")), placed)
     least = labelled.groupBy("component").agg(F.min("least").alias("component_id"))
     of_class = labelled.join(least, "component").select("class", "component_id")
-    out = rows.drop("sig", "odd").join(of_class, "class", "left")
+    out = rows.drop("sig", "brief", "odd").join(of_class, "class", "left")
     alone = F.col("class").isNull()
     component_id = F.when(alone, F.col("doc_id")).otherwise(F.col("component_id"))
     return out.select(
@@ -545,66 +502,30 @@ def components(df: DataFrame, text: str = "text", id_col: str = "doc_id", width:
     )
 
 
-def linked(
-    pairs: DataFrame, links: DataFrame | None, classes: DataFrame, df: DataFrame, text: str, id_col: str, width: int, percent: int
-) -> tuple[DataFrame | None, DataFrame | None]:
-    """The links so far with those of the pairs that are confirmed, and their components."""
-    matched = materialize(matching(pairs, classes, percent), "near-matches")
-    release(df.sparkSession)
-    if not matched.take(1):
-        return links, None if links is None else materialize(connect(links), "near-components")
-    # A pair of each class first: most others then lie within a component and need no texts.
-    pending = matched.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
-    for last in (False, True):
-        new = confirm(pending, classes, df, text, id_col, width, percent)
-        links = new if links is None else links.unionByName(new)
-        placed = materialize(connect(links), "near-components")
-        release(df.sparkSession)
-        if not last:
-            side = {x: placed.select(F.col("node").alias(x), F.col("component").alias(f"in_{x}")) for x in "ab"}
-            apart = matched.join(side["a"], "a", "left").join(side["b"], "b", "left")
-            apart = apart.where(F.coalesce("in_a", "a") != F.coalesce("in_b", "b")).select("a", "b")
-            pending = materialize(apart.join(pending, ["a", "b"], "left_anti"), "near-apart")
-            if not pending.take(1):
-                break
-    return links, placed
-
-
-def open_blocks(hot: DataFrame, placed: DataFrame) -> DataFrame:
-    """(token, exact, block, class, component): the groups in which the members outside a list's
-    largest component meet all others. Lists within one component are closed. Members are cut
-    into blocks by a hash, those of the largest component (side 1) and the rest (side 0) for
-    themselves; a group holds two blocks of which one at least has side 0."""
-    at = materialize(with_component(hot, placed).select("token", "class", "component"), "near-open")
-    counts = at.groupBy("token", "component").agg(F.count(F.lit(1)).alias("n"))
-    tops = counts.groupBy("token").agg(F.max(F.struct("n", "component")).alias("top"), F.sum("n").alias("all"))
-    lists = tops.where(F.col("top.n") < F.col("all")).select(
-        "token",
-        F.col("top.component").alias("largest"),
-        F.ceil(2 * (F.col("all") - F.col("top.n")) / BLOCK).cast("int").alias("rest_blocks"),
-        F.ceil(2 * F.col("top.n") / BLOCK).cast("int").alias("top_blocks"),
-    )  # blocks of BLOCK / 2 members on average, as a hash deals them
-    rows = at.join(lists, "token").withColumn("side", (F.col("component") == F.col("largest")).cast("int"))
-    own = F.pmod(F.xxhash64(F.lit(31), "class"), F.when(F.col("side") == 1, F.col("top_blocks")).otherwise(F.col("rest_blocks")))
-    rows = rows.withColumn("own", F.when(F.col("side") == 1, F.col("rest_blocks")).otherwise(0) + own)
-    rest = F.sequence(F.lit(0), F.col("rest_blocks") - 1)
-    every = F.sequence(F.lit(0), F.col("rest_blocks") + F.col("top_blocks") - 1)
-    partners = rows.withColumn("other", F.explode(F.when(F.col("side") == 1, rest).otherwise(every)))
-    group = (F.least("own", "other").cast("long") * (F.col("rest_blocks") + F.col("top_blocks")) + F.greatest("own", "other")).alias("block")
-    return partners.select("token", F.lit(True).alias("exact"), group, "class", "component")
+def joined(placed: DataFrame, links: DataFrame, scratch: Scratch) -> DataFrame:
+    """Components after further links between them."""
+    ends = links
+    for x in "ab":
+        ends = ends.join(placed.select(F.col("node").alias(x), F.col("component").alias(f"in_{x}")), x, "left")
+    ends = ends.select(*(F.coalesce(f"in_{x}", x).alias(x) for x in "ab"))
+    upper = connect(ends, scratch).select(F.col("node").alias("component"), F.col("component").alias("upper"))
+    moved = placed.join(upper, "component", "left").select("node", F.coalesce("upper", "component").alias("component"))
+    fresh = upper.join(placed, upper["component"] == placed["node"], "left_anti")
+    return moved.unionByName(fresh.select(F.col("component").alias("node"), F.col("upper").alias("component")))
 
 
 def drop_near_duplicates(df: DataFrame, text: str = "text", id_col: str = "doc_id", width: int = 5, percent: int = 80) -> DataFrame:
     """The input's rows, one of each component. Rows that share an id are told apart by text,
     and of rows equal in both one stays."""
     names = df.columns
-    found = components(df, text, id_col, width, percent)
+    spark = df.sparkSession
+    found = Scratch(spark, "near-found").write(components(df, text, id_col, width, percent), "components")
     gone = found.where(~F.col("kept")).select("doc_id", "text_key").distinct()
-    repeated = bool(found.where("kept").groupBy("doc_id").count().where("count > 1").take(1))
-    keyed = df.withColumn("near_key", F.xxhash64(text))
-    rest = keyed.join(
-        gone, keyed[id_col].eqNullSafe(gone["doc_id"]) & (keyed["near_key"] == gone["text_key"]), "left_anti"
-    )
+    same_id = found.where("kept").groupBy("doc_id").count().where("count > 1")
+    repeated = bool(same_id.take(1))
+    packed = df.select(F.struct(*(F.col(f"`{n}`") for n in names)).alias("row"))
+    keyed = packed.select("row", F.col(f"row.`{id_col}`").cast("long").alias("id"), F.xxhash64(F.col(f"row.`{text}`")).alias("key"))
+    rest = keyed.join(gone, F.col("id").eqNullSafe(F.col("doc_id")) & (F.col("key") == F.col("text_key")), "left_anti")
     if repeated:
-        rest = rest.dropDuplicates([id_col, "near_key"])
-    return rest.select(*names)
+        rest = rest.dropDuplicates(["id", "key"])
+    return rest.select("row.*")
