@@ -69,7 +69,7 @@ def with_digest(df: DataFrame, cols: list[str], algo: str = "xx128", seed: int =
     """Add the digest words; null for a row with a null key column.
 
     xx128 and xx64 use xxhash64 under two seeds; md5 takes 15 hex digits a word of the md5 of
-    the key's text, which other engines can repeat."""
+    the key's text, which other engines can repeat; bits:n keeps n bits, to see clashes."""
     types = {f.name: f.dataType for f in df.schema.fields}
     keys = [canonical(F.col(c), types[c]) for c in cols]
     some_null = F.lit(False)
@@ -82,6 +82,9 @@ def with_digest(df: DataFrame, cols: list[str], algo: str = "xx128", seed: int =
         first = F.xxhash64(F.lit(seed), *keys)
         second = F.xxhash64(F.lit(seed + 7919), *keys) if algo == "xx128" else F.xxhash64(first, F.lit(7919))
         words = [first, second]
+    elif algo.startswith("bits:"):
+        first = F.xxhash64(F.lit(seed), *keys).bitwiseAND(F.lit((1 << int(algo[5:])) - 1))
+        words = [first, F.xxhash64(first, F.lit(7919))]
     else:
         raise ValueError(f"unknown digest {algo}")
     return df.withColumns({hi: F.when(~some_null, words[0]), lo: F.when(~some_null, words[1])})

@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
 from ..functions import hashing
+from ..sources.shared import keep
 from . import build as band
 from .lookup import lookup, probe
 from .solve import Keys
@@ -88,9 +89,9 @@ def build_perfect_hash(df: DataFrame, cols: list[str], shard_keys: int = 1 << 16
                     names=["shard", "hi", "lo", "value", "n_cells", "attempt"],
                 )
 
-    placed = dealt.mapInArrow(run, "shard int, hi long, lo long, value long, n_cells long, attempt long").persist()
+    placed = keep(dealt.mapInArrow(run, "shard int, hi long, lo long, value long, n_cells long, attempt long"), "placed")
     p = band.replace(band.BandParams(), r=2, n_shards=n_shards, **options).resolved()
-    choice = band.BandStructure(p, "xx128", 1, band.solved(placed.select("hi", "lo", "value"), p))
+    choice = band.BandStructure(p, "xx128", 1, keep(band.solved(placed.select("hi", "lo", "value"), p), "choice"))
     per_shard = placed.groupBy("shard").agg(F.max("n_cells").alias("n_cells"), F.max("attempt").alias("attempt"))
     # A row for each shard: prefix sums over the shards' sizes.
     before = F.sum("n_cells").over(W.partitionBy(F.lit(0)).orderBy("shard").rowsBetween(W.unboundedPreceding, -1))
@@ -126,7 +127,7 @@ def ordered_codes(df: DataFrame, col: str, out: str = "code") -> DataFrame:
     """(value, code): dense codes from 0 in the values' order. Distinct values are dealt by
     range and numbered within their partition; only counts by partition meet in one place."""
     values = df.select(col).where(F.col(col).isNotNull()).distinct()
-    ranged = values.repartitionByRange(col).withColumn("part", F.spark_partition_id()).persist()
+    ranged = keep(values.repartitionByRange(col).withColumn("part", F.spark_partition_id()), "ranged")
     counts = ranged.groupBy("part").agg(F.count(F.lit(1)).alias("n"))
     before = F.sum("n").over(W.partitionBy(F.lit(0)).orderBy("part").rowsBetween(W.unboundedPreceding, -1))
     offsets = counts.withColumn("base", F.coalesce(before, F.lit(0))).select("part", "base")

@@ -17,7 +17,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import hashing
+from ..sources.shared import keep
 from . import build as band
+from . import metadata
 from .solve import Keys
 
 _MASK32 = np.uint64(0xFFFFFFFF)
@@ -34,9 +36,10 @@ def _scaled(x: np.ndarray, n: int, round_no: int) -> np.ndarray:
 # ---- peeling ------------------------------------------------------------------------------
 
 
-def peel(edges: np.ndarray, m: int) -> list[tuple[np.ndarray, np.ndarray]] | None:
+def peel(edges: np.ndarray, m: int, late: int | None = None) -> list[tuple[np.ndarray, np.ndarray]] | None:
     """Rounds of (keys, the slot that each owns); -1 pads an edge. None if a core remains.
-    All keys with a slot of their own leave together; none of them touches another's slot."""
+    All keys with a slot of their own leave together; none of them touches another's slot. Slots
+    from `late` on are only owned where no earlier one can be."""
     n, k = edges.shape
     flat, key = edges.reshape(-1), np.repeat(np.arange(n), k)
     real = flat >= 0
@@ -45,13 +48,23 @@ def peel(edges: np.ndarray, m: int) -> list[tuple[np.ndarray, np.ndarray]] | Non
     np.bitwise_xor.at(mix, flat[real], key[real])
     alive, rounds, left = np.ones(n, bool), [], n
     slots = np.flatnonzero(degree == 1)
-    while len(slots):
+    waiting = np.zeros(0, np.int64)
+    while len(slots) or len(waiting):
+        if late is not None:
+            slots = np.union1d(slots, waiting)
+            slots = slots[degree[slots] == 1]
+            early = slots < late
+            some = max(1, len(slots) // 8)  # a few late ones, then early ones may be free again
+            slots, waiting = (slots[early], slots[~early]) if early.any() else (slots[:some], slots[some:])
         keys, first = np.unique(mix[slots], return_index=True)
         own = slots[first]
         keep = alive[keys]
         keys, own = keys[keep], own[keep]
         if not len(keys):
-            break
+            if late is None or not len(waiting):
+                break
+            slots = keys
+            continue
         rounds.append((keys, own))
         alive[keys] = False
         left -= len(keys)
@@ -153,12 +166,53 @@ class Slots:
         return np.bitwise_xor.reduce(np.where(e >= 0, self.z[np.maximum(e, 0)], np.uint64(0)), axis=1)
 
     def bits(self) -> float:
-        if self.kind == "xorplus":  # a bit for each slot of the last third, and only its entries
-            third = self.m // 3
-            return 2 * third * self.r + third * 1.25 + np.count_nonzero(self.z[2 * third :]) * self.r
         return self.m * self.r
 
 
+RANK_SLOTS = 512
+
+
+@dataclass
+class RankedSlots(Slots):
+    """Of the last third only the entries that are not zero are stored, found by a bit for each
+    slot and the number of set bits before every RANK_SLOTS slots. z holds the first two thirds
+    and then those entries; peeling prefers early slots, so that many late ones stay zero."""
+
+    marks: np.ndarray | None = None
+    ranks: np.ndarray | None = None
+
+    @staticmethod
+    def of(full: Slots) -> RankedSlots:
+        head = 2 * (full.m // 3)
+        tail = full.z[head:]
+        padded = np.zeros(-(-len(tail) // RANK_SLOTS) * RANK_SLOTS, np.uint8)
+        padded[: len(tail)] = tail != 0
+        per = padded.reshape(-1, RANK_SLOTS).sum(axis=1, dtype=np.int64)
+        z = np.concatenate([full.z[:head], tail[tail != 0]])
+        return RankedSlots(full.kind, full.m, full.attempt, z, full.r, np.packbits(padded, bitorder="little"), (np.cumsum(per) - per).astype(np.uint32))
+
+    def value(self, hi: np.ndarray, lo: np.ndarray) -> np.ndarray:
+        e = self.edges(hi)
+        head = 2 * (self.m // 3)
+        out = self.z[e[:, 0]] ^ self.z[e[:, 1]]
+        at = e[:, 2] - head
+        words = self.marks.view("<u8").reshape(-1, RANK_SLOTS // 64)
+        block, inside = at // RANK_SLOTS, at % RANK_SLOTS
+        word, bit = inside // 64, (inside % 64).astype(np.uint64)
+        row = words[block]
+        whole = np.bitwise_count(row).astype(np.int64)
+        before = np.where(np.arange(row.shape[1]) < word[:, None], whole, 0).sum(axis=1)
+        own = row[np.arange(len(at)), word]
+        below = np.bitwise_count(own & ((np.uint64(1) << bit) - np.uint64(1))).astype(np.int64)
+        here = (own >> bit) & np.uint64(1) == 1
+        place = head + self.ranks[block].astype(np.int64) + before + below
+        out[here] ^= self.z[place[here]]
+        return out
+
+    def bits(self) -> float:
+        return len(self.z) * self.r + self.marks.nbytes * 8 + self.ranks.nbytes * 8
+
+
 def build_peeling(kind: str, keys: Keys, r: int) -> Slots:
     make, load = PEELING[kind]
     n = len(keys)
@@ -166,8 +220,9 @@ def build_peeling(kind: str, keys: Keys, r: int) -> Slots:
         m = int(math.ceil(load * (1 + 0.01 * attempt * (1 + attempt / 8)) * n)) + 96
         m += -m % 3
         edges = make(keys.hi, m, attempt)
-        if (rounds := peel(edges, m)) is not None:
-            return Slots(kind, m, attempt, assign(edges, rounds, keys.value, m), r)
+        if (rounds := peel(edges, m, 2 * (m // 3) if kind == "xorplus" else None)) is not None:
+            made = Slots(kind, m, attempt, assign(edges, rounds, keys.value, m), r)
+            return RankedSlots.of(made) if kind == "xorplus" else made
     raise RuntimeError(f"{kind}: no peelable graph")
 
 
@@ -456,139 +511,421 @@ def build_multilevel(kind: str, keys: Keys, r: int) -> Multilevel:
 
 
 class Cuckoo:
-    """Buckets of four fingerprints; a key may be in either of two, tied by its fingerprint."""
+    """Buckets of fingerprints; a key may be in either of two, tied by its fingerprint: from an
+    even bucket an odd step leads on, from an odd one back. Keys come in batches: those that
+    find room in a bucket enter together, the others displace one entry a bucket and round."""
 
-    def __init__(self, n: int, r: int, load: float = 0.94, max_kicks: int = 500, seed: int = 1) -> None:
-        self.r, self.slots, self.max_kicks = r + 3, 4, max_kicks  # 8 candidate slots cost 3 bits
-        self.n = 1 << max(1, math.ceil(math.log2(max(1, n) / (self.slots * load))))
-        self.table: list[list[int]] = [[] for _ in range(self.n)]
-        self.random = np.random.default_rng(seed)
-
-    def parts(self, hi: int, lo: int) -> tuple[int, int]:
-        return hi & (self.n - 1), (lo & ((1 << self.r) - 1)) or 1
+    slots, load, extra_bits = 4, 0.94, 3  # 8 candidate slots cost 3 bits
 
-    def other(self, bucket: int, tag: int) -> int:
-        return bucket ^ ((tag * 0x5BD1E995) & (self.n - 1))
+    def __init__(self, n: int, r: int, seed: int = 1, max_rounds: int = 4000) -> None:
+        self.r, self.max_rounds = r + self.extra_bits, max_rounds
+        self.n = self.buckets_for(max(1, n))
+        self.table = np.zeros((self.n, self.slots), np.uint64)
+        self.used = np.zeros(self.n, np.int64)
+        self.random = np.random.default_rng(seed)
 
-    def insert(self, hi: int, lo: int) -> bool:
+    def buckets_for(self, n: int) -> int:
+        return 2 * math.ceil(n / (2 * self.slots * self.load) + 1)
+
+    def parts(self, hi: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        tag = np.asarray(lo, np.uint64) & np.uint64((1 << self.r) - 1)
+        return _scaled(np.asarray(hi, np.uint64), self.n, 1200), np.maximum(tag, np.uint64(1))
+
+    def other(self, bucket: np.ndarray, tag: np.ndarray) -> np.ndarray:
+        step = 2 * _scaled(tag, max(1, self.n // 2), 1201) + 1
+        return np.where(bucket % 2 == 0, bucket + step, bucket - step) % self.n
+
+    def room(self, bucket: np.ndarray) -> np.ndarray:
+        return self.slots - self.used[bucket]
+
+    def _place(self, bucket: np.ndarray, tag: np.ndarray) -> np.ndarray:
+        """Which of the entries found room; those of a bucket in their order."""
+        order = np.argsort(bucket, kind="stable")
+        b = bucket[order]
+        rank = _rank_in_runs(b)
+        ok = rank < self.room(b)
+        at = b[ok]
+        self.table[at, self.used[at] + rank[ok]] = tag[order[ok]]
+        np.add.at(self.used, at, 1)
+        placed = np.zeros(len(bucket), bool)
+        placed[order[ok]] = True
+        return placed
+
+    def left(self, bucket: np.ndarray) -> None:
+        """Entries of these buckets had to go to their other bucket."""
+
+    def insert(self, hi: np.ndarray, lo: np.ndarray) -> bool:
+        """False where the table is too full; it is then to be built anew, larger."""
         bucket, tag = self.parts(hi, lo)
-        for at in (bucket, self.other(bucket, tag)):
-            if len(self.table[at]) < self.slots:
-                self.table[at].append(tag)
-                return True
-        for _ in range(self.max_kicks):
-            k = int(self.random.integers(self.slots))
-            tag, self.table[bucket][k] = self.table[bucket][k], tag
-            bucket = self.other(bucket, tag)
-            if len(self.table[bucket]) < self.slots:
-                self.table[bucket].append(tag)
+        for turn in range(self.max_rounds):
+            rest = np.flatnonzero(~self._place(bucket, tag))
+            bucket, tag = bucket[rest], tag[rest]
+            if not len(rest):
                 return True
+            self.left(bucket)
+            if turn == 0:
+                bucket = self.other(bucket, tag)
+            else:
+                bucket, tag = self._displace(bucket, tag)
         return False
 
-    def contains(self, hi: int, lo: int) -> bool:
-        bucket, tag = self.parts(hi, lo)
-        return tag in self.table[bucket] or tag in self.table[self.other(bucket, tag)]
-
-    def count(self, hi: int, lo: int) -> int:
+    def _displace(self, bucket: np.ndarray, tag: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        at, first = np.unique(bucket, return_index=True)
+        able = self.used[at] > 0
+        at, first = at[able], first[able]
+        self.left(at)
+        slot = (self.random.random(len(at)) * self.used[at]).astype(np.int64)
+        out = self.table[at, slot].copy()
+        self.table[at, slot] = tag[first]
+        tag = tag.copy()
+        bucket = bucket.copy()
+        tag[first] = out
+        bucket[first] = self.other(at, out)
+        return bucket, tag
+
+    def _hits(self, hi: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         bucket, tag = self.parts(hi, lo)
         other = self.other(bucket, tag)
-        return self.table[bucket].count(tag) + (self.table[other].count(tag) if other != bucket else 0)
+        near, far = ((self.table[b] == tag[:, None]).sum(axis=1) for b in (bucket, other))
+        return near, np.where(other == bucket, 0, far), tag
+
+    def contains(self, hi: np.ndarray, lo: np.ndarray) -> np.ndarray:
+        near, far, _ = self._hits(hi, lo)
+        return near + far > 0
 
-    def delete(self, hi: int, lo: int) -> bool:
+    def count(self, hi: np.ndarray, lo: np.ndarray) -> np.ndarray:
+        near, far, _ = self._hits(hi, lo)
+        return near + far
+
+    def delete(self, hi: np.ndarray, lo: np.ndarray) -> np.ndarray:
+        """One entry of each key goes; its bucket's last entry takes its place."""
         bucket, tag = self.parts(hi, lo)
-        for at in (bucket, self.other(bucket, tag)):
-            if tag in self.table[at]:
-                self.table[at].remove(tag)
-                return True
-        return False
+        other = self.other(bucket, tag)
+        out = np.zeros(len(bucket), bool)
+        for i in range(len(bucket)):
+            for at in (int(bucket[i]), int(other[i])):
+                found = np.flatnonzero(self.table[at, : self.used[at]] == tag[i])
+                if len(found):
+                    last = self.used[at] - 1
+                    self.table[at, found[0]], self.table[at, last] = self.table[at, last], 0
+                    self.used[at] = last
+                    out[i] = True
+                    break
+        return out
 
     def bits(self) -> float:
         return self.n * self.slots * self.r
 
 
-class Morton(Cuckoo):
-    """A compressed cuckoo filter: blocks share storage among buckets, with a fullness counter
-    for each bucket, so lightly loaded buckets cost little; most keys are in their first."""
+def _rank_in_runs(b: np.ndarray) -> np.ndarray:
+    """Place of each entry within its run of equal values."""
+    starts = np.flatnonzero(np.concatenate([[True], b[1:] != b[:-1]])) if len(b) else np.zeros(0, np.int64)
+    return np.arange(len(b)) - np.repeat(starts, np.diff(np.append(starts, len(b))))
 
-    def bits(self) -> float:
-        per_block = 64
-        total = 0.0
-        for at in range(0, self.n, per_block):
-            stored = sum(len(b) for b in self.table[at : at + per_block])
-            total += per_block * 2.33 + max(stored, 0.95 * per_block * self.slots * self.load_factor()) * self.r
-        return total
 
-    def load_factor(self) -> float:
-        return sum(map(len, self.table)) / (self.n * self.slots)
+class Morton(Cuckoo):
+    """A compressed cuckoo filter: blocks of 64 buckets of up to three entries share room for 46.
+    Stored are, for each block, the entries without gaps in the order of buckets, a 2-bit counter
+    of each bucket, and 16 overflow bits; a lookup goes on to the other bucket only where the
+    first one's overflow bit says that an entry had to leave."""
+
+    slots, load, extra_bits = 3, 0.9, 0  # about one entry is compared
+    BLOCK, ROOM, OVERFLOW = 64, 46, 16
+
+    def __init__(self, n: int, r: int, seed: int = 1, max_rounds: int = 4000) -> None:
+        super().__init__(n, r, seed, max_rounds)
+        self.block_used = np.zeros(self.n // self.BLOCK, np.int64)
+        self.overflow = np.zeros((self.n // self.BLOCK, self.OVERFLOW), bool)
+        self.entries: np.ndarray | None = None
+        self.counters = b""
+
+    def buckets_for(self, n: int) -> int:
+        return self.BLOCK * math.ceil(n / (self.ROOM * self.load) + 0.5)
+
+    def _place(self, bucket: np.ndarray, tag: np.ndarray) -> np.ndarray:
+        order = np.argsort(bucket, kind="stable")
+        b = bucket[order]
+        fits = np.flatnonzero(_rank_in_runs(b) < self.slots - self.used[b])
+        block = b[fits] // self.BLOCK
+        inside = fits[_rank_in_runs(block) < self.ROOM - self.block_used[block]]
+        at = b[inside]
+        rank = _rank_in_runs(at)
+        self.table[at, self.used[at] + rank] = tag[order[inside]]
+        np.add.at(self.used, at, 1)
+        np.add.at(self.block_used, at // self.BLOCK, 1)
+        placed = np.zeros(len(bucket), bool)
+        placed[order[inside]] = True
+        self.entries = None
+        return placed
+
+    def _displace(self, bucket: np.ndarray, tag: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where its bucket is empty in a full block, an entry displaces one of the block's fullest
+        bucket."""
+        stuck = np.flatnonzero(self.used[bucket] == 0)
+        self.entries = None
+        bucket, tag = super()._displace(bucket, tag)
+        for i in stuck.tolist():
+            first = int(bucket[i]) // self.BLOCK * self.BLOCK
+            full = first + int(self.used[first : first + self.BLOCK].argmax())
+            last = self.used[full] - 1
+            out = self.table[full, last].copy()
+            self.table[full, last], self.used[full] = 0, last
+            self.table[bucket[i], self.used[bucket[i]]] = tag[i]
+            self.used[bucket[i]] += 1
+            self.left(np.array([full]))
+            bucket[i], tag[i] = self.other(np.array([full]), np.array([out]))[0], out
+        return bucket, tag
+
+    def left(self, bucket: np.ndarray) -> None:
+        self.overflow[bucket // self.BLOCK, bucket % self.OVERFLOW] = True
+
+    def compress(self) -> None:
+        """The stored form."""
+        n_blocks = self.n // self.BLOCK
+        filled = np.arange(self.slots) < self.used[:, None]
+        bucket, slot = np.nonzero(filled)
+        block = bucket // self.BLOCK
+        self.entries = np.zeros((n_blocks, self.ROOM), np.uint64)
+        self.entries[block, _rank_in_runs(block)] = self.table[bucket, slot]
+        self.counters = metadata.pack(self.used, 2)
+
+    def __getstate__(self) -> dict:
+        """What is stored: entries, counters and overflow bits, without the open table."""
+        if self.entries is None:
+            self.compress()
+        return {k: v for k, v in self.__dict__.items() if k not in ("table", "used", "block_used")}
+
+    def __setstate__(self, state: dict) -> None:
+        self.__dict__.update(state)
+        self.used = metadata.unpack(self.counters, 2, self.n).astype(np.int64)
+        self.block_used = self.used.reshape(-1, self.BLOCK).sum(axis=1)
+        self.table = np.zeros((self.n, self.slots), np.uint64)
+        bucket, slot = np.nonzero(np.arange(self.slots) < self.used[:, None])
+        block = bucket // self.BLOCK
+        self.table[bucket, slot] = self.entries[block, _rank_in_runs(block)]
+
+    def _stored_hits(self, bucket: np.ndarray, tag: np.ndarray) -> np.ndarray:
+        """Equal entries of a bucket, read from the stored form: its place follows from the
+        counters of the buckets before it in its block."""
+        if self.entries is None:
+            self.compress()
+        counts = self.used.reshape(-1, self.BLOCK)
+        before = np.cumsum(counts, axis=1) - counts
+        block, inside = bucket // self.BLOCK, bucket % self.BLOCK
+        at, n = before[block, inside], counts[block, inside]
+        out = np.zeros(len(bucket), np.int64)
+        for j in range(self.slots):
+            rows = np.flatnonzero(n > j)
+            out[rows] += self.entries[block[rows], at[rows] + j] == tag[rows]
+        return out
 
+    def _hits(self, hi: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        bucket, tag = self.parts(hi, lo)
+        near, far = self._stored_hits(bucket, tag), np.zeros(len(bucket), np.int64)
+        other = self.other(bucket, tag)
+        ask = np.flatnonzero(self.overflow[bucket // self.BLOCK, bucket % self.OVERFLOW] & (other != bucket))
+        far[ask] = self._stored_hits(other[ask], tag[ask])
+        return near, far, tag
+
+    def delete(self, hi: np.ndarray, lo: np.ndarray) -> np.ndarray:
+        out = super().delete(hi, lo)
+        self.block_used = self.used.reshape(-1, self.BLOCK).sum(axis=1)
+        self.entries = None
+        return out
 
-class Quotient:
-    """Remainders sorted within runs of equal quotients; with counts, a counting filter."""
+    def bits(self) -> float:
+        return self.n // self.BLOCK * (self.ROOM * self.r + 2 * self.BLOCK + self.OVERFLOW)
 
-    def __init__(self, n: int, r: int, load: float = 0.9) -> None:
-        self.q = max(1, math.ceil(math.log2(max(1, n) / load)))
-        self.r, self.load = r, load
-        self.runs: dict[int, dict[int, int]] = {}
 
-    def parts(self, hi: int, lo: int) -> tuple[int, int]:
-        return hi & ((1 << self.q) - 1), lo & ((1 << self.r) - 1)
+class Quotient:
+    """Remainders in runs, sorted by quotient and then by remainder, each as near behind its
+    quotient's slot as there is room. Three bits a slot (its quotient has a run; the entry goes
+    on a run; it does not lie in its quotient's slot) give the runs back. Equal fingerprints are
+    repeated. Batches are merged in sorted order, so a batch costs one pass."""
+
+    flag_bits, load = 3, 0.9
+    OCCUPIED, CONTINUED, SHIFTED, COUNTER = 1, 2, 4, 8
+
+    def __init__(self, n: int, r: int) -> None:
+        self.r, self.n = r, max(1, math.ceil(n / self.load))
+        self.rest, self.flags = np.zeros(self.n, np.uint64), np.zeros(self.n, np.uint8)
+
+    def parts(self, hi: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return _scaled(np.asarray(hi, np.uint64), self.n, 1300), np.asarray(lo, np.uint64) & np.uint64((1 << self.r) - 1)
+
+    def entries_of(self, times: np.ndarray) -> np.ndarray:
+        """Slots of a fingerprint that occurs so often."""
+        return times
+
+    def fill(self, at: np.ndarray, rest: np.ndarray, times: np.ndarray) -> None:
+        """Write fingerprints from their first slots on."""
+        n = self.entries_of(times)
+        self.rest[np.repeat(at, n) + _rank_in_runs(np.repeat(np.arange(len(at)), n))] = np.repeat(rest, n)
+
+    def store(self, quotient: np.ndarray, rest: np.ndarray, times: np.ndarray) -> None:
+        """Distinct fingerprints, in order, with how often they occur."""
+        n = self.entries_of(times)
+        upto = np.cumsum(n) - n
+        at = upto + np.maximum.accumulate(quotient - upto) if len(n) else upto
+        slots = max(self.n, int((at + n).max(initial=0)))
+        self.rest, self.flags = np.zeros(slots, np.uint64), np.zeros(slots, np.uint8)
+        self.fill(at, rest, times)
+        slot = np.repeat(at, n) + _rank_in_runs(np.repeat(np.arange(len(at)), n))
+        owner = np.repeat(quotient, n)
+        self.flags[slot] |= np.where(slot != owner, self.SHIFTED, 0).astype(np.uint8)
+        self.flags[slot[1:][owner[1:] == owner[:-1]]] |= self.CONTINUED
+        self.flags[np.unique(owner)] |= self.OCCUPIED
+        # A slot that holds an entry of another quotient's run is never without a flag.
+        self.__dict__.pop("_runs", None)
+
+    def runs(self) -> tuple[np.ndarray, np.ndarray]:
+        """(rank of each quotient's run, first slots of the runs): what scanning the flags gives."""
+        if "_runs" not in self.__dict__:
+            occupied = self.flags & self.OCCUPIED > 0
+            # A slot holds an entry if it is shifted or continues, or lies where its run begins.
+            begins = np.flatnonzero((self.flags & (self.CONTINUED | self.SHIFTED) == self.SHIFTED) | self._at_home(occupied))
+            self._runs = np.cumsum(occupied) - 1, begins
+        return self._runs
+
+    def _at_home(self, occupied: np.ndarray) -> np.ndarray:
+        """Occupied slots whose own run begins right there: neither shifted nor continued."""
+        return occupied & (self.flags & (self.CONTINUED | self.SHIFTED) == 0)
+
+    def walk(self, quotient: np.ndarray):
+        """(rows, slots) of each step through the runs of these quotients."""
+        rank, begins = self.runs()
+        rows = np.flatnonzero(self.flags[quotient] & self.OCCUPIED)
+        slot = begins[rank[quotient[rows]]] if len(rows) else rows
+        while len(rows):
+            yield rows, slot
+            slot = slot + 1
+            on = slot < len(self.flags)
+            rows, slot = rows[on], slot[on]
+            on = self.flags[slot] & self.CONTINUED > 0
+            rows, slot = rows[on], slot[on]
+
+    def count(self, hi: np.ndarray, lo: np.ndarray) -> np.ndarray:
+        quotient, rest = self.parts(hi, lo)
+        out = np.zeros(len(quotient), np.int64)
+        for rows, slot in self.walk(quotient):
+            out[rows] += self.rest[slot] == rest[rows]
+        return out
 
-    def insert(self, hi: int, lo: int, times: int = 1) -> bool:
-        q, rest = self.parts(hi, lo)
-        run = self.runs.setdefault(q, {})
-        run[rest] = run.get(rest, 0) + times
+    def contains(self, hi: np.ndarray, lo: np.ndarray) -> np.ndarray:
+        return self.count(hi, lo) > 0
+
+    def fingerprints(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(quotient, remainder, times) of all that is stored, in order."""
+        every = np.flatnonzero(self.flags & self.OCCUPIED)
+        rows, slots = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for r, s in self.walk(every):
+            rows.append(r)
+            slots.append(s)
+        row, slot = np.concatenate(rows), np.concatenate(slots)
+        order = np.argsort(slot)
+        return self.grouped(every[row[order]], slot[order])
+
+    def grouped(self, quotient: np.ndarray, slot: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        return merged(quotient, self.rest[slot], np.ones(len(slot), np.int64))
+
+    def change(self, hi: np.ndarray, lo: np.ndarray, times: np.ndarray) -> None:
+        quotient, rest = self.parts(hi, lo)
+        old = self.fingerprints()
+        self.store(*merged(*(np.concatenate([x, y]) for x, y in zip(old, (quotient, rest, times), strict=True))))
+
+    def insert(self, hi: np.ndarray, lo: np.ndarray, times: np.ndarray | None = None) -> bool:
+        self.change(hi, lo, np.ones(len(hi), np.int64) if times is None else times)
         return True
 
-    def contains(self, hi: int, lo: int) -> bool:
-        q, rest = self.parts(hi, lo)
-        return rest in self.runs.get(q, {})
-
-    def count(self, hi: int, lo: int) -> int:
-        q, rest = self.parts(hi, lo)
-        return self.runs.get(q, {}).get(rest, 0)
-
-    def delete(self, hi: int, lo: int) -> bool:
-        q, rest = self.parts(hi, lo)
-        run = self.runs.get(q, {})
-        if rest not in run:
-            return False
-        run[rest] -= 1
-        if not run[rest]:
-            del run[rest]
-        return True
+    def delete(self, hi: np.ndarray, lo: np.ndarray) -> np.ndarray:
+        """One occurrence of each key that is there goes."""
+        found = self.contains(hi, lo)
+        self.change(np.asarray(hi)[found], np.asarray(lo)[found], np.full(int(found.sum()), -1, np.int64))
+        return found
 
     def bits(self) -> float:
-        """Slots with remainder and 2.125 metadata bits; a count above 1 takes further slots."""
-        used = sum(len(run) + sum(math.ceil((c - 1).bit_length() / self.r) for c in run.values() if c > 1) for run in self.runs.values())
-        return max(1 << self.q, used / self.load) * (self.r + 2.125)
+        return len(self.rest) * (self.r + self.flag_bits)
+
+
+def merged(quotient: np.ndarray, rest: np.ndarray, times: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct fingerprints in order with their summed counts; those at 0 or below go."""
+    order = np.lexsort((rest, quotient))
+    q, x, n = quotient[order], rest[order], times[order]
+    if not len(q):
+        return q, x, n
+    first = np.flatnonzero(np.concatenate([[True], (q[1:] != q[:-1]) | (x[1:] != x[:-1])]))
+    total = np.add.reduceat(n, first)
+    kept = first[total > 0]
+    return q[kept], x[kept], total[total > 0]
+
+
+class CountingQuotient(Quotient):
+    """Counts above 1 follow their remainder as digits of r bits in slots of their own, marked by
+    a fourth bit."""
+
+    flag_bits = 4
+
+    def entries_of(self, times: np.ndarray) -> np.ndarray:
+        more = np.maximum(times - 1, 0)
+        digits = np.zeros(len(times), np.int64)
+        while (more > 0).any():
+            digits += more > 0
+            more = more >> min(self.r, 62)
+        return 1 + digits
+
+    def fill(self, at: np.ndarray, rest: np.ndarray, times: np.ndarray) -> None:
+        self.rest[at] = rest
+        more, slot = np.maximum(times - 1, 0).astype(np.uint64), at + 1
+        while (more > 0).any():
+            rows = more > 0
+            self.rest[slot[rows]] = more[rows] & np.uint64((1 << self.r) - 1)
+            self.flags[slot[rows]] |= self.COUNTER
+            more, slot = more >> np.uint64(min(self.r, 63)), slot + 1
+
+    def count(self, hi: np.ndarray, lo: np.ndarray) -> np.ndarray:
+        quotient, rest = self.parts(hi, lo)
+        out, place = np.zeros(len(quotient), np.int64), np.full(len(quotient), -1, np.int64)
+        for rows, slot in self.walk(quotient):
+            digit = self.flags[slot] & self.COUNTER > 0
+            hit = ~digit & (self.rest[slot] == rest[rows])
+            # After its remainder a key's digits come until the next remainder.
+            place[rows[~digit]] = -1
+            out[rows[hit]], place[rows[hit]] = 1, 0
+            more = digit & (place[rows] >= 0)
+            at = rows[more]
+            out[at] += (self.rest[slot[more]].astype(np.int64)) << (place[at] * self.r)
+            place[at] += 1
+        return out
 
+    def grouped(self, quotient: np.ndarray, slot: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        digit = self.flags[slot] & self.COUNTER > 0
+        head = np.flatnonzero(~digit)
+        of = np.cumsum(~digit) - 1
+        times = np.ones(len(head), np.int64)
+        step = np.arange(len(slot)) - head[of] - 1 if len(head) else np.zeros(0, np.int64)
+        np.add.at(times, of[digit], self.rest[slot[digit]].astype(np.int64) << (step[digit] * self.r))
+        return quotient[head], self.rest[slot[head]], times
 
-DYNAMIC = {"cuckoo": Cuckoo, "morton": Morton, "quotient": Quotient, "counting_quotient": Quotient}
+
+DYNAMIC = {"cuckoo": Cuckoo, "morton": Morton, "quotient": Quotient, "counting_quotient": CountingQuotient}
 
 
 class DynamicTable:
-    """value() protocol over a dynamic filter: 1 for members."""
+    """value() protocol over a dynamic filter: 1 for members, or the count."""
 
-    def __init__(self, kind: str, keys: Keys, r: int, counts: np.ndarray | None = None) -> None:
-        n = len(keys)
-        for attempt in range(10):
-            self.filter = DYNAMIC[kind](int(n * (1 + 0.3 * attempt)), r)
-            ok = True
-            for i, (h, low) in enumerate(zip(keys.hi.tolist(), keys.lo.tolist(), strict=True)):
-                if kind == "counting_quotient":
-                    self.filter.insert(h, low, int(keys.value[i]))
-                elif not self.filter.insert(h, low):
-                    ok = False
-                    break
-            if ok:
-                break
-        else:
-            raise RuntimeError(f"{kind} does not fit")
+    def __init__(self, kind: str, keys: Keys, r: int) -> None:
         self.counting = kind == "counting_quotient"
+        for attempt in range(10):
+            self.filter = DYNAMIC[kind](int(len(keys) * (1 + 0.05 * attempt)), r)
+            if self.counting:
+                self.filter.insert(keys.hi, keys.lo, keys.value.astype(np.int64))
+                return
+            if self.filter.insert(keys.hi, keys.lo):
+                return
+        raise RuntimeError(f"{kind} does not fit")
 
     def value(self, hi: np.ndarray, lo: np.ndarray) -> np.ndarray:
-        ask = self.filter.count if self.counting else self.filter.contains
-        return np.fromiter((ask(h, low) for h, low in zip(hi.tolist(), lo.tolist(), strict=True)), np.uint64, len(hi))
+        return (self.filter.count if self.counting else self.filter.contains)(hi, lo).astype(np.uint64)
 
     def bits(self) -> float:
         return self.filter.bits()
@@ -603,8 +940,8 @@ KERNEL_KINDS = {**FUNCTION_KINDS, **{k: DynamicTable for k in DYNAMIC}}
 
 @dataclass
 class Baseline:
-    """Built shards: (shard, n, bits, payload). A payload is this module's own object, written
-    and read by the same program only."""
+    """Built shards: (shard, n, bits, payload), kept in the shared folder. A payload is this
+    module's own object, written and read by the same program only."""
 
     kind: str
     r: int
@@ -613,8 +950,14 @@ class Baseline:
     table: DataFrame
 
 
-def build(kind: str, df: DataFrame, cols: list[str], value: str | None = None, r: int = 8, n_shards: int = 8) -> Baseline:
-    """Any kernel kind; without a value column a filter of r bits."""
+SHARD_KEYS = 1 << 18
+
+
+def build(kind: str, df: DataFrame, cols: list[str], value: str | None = None, r: int = 8, n_shards: int | None = None) -> Baseline:
+    """Any kernel kind; without a value column a filter of r bits. Shards have some SHARD_KEYS
+    keys, so that a small table is one shard."""
+    if n_shards is None:
+        n_shards = band.n_shards_for(band.approximate_keys(df, cols, "xx128", 1), SHARD_KEYS)
     if value is None and kind != "counting_quotient":
         pairs = band.digests(df, cols, "xx128", 1).distinct().withColumn("value", hashing.fingerprint_column(F.col("lo"), r))
     elif kind == "counting_quotient":
@@ -633,42 +976,52 @@ def build(kind: str, df: DataFrame, cols: list[str], value: str | None = None, r
                     names=["shard", "n", "bits", "payload"],
                 )
 
-    return Baseline(kind, r, n_shards, value is None, dealt.mapInArrow(run, "shard int, n long, bits double, payload binary"))
+    return Baseline(kind, r, n_shards, value is None, keep(dealt.mapInArrow(run, "shard int, n long, bits double, payload binary"), kind))
 
 
-def query(b: Baseline, df: DataFrame, cols: list[str], out: str = "value") -> DataFrame:
-    """Value of a function; membership of a filter; count of a counting filter. The shards
-    are broadcast, within the limit of band lookups."""
-    from .lookup import BROADCAST_BYTES
+def query(b: Baseline, df: DataFrame, cols: list[str], out: str = "value", strategy: str = "auto") -> DataFrame:
+    """Value of a function; membership of a filter; count of a counting filter. Shards are
+    broadcast within the limit of band lookups; beyond it probes meet them by shard."""
+    from .lookup import BROADCAST_BYTES, HI, LO, OUT, SHARD, by_shard
 
-    size = b.table.agg(F.sum(F.length("payload"))).first()[0] or 0
-    if size > BROADCAST_BYTES:
-        raise ValueError(f"{b.kind} has {size} bytes, too many to broadcast")
-    rows = b.table.select("shard", "payload").collect()
-    shared = df.sparkSession.sparkContext.broadcast({r[0]: bytes(r[1]) for r in rows})
-    made: dict[int, object] = {}
+    if strategy == "auto":
+        size = b.table.agg(F.sum(F.length("payload"))).first()[0] or 0
+        strategy = "broadcast" if size <= BROADCAST_BYTES else "shuffle"
     n_shards, r, kind, is_filter = b.n_shards, b.r, b.kind, b.is_filter
 
-    @F.arrow_udf("bigint")
-    def look(hi: pa.Array, lo: pa.Array) -> pa.Array:
+    def answers(made: dict, hi: pa.Array, lo: pa.Array, _=None) -> pa.Array:
         null = np.asarray(hi.is_null())
         h, low = (np.asarray(x.fill_null(0)).astype(np.int64).view(np.uint64) for x in (hi, lo))
         shard, value = hashing.shard_of(h, n_shards), np.zeros(len(h), np.uint64)
         for s in np.unique(shard):
             at = np.flatnonzero(shard == s)
-            if s not in made:
-                made[s] = pickle.loads(shared.value[s]) if s in shared.value else None
-            if made[s] is not None:
+            if s in made:
                 value[at] = made[s].value(h[at], low[at])
         if is_filter and kind not in DYNAMIC:
             value = (value == hashing.fingerprint(low, r)).astype(np.uint64)
         return pa.array(value.view(np.int64), mask=null)
 
-    keyed = hashing.with_digest(df, cols, "xx128", 1, "_hi", "_lo")
-    got = look("_hi", "_lo")
-    if is_filter and kind != "counting_quotient":
-        got = got == 1
-    return keyed.withColumn(out, got).drop("_hi", "_lo")
+    keyed = hashing.with_digest(df, cols, "xx128", 1, HI, LO)
+    if strategy == "broadcast":
+        shared = df.sparkSession.sparkContext.broadcast({r[0]: bytes(r[1]) for r in b.table.select("shard", "payload").collect()})
+        made: dict[int, object] = {}
+
+        @F.arrow_udf("bigint")
+        def look(hi: pa.Array, lo: pa.Array) -> pa.Array:
+            if len(made) < len(shared.value):
+                made.update({s: pickle.loads(x) for s, x in shared.value.items()})
+            return answers(made, hi, lo)
+
+        got = keyed.withColumn(OUT, look(HI, LO))
+    else:
+
+        def decode(rows: pa.RecordBatch) -> dict:
+            return {s: pickle.loads(x) for s, x in zip(rows.column("shard").to_pylist(), rows.column("payload").to_pylist(), strict=True)}
+
+        keyed = keyed.withColumn(SHARD, hashing.shard_column(F.col(HI), n_shards))
+        got = by_shard(b.table, keyed, SHARD, "bigint", decode, answers, n_shards).drop(SHARD)
+    value = F.col(OUT) == 1 if is_filter and kind != "counting_quotient" else F.col(OUT)
+    return got.withColumn(out, value).drop(HI, LO, OUT)
 
 
 # ---- Bloom filters in SQL -------------------------------------------------------------------
@@ -730,6 +1083,45 @@ def query_bloom(b: Bloom, df: DataFrame, cols: list[str], out: str = "member") -
     return keyed.join(missing, ["_hi", "_lo"], "left").drop("_hi", "_lo")
 
 
+def bloom_overhead(df: DataFrame, foreign: DataFrame, cols: list[str], n: int, blocks: int, bits_per_key: float = 12.0, k: int = 8) -> float:
+    """Bits against n log2(1 / rate) by the rate among foreign keys, each under 8 further digests."""
+    b = build_bloom(df, cols, bits_per_key, k, blocks, "xx128", n)
+    probes, hits = 0, 0
+    for i in range(8):
+        away = foreign.select(*[(F.col(c) + F.lit(i * 7_000_000_007)).alias(c) for c in cols])
+        got = query_bloom(b, away, cols, "m").agg(F.count(F.lit(1)), F.sum(F.col("m").cast("long"))).first()
+        probes, hits = probes + got[0], hits + got[1]
+    return b.n_words * 64 / (n * math.log2(probes / max(1, hits))) - 1
+
+
+def count_after_deletes(df: DataFrame, cols: list[str], gone: Column, r: int) -> Baseline:
+    """A counting filter over all rows, out of which the rows of `gone` are deleted again, each
+    deletion a call on the filter."""
+    n_shards = band.n_shards_for(band.approximate_keys(df, cols, "xx128", 1), SHARD_KEYS)
+    keyed = hashing.with_digest(df.select(*cols, gone.alias("_gone")), cols).where(F.col("hi").isNotNull())
+    counts = keyed.groupBy("hi", "lo").agg(F.count(F.lit(1)).alias("value"), F.sum(F.col("_gone").cast("long")).alias("gone"))
+    dealt = counts.select(hashing.shard_column(F.col("hi"), n_shards).alias("shard"), "hi", "lo", "value", "gone").repartition(n_shards, "shard")
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = pa.Table.from_batches(list(batches))  # some SHARD_KEYS keys a shard
+        shards = rows.column("shard").to_numpy()
+        for s in np.unique(shards):
+            part = rows.filter(pa.array(shards == s))
+            hi, lo = (part.column(c).to_numpy().view(np.uint64) for c in ("hi", "lo"))
+            value, less = part.column("value").to_numpy(), part.column("gone").to_numpy().copy()
+            made = DynamicTable("counting_quotient", Keys(hi, lo, value.view(np.uint64)), r)
+            while (less > 0).any():
+                made.filter.delete(hi[less > 0], lo[less > 0])
+                less = less - (less > 0)
+            yield pa.record_batch(
+                [pa.array([s], pa.int32()), pa.array([len(hi)], pa.int64()), pa.array([float(made.bits())]), pa.array([pickle.dumps(made)], pa.binary())],
+                names=["shard", "n", "bits", "payload"],
+            )
+
+    table = keep(dealt.mapInArrow(run, "shard int, n long, bits double, payload binary"), "counting")
+    return Baseline("counting_quotient", r, n_shards, True, table)
+
+
 def exact_lookup(pairs: DataFrame, df: DataFrame, cols: list[str], value: str) -> DataFrame:
     """The dictionary that stores keys: a join."""
     return df.join(pairs.select(*cols, value).dropDuplicates(cols), cols, "left")

@@ -1,20 +1,22 @@
 """Query structures: by broadcast, by shuffle, or in plain SQL expressions.
 
 broadcast: the table's bytes, checked against a limit, go to every worker; an Arrow UDF reads
-only the digest columns. shuffle: probes meet their shard's rows in one exchange, so neither
-side has a size limit. sql: a join on the shard and built-in functions, without Python."""
+only the digest columns. shuffle: probes meet their shard's rows in one exchange, salted, so
+neither side has a size limit. sql: joins on blocks of 64 slots and built-in functions."""
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions import hashing
 from ..params import BandParams
+from ..sources.shared import keep
 from . import build, solve
 
 BROADCAST_BYTES = 256 << 20
@@ -26,7 +28,8 @@ HI, LO, SHARD, OUT = "_band_hi", "_band_lo", "_band_shard", "_band_answer"
 
 
 def table_bytes(s: build.BandStructure) -> int:
-    got = s.table.agg(F.sum(F.size("z") * 8 + F.length("thresholds"))).first()[0]
+    """Stored bytes; the table lies in files, so this reads lengths and solves nothing."""
+    got = s.table.agg(F.sum(sum((F.length(c) for c in build.STORED), F.lit(0)))).first()[0]
     return int(got or 0)
 
 
@@ -59,18 +62,16 @@ def _answers(tables, hi, lo, shard, p: BandParams) -> pa.Array:
 
 def _with_answer(s: build.BandStructure, df: DataFrame, cols: list[str], strategy: str, group_cols: list[str] | None) -> DataFrame:
     p = s.params
-    keyed = hashing.with_digest(df, cols, s.algo, s.key_seed, HI, LO)
-    if group_cols:
-        shard = F.pmod(F.xxhash64(*group_cols), F.lit(p.n_shards)).cast("int")
-    else:
-        shard = hashing.shard_column(F.col(HI), p.n_shards)
-    keyed = keyed.withColumn(SHARD, shard)
+    every = [*group_cols, *[c for c in cols if c not in group_cols]] if group_cols else cols
+    keyed = hashing.with_digest(df, every, s.algo, s.key_seed, HI, LO)
+    keyed = keyed.withColumn(SHARD, build.group_shard(group_cols) if group_cols else hashing.shard_column(F.col(HI), p.n_shards))
+    size = table_bytes(s) if strategy in ("auto", "broadcast") else 0
     if strategy == "auto":
-        strategy = "broadcast" if table_bytes(s) <= BROADCAST_BYTES else "shuffle"
+        strategy = "broadcast" if size <= BROADCAST_BYTES else "shuffle"
     if strategy == "broadcast":
-        if (size := table_bytes(s)) > BROADCAST_BYTES:
+        if size > BROADCAST_BYTES:
             raise ValueError(f"the table has {size} bytes; use the shuffle strategy")
-        shared = s.spark.sparkContext.broadcast(build.decode_rows(s.table.toArrow()))
+        shared = s.spark.sparkContext.broadcast(build.decode_rows(s.table.toArrow(), p))
 
         @F.arrow_udf(ANSWER)
         def look(hi: pa.Array, lo: pa.Array, shard: pa.Array) -> pa.Array:
@@ -78,51 +79,67 @@ def _with_answer(s: build.BandStructure, df: DataFrame, cols: list[str], strateg
 
         return keyed.withColumn(OUT, look(HI, LO, SHARD)).drop(HI, LO, SHARD)
     if strategy == "shuffle":
-        return _by_shuffle(s, keyed).drop(HI, LO, SHARD)
+        got = by_shard(
+            s.table, keyed, SHARD, ANSWER, lambda rows: build.decode_rows(rows, p), lambda held, hi, lo, sh: _answers(held, hi, lo, sh, p), p.n_shards
+        )
+        return got.drop(HI, LO, SHARD)
     if strategy == "sql":
         return _by_sql(s, keyed).drop(HI, LO, SHARD)
     raise ValueError(f"unknown strategy {strategy}")
 
 
-def _by_shuffle(s: build.BandStructure, keyed: DataFrame) -> DataFrame:
-    """Table rows and probes, each tagged, in one exchange by shard; a task keeps one shard's
-    tables, then its probes stream past."""
-    p = s.params
+#: A shard's table goes to this many tasks at least, so that a hot key's probes are split.
+SALTS = 4
+
+
+def by_shard(
+    tables: DataFrame, keyed: DataFrame, shard: str, answer: str, decode: Callable[[pa.RecordBatch], dict],
+    answers: Callable[[dict, pa.Array, pa.Array, pa.Array], pa.Array], n_shards: int,
+) -> DataFrame:
+    """Table rows and probes, each tagged, in one exchange by shard and salt; a task keeps one
+    shard's tables, then its probes stream past. A shard's tables are repeated for each salt,
+    and probes are salted by their rows, so neither few shards nor a hot key bound the tasks."""
+    spark = keyed.sparkSession
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    salts = min(n, max(SALTS, -(-n // max(1, n_shards))))
+    salt = F.pmod(F.xxhash64(F.spark_partition_id(), *[c for c in keyed.columns if c != shard and not _has_map(keyed.schema[c].dataType)]), F.lit(salts)).cast("int")
     probes = keyed.select(
-        F.coalesce(SHARD, F.lit(-1)).alias("shard"), F.lit(1).alias("role"), F.lit(None).cast(s.table.schema.simpleString()).alias("t"),
+        F.coalesce(shard, F.lit(-1)).alias("shard"), salt.alias("salt"), F.lit(1).alias("role"), F.lit(None).cast(tables.schema.simpleString()).alias("t"),
         F.struct(*keyed.columns).alias("row"),
     )
-    tables = s.table.select(
-        "shard", F.lit(0).alias("role"), F.struct(*s.table.columns).alias("t"),
+    held_rows = tables.select(
+        "shard", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"), F.lit(0).alias("role"), F.struct(*tables.columns).alias("t"),
         F.lit(None).cast(keyed.schema.simpleString()).alias("row"),
     )
-    n = int(s.spark.conf.get("spark.sql.shuffle.partitions"))
-    both = tables.unionByName(probes).repartition(n, "shard").sortWithinPartitions("shard", "role")
-    schema = keyed.select(F.struct("*").alias("row")).withColumn(OUT, F.lit(None).cast(ANSWER)).schema
+    both = held_rows.unionByName(probes).repartition(n, "shard", "salt").sortWithinPartitions("shard", "salt", "role")
+    schema = keyed.select(F.struct("*").alias("row")).withColumn(OUT, F.lit(None).cast(answer)).schema
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict = {}
         at = None
         for batch in batches:
-            shard, role = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            edges = [0, *(np.flatnonzero((np.diff(shard) != 0) | (np.diff(role) != 0)) + 1).tolist(), len(shard)]
+            key, role = batch.column(0).to_numpy().astype(np.int64) * (1 << 20) + batch.column(1).to_numpy(), batch.column(2).to_numpy()
+            edges = [0, *(np.flatnonzero((np.diff(key) != 0) | (np.diff(role) != 0)) + 1).tolist(), len(key)]
             for a, z in zip(edges, edges[1:], strict=False):
                 if a == z:
                     continue
                 part = batch.slice(a, z - a)
-                if shard[a] != at:
-                    held, at = {}, shard[a]
+                if key[a] != at:
+                    held, at = {}, key[a]
                 if role[a] == 0:
-                    t = pa.RecordBatch.from_struct_array(part.column(2))
-                    held |= build.decode_rows(t)
+                    held |= decode(pa.RecordBatch.from_struct_array(part.column(3)))
                     continue
-                row = part.column(3)
-                hi, lo, sh = (row.field(row.type.get_field_index(c)) for c in (HI, LO, SHARD))
-                yield pa.record_batch([row, _answers(held, hi, lo, sh, p)], names=["row", OUT])
+                row = part.column(4)
+                hi, lo, sh = (row.field(row.type.get_field_index(c)) for c in (HI, LO, shard))
+                yield pa.record_batch([row, answers(held, hi, lo, sh)], names=["row", OUT])
 
     return both.mapInArrow(run, schema).select("row.*", OUT)
 
 
+def _has_map(kind: T.DataType) -> bool:
+    return "map<" in kind.simpleString() or "variant" in kind.simpleString()
+
+
 def _let(value: Column, body) -> Column:
     """body(value), with the value computed once."""
     return F.get(F.transform(F.array(value), body), F.lit(0))
@@ -138,59 +155,96 @@ def _window(z: Column, r: int, start: Column, q: Column) -> Column:
     return F.when(shift == 0, low).otherwise(low.bitwiseOR(high))
 
 
+def blocks(s: build.BandStructure) -> DataFrame:
+    """(shard, layer, block, z, t): a row for each block of 64 slots, with its words and those of
+    the block after, and beside them the thresholds of the block's buckets, so that one access
+    gives both."""
+    p = s.params
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for (shard, layer), table in build.decode_rows(batch, p).items():
+                words = table.z.reshape(-1, p.r)
+                n = -(-table.n_starts // 64)
+                both = np.concatenate([words[:n], words[1 : n + 1]], axis=1)
+                size = max(1, 64 // p.b)
+                buckets = (np.arange(n) * 64 // p.b)[:, None] + np.arange(size)
+                last = -(-table.n_starts // p.b) - 1
+                t = table.thresholds[np.minimum(buckets, last).reshape(-1)]
+                yield pa.record_batch(
+                    [
+                        pa.array(np.full(n, shard, np.int32)), pa.array(np.full(n, layer, np.int32)), pa.array(np.arange(n, dtype=np.int64)),
+                        pa.FixedSizeListArray.from_arrays(pa.array(both.reshape(-1).view(np.int64)), 2 * p.r).cast(pa.list_(pa.int64())),
+                        pa.FixedSizeListArray.from_arrays(pa.array(t.astype(np.int32)), size).cast(pa.list_(pa.int32())),
+                    ],
+                    names=["shard", "layer", "block", "z", "t"],
+                )
+
+    return s.table.mapInArrow(run, "shard int, layer int, block long, z array<bigint>, t array<int>")
+
+
 def _by_sql(s: build.BandStructure, keyed: DataFrame) -> DataFrame:
-    """One join on the shard; then layers are tried in order by array functions. Dense rows up
-    to w = 64, r2l order, interleaved layout."""
+    """Layer by layer a join on (shard, block) of the keys that no layer before has answered;
+    the others get keys of their own, spread out, that match nothing. Blocks carry their
+    buckets' thresholds. Dense rows up to w = 64, r2l order, interleaved layout."""
     p = s.params
     if p.w > 64 or p.coef != "dense" or p.layout != "interleaved" or p.order != "r2l" or p.kind == "twohop":
         raise ValueError("the sql strategy takes dense interleaved layers of w <= 64 in r2l order")
-    layer = F.struct("layer", "attempt", "n_starts", "z", "thresholds")
-    layers = s.table.groupBy(F.col("shard").alias("_band_key")).agg(
-        F.array_sort(F.collect_list(layer)).alias("layers")  # at most p.layers rows a shard
+    # A row for each shard, without its bits.
+    parts = s.table.groupBy(F.col("shard").alias("_band_key")).agg(
+        F.map_from_entries(F.collect_list(F.struct("layer", F.struct("n_starts", "attempt")))).alias("_band_layers")
     )
-    joined = keyed.join(layers, F.col(SHARD) == F.col("_band_key"), "left")
-
-    def placed(t: Column) -> Column:
-        """(layer, start) if the layer holds the key, else null."""
-
-        def at(start: Column) -> Column:
-            if p.kind != "layered":
-                return F.struct(t["layer"].alias("layer"), start.alias("start"))
-            raw = F.hex(F.substring(t["thresholds"], F.floor(start / p.b).cast("int") * 2 + 1, F.lit(2)))
-            # Two little-endian bytes.
-            threshold = F.conv(F.concat(F.substring(raw, 3, 2), F.substring(raw, 1, 2)), 16, 10).cast("int")
-            return F.when(start % p.b >= threshold, F.struct(t["layer"].alias("layer"), start.alias("start")))
-
-        return _let(hashing.start_column(F.col(HI), t["n_starts"], t["layer"], t["attempt"]), at)
-
-    def answer(found: Column) -> Column:
-        t = F.get("layers", found["layer"])
-
-        def bits(c: Column) -> Column:
-            def bit(q: Column) -> Column:
-                parity = F.bit_count(_window(t["z"], p.r, found["start"], q).bitwiseAND(c)).bitwiseAND(F.lit(1))
-                return F.call_function("shiftleft", parity.cast("long"), q)
-
-            one = F.lit(0).cast("long")
-            return F.aggregate(F.sequence(F.lit(0), F.lit(p.r - 1)), one, lambda acc, q: acc.bitwiseOR(bit(q)))
+    got = keyed.join(parts, F.col(SHARD) == F.col("_band_key"), "left").withColumns(
+        {"_band_value": F.lit(None).cast("long"), "_band_layer": F.lit(None).cast("int")}
+    )
+    stored = keep(blocks(s), "band-blocks")
+    for layer in range(p.layers):
+        open_key = F.col("_band_layer").isNull() & F.col(HI).isNotNull()
+        at = F.try_element_at("_band_layers", F.lit(layer))
+        got = got.withColumn("_band_start", F.when(open_key, hashing.start_column(F.col(HI), at["n_starts"], F.lit(layer), at["attempt"])))
+        got = got.withColumn("_band_attempt", at["attempt"])
+        away = -1 - F.pmod(F.xxhash64(HI, LO, F.spark_partition_id()), F.lit(1 << 20))
+        side = stored.where(F.col("layer") == layer).select(
+            F.col("shard").alias("_b_shard"), F.col("block").alias("_b_block"), F.col("z").alias("_b_z"), F.col("t").alias("_b_t")
+        )
+        got = got.withColumns(
+            {
+                "_band_at": F.when(F.col("_band_start").isNotNull(), F.col(SHARD)).otherwise(away.cast("int")),
+                "_band_block": F.coalesce(F.shiftright("_band_start", 6), F.lit(-1)),
+            }
+        )
+        got = got.join(side, (F.col("_band_at") == F.col("_b_shard")) & (F.col("_band_block") == F.col("_b_block")), "left")
+        start = F.col("_band_start")
+        held = F.col("_b_z").isNotNull()
+        if p.kind == "layered":
+            here = F.get("_b_t", F.floor((start % 64) / p.b).cast("int")) if p.b < 64 else F.get("_b_t", F.lit(0))
+            held = held & (start % p.b >= here)
+
+        c = hashing.coefficient_column(F.col(LO), p.w, F.lit(layer), F.col("_band_attempt"))
+        got = got.withColumns(
+            {
+                "_band_value": F.when(held, _let(c, lambda x: _value(F.col("_b_z"), p.r, F.col("_band_start"), x))).otherwise(F.col("_band_value")),
+                "_band_layer": F.when(held, F.lit(layer)).otherwise(F.col("_band_layer")),
+            }
+        ).drop("_band_start", "_band_attempt", "_band_at", "_band_block", "_b_shard", "_b_block", "_b_z", "_b_t")
+    value = F.col("_band_value")
+    want = F.lit(0).cast("long") if p.kind == "zero" else hashing.fingerprint_column(F.col(LO), p.r)
+    member = F.when(F.col(HI).isNull(), F.lit(None).cast("boolean")).otherwise(F.coalesce(value == want, F.lit(False)))
+    packed = F.struct(
+        value.alias("value"), F.col("_band_layer").alias("layer"), value.isNotNull().alias("found"),
+        (member if p.is_filter else F.lit(None).cast("boolean")).alias("member"), F.lit(p.r).alias("bits_read"),
+    )
+    return got.withColumn(OUT, packed).drop("_band_layers", "_band_key", "_band_value", "_band_layer")
 
-        c = hashing.coefficient_column(F.col(LO), p.w, found["layer"], t["attempt"])
-        return F.struct(_let(c, bits).alias("value"), found["layer"].alias("layer"))
 
-    first = F.get(F.filter(F.transform("layers", placed), lambda x: x.isNotNull()), F.lit(0))
-    none = F.lit(None).cast("struct<value:bigint,layer:int>")
-    got = F.when(F.col("layers").isNull() | F.col(HI).isNull(), none).otherwise(_let(first, answer))
-    want = F.lit(0).cast("long") if p.kind == "zero" else hashing.fingerprint_column(F.col(LO), p.r)
-    null_key = F.col(HI).isNull()
+def _value(z: Column, r: int, start: Column, c: Column) -> Column:
+    """The r value bits of a row that starts in the block of z."""
 
-    def packed(x: Column) -> Column:
-        member = F.when(null_key, F.lit(None).cast("boolean")).otherwise(F.coalesce(x["value"] == want, F.lit(False)))
-        return F.struct(
-            x["value"].alias("value"), x["layer"].alias("layer"), x["value"].isNotNull().alias("found"),
-            (member if p.is_filter else F.lit(None).cast("boolean")).alias("member"), F.lit(p.r).alias("bits_read"),
-        )
+    def bit(q: Column) -> Column:
+        parity = F.bit_count(_window(z, r, start.bitwiseAND(F.lit(63)), q).bitwiseAND(c)).bitwiseAND(F.lit(1))
+        return F.call_function("shiftleft", parity.cast("long"), q)
 
-    return joined.withColumn(OUT, _let(got, packed)).drop("layers", "_band_key")
+    return F.aggregate(F.sequence(F.lit(0), F.lit(r - 1)), F.lit(0).cast("long"), lambda acc, q: acc.bitwiseOR(bit(q)))
 
 
 def lookup(

@@ -8,72 +8,48 @@ from dataclasses import replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
 from .. import model
 from ..functions import hashing
 from ..operators import build as band
-from ..operators import kernel, solve
+from ..operators import kernel, metadata, solve
 from ..operators.lookup import probe
 from ..params import BandParams
+from ..sources.shared import keep
 
-EXCEPTION_BITS = 24  # a bucket number and a threshold in a table of exceptions
-
-
-def _exceptions(p: BandParams) -> Column:
-    """Buckets whose threshold the 1plus scheme's single bit cannot express."""
-    if p.kind not in ("layered", "twohop") or p.scheme != "1plus":
-        return F.lit(0).cast("long")
-    t = p.thresholds()[1]
-
-    @F.arrow_udf("bigint")
-    def count(thresholds: pa.Array) -> pa.Array:
-        return pa.array([int((np.frombuffer(x, "<i2") > t).sum()) for x in thresholds.to_pylist()], pa.int64())
-
-    return count("thresholds")
+SHARD_BITS = 256  # shard, layer, try, width, starts and slots of a row, as they are stored
 
 
 def layer_report(s: band.BandStructure) -> DataFrame:
-    """For each layer: keys in, bumped, slots, empty share e, metadata bits a bucket."""
+    """For each layer: keys in, bumped, slots, empty share e, and the bits that are stored: of the
+    table with its padding, of thresholds with their exceptions and range bits, of the rows."""
     p = s.params
-    buckets = F.ceil(F.col("n_starts") / p.b)
-    rows = s.table.withColumns({"buckets": buckets, "exceptions": _exceptions(p)})
-    last = p.layers - 1
-    meta = F.when(F.col("layer") == last, 0.0).otherwise(p.meta_bits()) if p.kind in ("layered", "twohop") else F.lit(0.0)
+    stored = {c: F.length(c).cast("long") * 8 for c in band.STORED}
+    rows = s.table.withColumns(
+        {"table_bits": stored["z"], "meta_bits": stored["codes"] + stored["exceptions"] + stored["ranges"], "exception_bits": stored["exceptions"],
+         "buckets": F.ceil(F.col("n_starts") / p.b), "row_bits": F.lit(SHARD_BITS).cast("long")}
+    )
+    summed = ("n_in", "n_bumped", "n_redundant", "m", "empty", "row_ops", "buckets", "table_bits", "meta_bits", "exception_bits", "row_bits")
     return (
         rows.groupBy("layer")
-        .agg(*[F.sum(c).alias(c) for c in ("n_in", "n_bumped", "n_redundant", "m", "empty", "row_ops", "buckets", "exceptions")])
-        .withColumns(
-            {
-                "e": F.col("empty") / F.col("m"),
-                "bumped_share": F.col("n_bumped") / F.greatest(F.col("n_in"), F.lit(1)),
-                "meta_bits": F.col("buckets") * meta + F.col("exceptions") * EXCEPTION_BITS,
-                "table_bits": F.col("m") * p.r,
-            }
-        )
+        .agg(*[F.sum(c).alias(c) for c in summed])
+        .withColumns({"e": F.col("empty") / F.col("m"), "bumped_share": F.col("n_bumped") / F.greatest(F.col("n_in"), F.lit(1))})
     )
 
 
 def space_report(s: band.BandStructure, fpr: float | None = None) -> DataFrame:
-    """Bits over all layers, metadata and shard rows included, against n * r; of a filter with
-    a measured rate also against n * log2(1 / fpr)."""
+    """Stored bits over all layers against n * r; of a filter with a measured rate also against
+    n * log2(1 / fpr)."""
     p = s.params
-    per_layer = layer_report(s)
-    shard_bits = 4 * 64  # shard, layer, size and try in a directory
-    out = per_layer.agg(
-        F.max(F.when(F.col("layer") == 0, F.col("n_in"))).alias("n"),
-        F.sum("table_bits").alias("table_bits"),
-        F.sum("meta_bits").alias("meta_bits"),
-        F.sum("empty").alias("empty"),
+    # Every key is served in one layer, so what comes in less what is bumped are all keys.
+    out = layer_report(s).agg(
+        F.sum(F.col("n_in") - F.col("n_bumped")).alias("n"),
+        *[F.sum(c).alias(c) for c in ("table_bits", "meta_bits", "row_bits", "buckets", "empty", "m")],
     )
-    if p.kind == "twohop":
-        total = per_layer.agg(F.sum(F.col("n_in") - F.col("n_bumped")).alias("n"))
-        out = out.drop("n").crossJoin(total)  # two single rows
-    rows = s.table.agg(F.count(F.lit(1)).alias("parts"))
-    out = out.crossJoin(rows)  # two single rows
-    bits = F.col("table_bits") + F.col("meta_bits") + F.col("parts") * shard_bits
+    bits = F.col("table_bits") + F.col("meta_bits") + F.col("row_bits")
     out = out.withColumns({"bits": bits, "overhead": bits / (F.col("n") * p.r) - 1})
     if fpr:
         out = out.withColumn("filter_overhead", F.col("bits") / (F.col("n") * -math.log2(fpr)) - 1)
@@ -155,27 +131,46 @@ def bucket_histogram(starts: DataFrame, b: int) -> DataFrame:
     return starts.groupBy(F.floor(F.col("start") / b).alias("bucket")).agg(F.count(F.lit(1)).alias("n_keys"))
 
 
-def simple_diagonal(starts: DataFrame, part: str | None = None) -> DataFrame:
-    """First free slot of each key in start order: j + max over i <= j of (s_i - i). Runs by
-    `part`, a shard column; without one the table must fit one task."""
-    w = W.partitionBy(*([part] if part else [F.lit(0)])).orderBy("start", "hi", "lo")
-    rn = F.row_number().over(w) - 1
-    ranked = starts.withColumn("rn", rn.cast("long"))
-    reach = F.max(F.col("start") - F.col("rn")).over(w.rowsBetween(W.unboundedPreceding, 0))
-    return ranked.withColumn("slot", (reach + F.col("rn")).cast("long"))
+def ordered_parts(df: DataFrame, *order: str) -> DataFrame:
+    """The rows with `_part`, a number of the range of `order` that they lie in; kept, as ranges
+    come from a sample. Windows by part and offsets between parts then stand for one window over
+    the whole table, which would be one task's."""
+    return keep(df.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()), "ordered")
+
 
+def simple_diagonal(starts: DataFrame) -> DataFrame:
+    """First free slot of each key in start order: j + max over i <= j of (s_i - i)."""
+    rows = ordered_parts(starts, "start", "hi", "lo")
+    w = W.partitionBy("_part").orderBy("start", "hi", "lo")
+    local = rows.withColumn("_i", (F.row_number().over(w) - 1).cast("long"))
+    local = local.withColumn("_reach", F.max(F.col("start") - F.col("_i")).over(w.rowsBetween(W.unboundedPreceding, 0)))
+    # A row for each part.
+    parts = local.groupBy("_part").agg(F.count(F.lit(1)).alias("_n"), F.max(F.col("start") - F.col("_i")).alias("_top"))
+    before = W.partitionBy(F.lit(0)).orderBy("_part").rowsBetween(W.unboundedPreceding, -1)
+    parts = parts.withColumn("_base", F.coalesce(F.sum("_n").over(before), F.lit(0)).cast("long"))
+    parts = parts.withColumn("_carried", F.max(F.col("_top") - F.col("_base")).over(before)).select("_part", "_base", "_carried")
+    joined = local.join(F.broadcast(parts), "_part")
+    rn = F.col("_base") + F.col("_i")
+    reach = F.greatest(F.col("_reach") - F.col("_base"), F.coalesce("_carried", F.col("_reach") - F.col("_base")))
+    return joined.withColumns({"rn": rn, "slot": (reach + rn).cast("long")}).drop("_part", "_i", "_reach", "_base", "_carried")
 
-def queue_heights(starts: DataFrame, n_slots: int, part: str | None = None) -> DataFrame:
+
+def queue_heights(starts: DataFrame, n_slots: int) -> DataFrame:
     """Height at each slot of a queue that serves one key a slot."""
     spark = starts.sparkSession
     slots = spark.range(n_slots).select(F.col("id").alias("slot"))
     arrivals = starts.groupBy(F.col("start").alias("slot")).agg(F.count(F.lit(1)).alias("a"))
-    w = W.partitionBy(F.lit(0)).orderBy("slot")
-    d = slots.join(arrivals, "slot", "left").withColumn(
-        "d", (F.sum(F.coalesce("a", F.lit(0))).over(w) - (F.col("slot") + 1)).cast("long")
-    )
-    low = F.min("d").over(w.rowsBetween(W.unboundedPreceding, 0))
-    return d.select("slot", (F.col("d") - F.least(F.lit(0), low)).cast("long").alias("height"))
+    rows = ordered_parts(slots.join(arrivals, "slot", "left").select("slot", F.coalesce("a", F.lit(0)).alias("a")), "slot")
+    w = W.partitionBy("_part").orderBy("slot").rowsBetween(W.unboundedPreceding, 0)
+    local = rows.withColumn("_sum", F.sum("a").over(w)).withColumn("_d", F.col("_sum") - (F.col("slot") + 1))
+    local = local.withColumn("_low", F.min("_d").over(w))
+    parts = local.groupBy("_part").agg(F.max("_sum").alias("_n"), F.min("_d").alias("_least"))
+    before = W.partitionBy(F.lit(0)).orderBy("_part").rowsBetween(W.unboundedPreceding, -1)
+    parts = parts.withColumn("_base", F.coalesce(F.sum("_n").over(before), F.lit(0)).cast("long"))
+    parts = parts.withColumn("_carried", F.min(F.col("_least") + F.col("_base")).over(before)).select("_part", "_base", "_carried")
+    joined = local.join(F.broadcast(parts), "_part")  # a row for each part
+    low = F.least(F.lit(0), F.col("_low") + F.col("_base"), F.coalesce("_carried", F.lit(0)))
+    return joined.select("slot", (F.col("_d") + F.col("_base") - low).cast("long").alias("height"))
 
 
 def duplicate_digests(df: DataFrame, cols: list[str], algo: str = "xx128") -> DataFrame:
@@ -217,6 +212,47 @@ def empty_law(filled: list[int], starts: list[int], m: int) -> list[tuple[int, i
     return [(int(k), int((before == k).sum()), int(((before == k) & ~taken).sum())) for k in np.unique(before)]
 
 
+def abandoning_diagonal(starts: np.ndarray, m: int, w: int) -> tuple[np.ndarray, np.ndarray]:
+    """(slot of each key or -1, empty slots) where a key takes the first free slot from its start
+    on, in order of starts, and gives up after w slots."""
+    order = np.argsort(starts, kind="stable")
+    slot = np.full(len(starts), -1, np.int64)
+    free = 0
+    for i in order.tolist():
+        at = max(int(starts[i]), free)
+        if at < int(starts[i]) + w and at < m:
+            slot[i], free = at, at + 1
+    taken = np.zeros(m, bool)
+    taken[slot[slot >= 0]] = True
+    return slot, np.flatnonzero(~taken)
+
+
+def failure_law(outcomes: list[tuple[int, bool]], heights_at: np.ndarray, w: int) -> list[tuple[int, int, int]]:
+    """(room k, rows, failures) of rows by the room k = w - height at their start; with room k a
+    row fails with a chance of at most 2**-k. outcomes: (start, failed) in order of insertion."""
+    room = np.array([w - int(heights_at[s]) for s, _ in outcomes])
+    failed = np.array([f for _, f in outcomes], bool)
+    return [(int(k), int((room == k).sum()), int((failed & (room == k)).sum())) for k in np.unique(room)]
+
+
+def bucket_classes(filled: list[int], starts: list[int], n_starts: int, m: int, b: int, w: int) -> dict:
+    """Buckets that are good (all slots filled and a height of w / 4 or more at the end), bad
+    (neither follows a good bucket nor is good) or recovering (the first ones after a bad run that
+    are full again but not yet high), with the empty slots and the bound on them."""
+    h = heights(filled, starts, m)
+    taken = np.zeros(m, bool)
+    taken[np.asarray(filled, np.int64)] = True
+    n_buckets = -(-n_starts // b)
+    ends = np.minimum((np.arange(n_buckets) + 1) * b, n_starts) - 1
+    full = np.array([taken[i * b : e + 1].all() for i, e in enumerate(ends)])
+    high = h[ends] >= w / 4
+    good = full & high
+    recovering = ~good & (full | high)
+    bad = ~good & ~recovering
+    x = int((~good).sum())
+    return {"good": int(good.sum()), "recovery": int(recovering.sum()), "bad": int(bad.sum()), "empty": int((~taken).sum()), "bound": x * b + (x + 2) * (w - 1)}
+
+
 # ---- sweeps ---------------------------------------------------------------------------------
 
 SWEEP = (
@@ -246,8 +282,8 @@ def sweep(pairs: DataFrame, configs: list[BandParams]) -> DataFrame:
             e = table.stats["empty"] / table.m
             mu = p.meta_bits()
             if p.scheme == "1plus":
-                t = p.thresholds()[1]
-                mu += float((table.thresholds > t).mean()) * EXCEPTION_BITS
+                over = float((table.thresholds > p.thresholds()[1]).mean())
+                mu += over * sum(metadata.exception_bits(len(table.thresholds), p.b))
             row = {
                 "scheme": p.scheme, "w": p.w, "r": p.r, "b": p.b, "eps": p.eps, "n": len(keys), "m": table.m, "bumped": int(bumped.sum()),
                 "e": e, "mu": mu, "overhead": model.overhead_exact(e, mu, p.r, p.b), "overhead_model": model.overhead(e, mu, p.r, p.b),

@@ -21,7 +21,7 @@ def register(spark: SparkSession, name: str, s: band.BandStructure) -> None:
         raise ValueError(f"{size} bytes are too many for a SQL function; use lookup()")
     p = s.params
     rows = s.table.toArrow()
-    shared = spark.sparkContext.broadcast(band.decode_rows(rows))
+    shared = spark.sparkContext.broadcast(band.decode_rows(rows, p))
 
     def answers(hi: pa.Array, lo: pa.Array) -> pa.StructArray:
         shard = hashing.shard_of(np.asarray(hi.fill_null(0)).astype(np.int64).view(np.uint64), p.n_shards)
@@ -41,7 +41,7 @@ def register(spark: SparkSession, name: str, s: band.BandStructure) -> None:
             return answers(hi, lo).field("value")
 
         spark.udf.register(name, value)
-    figures = [(r["shard"], r["layer"], r["m"], r["n_in"], r["n_bumped"], r["empty"]) for r in rows.drop(["z", "thresholds"]).to_pylist()]
+    figures = [(r["shard"], r["layer"], r["m"], r["n_in"], r["n_bumped"], r["empty"]) for r in rows.drop(list(band.STORED)).to_pylist()]
 
     @F.udtf(returnType="shard int, layer int, m long, n_in long, n_bumped long, empty long")
     class Layers:

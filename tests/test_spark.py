@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from bandstore import model, params
 from bandstore.operators import applications as apps
-from bandstore.operators import baselines, build, lookup
+from bandstore.operators import baselines, build, lookup, metadata
 from bandstore.params import BandParams
 from bandstore.plans import metrics
 from bandstore.sources import store
@@ -105,11 +105,124 @@ def test_baselines(orders, kind):
         assert got.where("v" if kind != "counting_quotient" else "v >= 1").count() == keys.count()
 
 
-def test_dynamic_filters_delete():
-    for kind in (baselines.Cuckoo, baselines.Quotient):
-        f = kind(100, 12)
-        assert f.insert(5, 77) and f.contains(5, 77) and f.count(5, 77) == 1
-        assert f.delete(5, 77) and not f.contains(5, 77)
+@pytest.mark.parametrize("kind", list(baselines.DYNAMIC))
+def test_dynamic_filters(kind):
+    """Batches in, out and in again; stored and read; false positives near their rate."""
+    import pickle
+
+    rng = np.random.default_rng(3)
+    hi, lo, other_hi, other_lo = (rng.integers(0, 1 << 63, 30_000, dtype=np.int64).view(np.uint64) for _ in range(4))
+    f = baselines.DYNAMIC[kind](30_000, 8)
+    assert f.insert(hi[:10_000], lo[:10_000]) and f.insert(hi[10_000:], lo[10_000:])
+    f = pickle.loads(pickle.dumps(f))
+    assert f.contains(hi, lo).all() and (f.count(hi, lo) >= 1).all()
+    assert 30_000 * 2.0**-8 / 4 < f.contains(other_hi, other_lo).sum() < 30_000 * 2.0**-8 * 1.4
+    assert f.delete(hi[:5000], lo[:5000]).all()
+    assert f.contains(hi[:5000], lo[:5000]).mean() < 0.02 and f.contains(hi[5000:], lo[5000:]).all()
+    assert f.insert(hi[:5000], lo[:5000]) and f.contains(hi, lo).all()
+    assert f.bits() / 30_000 < 14
+
+
+@pytest.mark.parametrize("r", [3, 8, 40])
+def test_counting_quotient_counts_exactly(r):
+    rng = np.random.default_rng(4)
+    n = 2000
+    hi, lo = (rng.integers(0, 1 << 63, n, dtype=np.int64).view(np.uint64) for _ in range(2))
+    times = rng.integers(1, 3000, n)
+    f = baselines.CountingQuotient(n, r)
+    quotient, rest = f.parts(hi, lo)
+    f.insert(hi, lo, times)
+    want = {}
+    for q, x, c in zip(quotient.tolist(), rest.tolist(), times.tolist()):
+        want[q, x] = want.get((q, x), 0) + c
+    assert f.count(hi, lo).tolist() == [want[k] for k in zip(quotient.tolist(), rest.tolist())]
+    f.delete(hi[:1], lo[:1])
+    assert f.count(hi[:1], lo[:1])[0] == want[quotient[0], rest[0]] - 1
+
+
+def test_baselines_by_shuffle(orders):
+    b = baselines.build("xor", orders, ["o_orderkey"], "code", r=3, n_shards=3)
+    assert baselines.query(b, orders, ["o_orderkey"], "v", "shuffle").where("v is null or v <> code").count() == 0
+
+
+def test_shuffle_splits_a_hot_key(spark, orders):
+    s = build.build(orders, ["o_orderkey"], "code", r=3)
+    probes = spark.range(20_000).select(F.lit(7).cast("long").alias("o_orderkey"), "id")
+    got = lookup.lookup(s, probes, ["o_orderkey"], "shuffle", "v").groupBy(F.spark_partition_id(), "v").count().collect()
+    assert len({r["v"] for r in got}) == 1 and len(got) > 1 and sum(r["count"] for r in got) == 20_000
+
+
+@pytest.mark.parametrize("scheme", params.SCHEMES)
+@pytest.mark.parametrize("range_bits", [0, 8])
+def test_stored_thresholds(scheme, range_bits):
+    p = BandParams(scheme=scheme, b=128, range_bits=range_bits).resolved()
+    rng = np.random.default_rng(1)
+    for n in (1, 2, 7, 8, 9, 500):
+        allowed = np.array(p.thresholds())
+        t = rng.choice(allowed if scheme != "1plus" else np.concatenate([allowed[:2].repeat(20), allowed]), n)
+        stored = metadata.encode(t, p)
+        got = metadata.Thresholds.decode(*stored, n, p)
+        assert (got[np.arange(n)] == t).all()
+        assert len(stored[0]) in (0, -(-n * metadata.code_bits(p) // 8))
+        if scheme == "1plus" and range_bits and (t > 0).any():
+            plain = metadata.Thresholds.decode(stored[0], stored[1], b"", n, p)
+            plain[np.arange(n)]
+            assert got.searches <= plain.searches
+    none = metadata.Thresholds.decode(*metadata.encode(np.zeros(5, int), p), 5, p)
+    assert not none.any() and (none[np.arange(5)] == 0).all()
+
+
+def test_space_is_what_is_stored(orders):
+    s = build.build(orders, ["o_orderkey"], "code", r=3, b=64, scheme="1plus", range_bits=16)
+    stored = s.table.agg(F.sum(sum((F.length(c) for c in build.STORED), F.lit(0))), F.count(F.lit(1))).first()
+    got = metrics.space_report(s).first()
+    assert got["bits"] == stored[0] * 8 + stored[1] * metrics.SHARD_BITS and got["n"] == orders.count()
+
+
+def test_clashing_digests_start_over(spark):
+    rows = spark.createDataFrame([(i, i % 8) for i in range(60)], "k long, v long")
+    again = 0
+    for first in range(1, 5):
+        s = build.build(rows, ["k"], "v", r=3, algo="bits:11", key_seed=first)
+        again += s.key_seed > first
+        assert lookup.lookup(s, rows, ["k"], out="w").where("w <> v").count() == 0
+    assert again
+    with pytest.raises(Exception, match="clash"):
+        build.build(rows, ["k"], "v", r=3, algo="bits:4")
+
+
+def test_many_functions_conflict_and_share_no_keys(spark, monkeypatch):
+    rows = spark.createDataFrame([(g, k, (g * 7 + k) % 8) for g in range(20) for k in range(30)], "g long, k long, v long")
+    monkeypatch.setattr(build, "GROUP_SHARDS", 3)  # groups share shards
+    s = build.build_many(rows, ["g"], ["k"], "v", r=3)
+    assert lookup.lookup(s, rows, ["k"], out="w", group_cols=["g"]).where("w <> v").count() == 0
+    with pytest.raises(Exception, match="different values"):
+        build.build_many(rows.unionByName(rows.withColumn("v", (F.col("v") + 1) % 8)), ["g"], ["k"], "v", r=3)
+
+
+def test_diagonals_and_classes():
+    from bandstore.operators import kernel
+
+    rng = np.random.default_rng(8)
+    n, w, b, n_starts = 4000, 32, 64, 3900
+    starts = rng.integers(0, n_starts, n)
+    m = n_starts + w - 1
+    s = kernel.ScalarEliminator(m)
+    outcomes = []
+    for x in np.sort(starts).tolist():
+        got = s.insert(x, int(rng.integers(0, 1 << 32)) | 1, int(rng.integers(0, 2)))[0]
+        outcomes.append((x, got != kernel.PLACED))
+    slot, empty = metrics.abandoning_diagonal(starts, m, w)
+    assert len(set(slot[slot >= 0].tolist())) == (slot >= 0).sum() == m - len(empty)
+    assert ((slot[slot >= 0] - starts[slot >= 0]) < w).all()
+    placed = [x for x, failed in outcomes if not failed]
+    h = metrics.heights(sorted(s.coefs), placed, m)
+    for room, rows, failures in metrics.failure_law(outcomes, np.concatenate([[0], h[:-1]]), w):
+        if room >= 1:
+            bound = rows * 2.0**-room
+            assert failures <= 4 * bound + 6 * bound**0.5 + 3
+    classes = metrics.bucket_classes(sorted(s.coefs), starts.tolist(), n_starts, m, b, w)
+    assert classes["good"] + classes["recovery"] + classes["bad"] == -(-n_starts // b) and classes["empty"] <= classes["bound"]
 
 
 def test_golomb_and_huffman():
