@@ -1,23 +1,26 @@
 """Toxicity by a weighted finite-state pattern grammar.
 
-Three transducers are composed. The first rewrites a text into tags: an automaton over all
-lexicon entries finds insults, threats, targets, negations and verbs of reported speech
-(whole words, and learned word stems). The second cuts the tag string into clauses at
-punctuation. The third is a weighted acceptor over the tags of one clause: insults and
-threats add their weight, a target in the same clause strengthens them, a negation before
-them weakens them, and reported speech or quotation marks discount the clause. A text's
-score is a logistic function of what its matched clauses add up to.
+A tagger rewrites a text into tags: an automaton over all lexicon entries finds insults,
+threats, targets, negations and verbs of reported speech (whole words, and learned word
+stems). Its output is cut into clauses at punctuation. Five weighted transducers read the
+tags of a clause: insults; threats, which need somebody they are aimed at; targets, which
+strengthen a clause; negations, which weaken the hits after them; and reported speech or
+quotation marks, which discount it. They are composed into one machine whose states are the
+reachable combinations, so that a clause is read once. A text's score is a logistic function
+of what its matched clauses add up to.
 
 Insult weights are learned from labelled rows: Spark counts, for every word and word stem,
 the labelled texts of each kind that have it, and keeps entries whose log odds stand out.
 The rest of the grammar is a small fixed list, for several languages.
 
 Defined results: null and empty texts match nothing and get the score of an empty match
-list; an empty label set leaves the built-in lexicon and default coefficients.
+list; an empty label set leaves the built-in lexicon and default coefficients. Columns score,
+predicted and n_clauses of the input are replaced, all others stay.
 """
 
 from __future__ import annotations
 
+import functools
 import math
 import re
 from collections.abc import Iterator
@@ -50,6 +53,68 @@ QUOTES = set("\"«»“”„")
 STEM_LENGTHS = (4, 5, 6)
 
 
+QUOTE, OTHER = "quote", "other"
+TAGS = (OTHER, INSULT, THREAT, TARGET, NEGATION, REPORT, QUOTE)
+
+
+@dataclass(frozen=True)
+class Transducer:
+    """A weighted transducer over the tags of a clause: after[state][tag] is the next state,
+    gain[state][tag] what a hit of that tag is multiplied with, last[state] what the clause is
+    multiplied with if it ends there. State 0 begins. A tag without an arc stays and weighs 1."""
+
+    after: tuple[dict[str, int], ...]
+    gain: tuple[dict[str, float], ...]
+    last: tuple[float, ...]
+
+    def step(self, state: int, tag: str) -> tuple[int, float]:
+        return self.after[state].get(tag, state), self.gain[state].get(tag, 1.0)
+
+
+def compose(a: Transducer, b: Transducer) -> Transducer:
+    """Both run side by side over the same tags: states are the reachable pairs, weights multiply."""
+    index, todo = {(0, 0): 0}, [(0, 0)]
+    after, gain = [], []
+    for x, y in todo:
+        arcs, weights = {}, {}
+        for tag in TAGS:
+            (next_x, w_x), (next_y, w_y) = a.step(x, tag), b.step(y, tag)
+            if (next_x, next_y) not in index:
+                index[next_x, next_y] = len(index)
+                todo.append((next_x, next_y))
+            arcs[tag], weights[tag] = index[next_x, next_y], w_x * w_y
+        after.append(arcs)
+        gain.append(weights)
+    return Transducer(tuple(after), tuple(gain), tuple(a.last[x] * b.last[y] for x, y in index))
+
+
+def insults() -> Transducer:
+    """Insults weigh what the lexicon says."""
+    return Transducer(({},), ({},), (1.0,))
+
+
+def threats(unaimed: float = 0.25) -> Transducer:
+    """A threat counts in full after somebody it may be aimed at."""
+    return Transducer(({TARGET: 1}, {}), ({THREAT: unaimed}, {}), (1.0, 1.0))
+
+
+def targets(gain: float) -> Transducer:
+    """A clause that has a target weighs more."""
+    return Transducer(({TARGET: 1}, {}), ({}, {}), (1.0, gain))
+
+
+def negations(loss: float, reach: int = 3) -> Transducer:
+    """Hits among the `reach` words after a negation lose weight."""
+    closing = tuple({**{tag: max(0, k - 1) for tag in TAGS if tag != NEGATION}, NEGATION: reach} for k in range(reach + 1))
+    weak = {INSULT: loss, THREAT: loss}
+    return Transducer(closing, ({}, *[weak] * reach), (1.0,) * (reach + 1))
+
+
+def reports(loss: float) -> Transducer:
+    """A clause that reports speech, or quotes, loses weight."""
+    return Transducer(({REPORT: 1, QUOTE: 1}, {}), ({}, {}), (1.0, loss))
+
+
 @dataclass(frozen=True)
 class Grammar:
     """words and stems: entry to (tag, weight); coefficients of the logistic layer."""
@@ -61,6 +126,14 @@ class Grammar:
     negation_loss: float = 0.5
     report_loss: float = 0.6
 
+    def parts(self) -> list[Transducer]:
+        return [insults(), threats(), targets(self.target_gain), negations(self.negation_loss), reports(self.report_loss)]
+
+    @functools.cached_property
+    def machine(self) -> Transducer:
+        """The clause acceptor: all transducers composed into one."""
+        return functools.reduce(compose, self.parts())
+
     def automaton(self) -> ahocorasick.Automaton:
         """Only entries that can start a match are searched for; a clause with a hit is
         tagged from its start to its end."""
@@ -111,27 +184,16 @@ def hits(text: str, automaton: ahocorasick.Automaton) -> Iterator[tuple[int, int
 
 
 def clause_weight(tags: list[tuple[str, float]], quoted: bool, g: Grammar) -> tuple[float, float]:
-    """Run the clause acceptor: (weight, number of insults and threats). Its state is
-    (negations still open, target seen, report seen)."""
-    weight, count, negated, target, report = 0.0, 0, 0, False, quoted
+    """Run the composed machine over a clause: (weight, number of insults and threats)."""
+    m, weight, count, state = g.machine, 0.0, 0, 0
+    if quoted:
+        state = m.after[state][QUOTE]
     for tag, w in tags:
-        if tag == NEGATION:
-            negated = 3
-        elif tag == TARGET:
-            target = True
-        elif tag == REPORT:
-            report = True
-        elif tag in (INSULT, THREAT):
-            if tag == THREAT and not target:
-                w *= 0.25
-            weight += w * (g.negation_loss if negated else 1.0)
+        if tag in (INSULT, THREAT):
+            weight += w * m.gain[state][tag]
             count += 1
-        negated = max(0, negated - 1) if tag != NEGATION else negated
-    if target:
-        weight *= g.target_gain
-    if report:
-        weight *= g.report_loss
-    return weight, count
+        state = m.after[state][tag]
+    return weight * m.last[state], count
 
 
 def matched_clauses(text: str, g: Grammar, automaton: ahocorasick.Automaton) -> list[tuple[int, int, float, float]]:
@@ -151,7 +213,7 @@ def matched_clauses(text: str, g: Grammar, automaton: ahocorasick.Automaton) ->
                 tags.append(marks.pop(m.start()))
             else:
                 entry = g.words.get(m.group())
-                tags.append(entry if entry and entry[0] not in (INSULT, THREAT) else ("", 0.0))
+                tags.append(entry if entry and entry[0] not in (INSULT, THREAT) else (OTHER, 0.0))
         tags += marks.values()
         quoted = bool(QUOTES & set(text[start:end]))
         found.append((start, end, *clause_weight(tags, quoted, g)))
@@ -171,7 +233,7 @@ def matched_clauses(text: str, g: Grammar, automaton: ahocorasick.Automaton) ->
 def features(clauses: list[tuple[int, int, float, float]]) -> list[float]:
     total = sum(c[2] for c in clauses)
     count = sum(c[3] for c in clauses)
-    return [1.0, min(total, 8.0), min(count, 8.0), 1.0 if count >= 2 else 0.0]
+    return [1.0, math.log1p(total), math.log1p(count), 1.0 if count >= 2 else 0.0]
 
 
 def score_texts(texts: list[str | None], g: Grammar, automaton: ahocorasick.Automaton) -> np.ndarray:
