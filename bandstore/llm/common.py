@@ -4,8 +4,6 @@ from __future__ import annotations
 
 import ctypes
 import gc
-import re
-import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
 
@@ -15,34 +13,21 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..sources.shared import shared_dir
+
 #: A word is a run of anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 SPACE = r"[\x20\x09-\x0D]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir of the session. Where it
-    is unset, a temporary folder is set on one machine (as in tests) and a cluster is refused."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        current = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if current.isDefined():
-            return current.get()
-        if not re.match(r"local(\[|$)", spark.sparkContext.master):
-            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="bandstore-"))
-        root = spark.sparkContext._jsc.sc().getCheckpointDir().get()
-    return root
-
-
 class Scratch:
     """Intermediate tables of one job in the shared folder. Writing one cuts lineage and survives
     lost executors; a table that no later step reads can go."""
 
     def __init__(self, spark: SparkSession, label: str):
         self.spark = spark
-        self.root = f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
+        self.root = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
         self.paths: dict[int, str] = {}  # by id of the table that reads it
         self.tables: list[DataFrame] = []  # keeps the ids apart
 
@@ -75,6 +60,22 @@ def release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def fresh(columns: list[str], *wanted: str) -> list[str]:
+    """The wanted names, with underscores where the columns have them already."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in wanted:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def packed(df: DataFrame) -> DataFrame:
+    """One column `row` that holds all others, so that none can clash with a step's own."""
+    return df.select(F.struct(*(F.col(f"`{n}`") for n in df.columns)).alias("row"))
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
