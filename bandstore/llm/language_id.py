@@ -26,7 +26,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import map_arrow, seeded_hash, text_bytes
+from .common import fresh, map_arrow, seeded_hash, text_bytes
 
 UNDETERMINED = "und"
 ORDER = 3
@@ -132,18 +132,21 @@ def train(
     id_col: str = "doc_id",
     max_rows_per_language: int = 1500,
     max_text_bytes: int = 1 << 20,
-    max_languages: int = 64,
+    max_languages: int | None = None,
+    max_cells: int = 1 << 25,
     max_nodes: int = 1 << 14,
     seed: int = 17,
 ) -> LanguageModel:
     """Fit on a bounded sample: about `max_rows_per_language` rows of each language, chosen
-    by a seeded hash of the id, of texts up to `max_text_bytes`; the `max_languages` most
-    common languages; the `max_nodes` most visited contexts. What reaches the driver is
-    bounded by those, however many rows there are."""
+    by a seeded hash of the id, of texts up to `max_text_bytes`; all languages, or the
+    `max_languages` most common; the `max_nodes` most visited contexts, fewer where contexts
+    times symbols times languages would pass `max_cells` (4 bytes each), but all of order 1.
+    What reaches the driver grows with the number of languages, not of rows."""
     usable = df.where(F.col(lang).isNotNull() & F.col(text).isNotNull() & (F.octet_length(text) <= max_text_bytes))
+    found = usable.groupBy(lang).count().orderBy(F.desc("count"), lang)
     sizes = {
         r[0]: r[1]
-        for r in usable.groupBy(lang).count().orderBy(F.desc("count"), lang).limit(max_languages).collect()
+        for r in (found if max_languages is None else found.limit(max_languages)).collect()
     }
     keep = F.lit(None).cast("double")
     for language, n in sizes.items():
@@ -151,7 +154,7 @@ def train(
     draw = seeded_hash(seed, F.col(id_col).cast("string")) / F.lit(float(1 << 62))
     counts = count_contexts(usable.where(draw < keep), text, lang)
     rows = counts.where(F.col("n") > 0).toArrow().to_pydict() if sizes else {"language": [], "gram": [], "n": []}
-    return compile_model(rows["language"], rows["gram"], rows["n"], max_nodes)
+    return compile_model(rows["language"], rows["gram"], rows["n"], min(max_nodes, max_cells // (256 * max(1, len(sizes)))))
 
 
 def compile_model(langs: list[str], grams: list[int], ns: list[int], max_nodes: int) -> LanguageModel:
@@ -180,7 +183,7 @@ def compile_model(langs: list[str], grams: list[int], ns: list[int], max_nodes:
     must = [x for x in visits if len(x) < 2]
     rest = sorted((x for x in visits if len(x) >= 2), key=lambda x: (len(x) > 2, -visits[x], x))
     pairs, triples = [x for x in rest if len(x) == 2], [x for x in rest if len(x) == 3]
-    nodes = (must + pairs + triples)[:max_nodes]
+    nodes = (must + pairs + triples)[: max(max_nodes, len(must))]
     index = {x: i for i, x in enumerate(nodes)}
 
     nats = np.zeros((len(nodes), size, len(names)))
@@ -213,29 +216,28 @@ def has_letter(text: Column) -> Column:
     return F.coalesce(text.rlike(r"\p{L}"), F.lit(False))
 
 
-def identify(df: DataFrame, model: LanguageModel, text: str = "text") -> DataFrame:
-    """Add lang_pred and score to every row; whole texts. The model is shipped by broadcast;
-    its size is bounded by max_nodes, 256 symbols and max_languages."""
-    if {"lang_pred", "score"} & set(df.columns):
-        df = df.drop("lang_pred", "score")
+def identify(df: DataFrame, model: LanguageModel, text: str = "text", pred: str = "lang_pred", score: str = "score") -> DataFrame:
+    """Add pred and score to every row (columns of these names are replaced); whole texts. The
+    model is shipped by broadcast; its size is bounded by the parameters of train."""
+    df = df.drop(pred, score)
     if not model.languages:
-        return df.withColumns({"lang_pred": F.lit(UNDETERMINED), "score": F.lit(0.0)})
+        return df.withColumns({pred: F.lit(UNDETERMINED), score: F.lit(0.0)})
     names = df.columns
     shared = df.sparkSession.sparkContext.broadcast(model)
     at = names.index(text)
-    known = f"has_letter_{len(names)}"
+    known = fresh(names, "has_letter")[0]
     schema = T.StructType(
-        [*df.schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]
+        [*df.schema.fields, T.StructField(pred, T.StringType()), T.StructField(score, T.DoubleType())]
     )
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         m = shared.value
         ok = np.asarray(batch.column(len(names)).to_pylist(), bool)
         best, p = m.predict(text_bytes(batch.column(at)))
-        pred = [m.languages[b] if k else UNDETERMINED for b, k in zip(best, ok, strict=True)]
+        best_names = [m.languages[b] if k else UNDETERMINED for b, k in zip(best, ok, strict=True)]
         columns = [batch.column(i) for i in range(len(names))]
         return pa.record_batch(
-            [*columns, pa.array(pred, pa.string()), pa.array(np.where(ok, p, 0.0))], names=schema.names
+            [*columns, pa.array(best_names, pa.string()), pa.array(np.where(ok, p, 0.0))], names=schema.names
         )
 
     return map_arrow(df.withColumn(known, has_letter(F.col(text))), run, schema)
