@@ -10,19 +10,21 @@ selection: sums per hash digit, one digit deeper each time, so no task ever sort
 
 Defined results: null text has size 0 and is taken 0 times; a null source is a source of its
 own, ordered last; rows with equal id and text share one hash and split what is cut through
-them; an empty table gives an empty mix.
+them; an empty table gives an empty mix. repeat_documents gives the input's columns back,
+whatever their names.
 """
 
 from __future__ import annotations
 
 import heapq
+import json
 from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD, materialize, seeded_hash
+from .common import WORD, materialize, packed
 
 HASH_BITS, DIGIT_BITS = 60, 10
 
@@ -107,7 +109,7 @@ class Mix:
     """What a mix decides, a row for each pattern: whole repetitions, the hash at which the
     seeded order is cut, and the tokens that are left for the rows of that hash."""
 
-    patterns: list[str | None]
+    patterns: list[str]
     full: list[int]
     cut: list[tuple[int, int]]
     rest: list[int]
@@ -118,16 +120,15 @@ class Mix:
     sources: list[str | None]
 
 
-SEPARATOR = "\x1f"
-
-
 def pattern_key(membership: Column) -> Column:
-    """One string for a set of sources; null for the set that holds null alone."""
-    return F.array_join(F.array_sort(F.array_distinct(membership)), SEPARATOR)
+    """One string for a set of sources, as JSON, so that any name and null are told apart. No
+    membership is that of null alone."""
+    known = F.coalesce(membership, F.array(F.lit(None).cast("string")))
+    return F.to_json(F.array_sort(F.array_distinct(F.when(F.size(known) > 0, known).otherwise(F.array(F.lit(None).cast("string"))))))
 
 
-def row_hash(id_col: str, text: str, seed: int) -> Column:
-    return F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.col(id_col), F.col(text)), 64 - HASH_BITS)
+def row_hash(id_col: Column, text: Column, seed: int) -> Column:
+    return F.shiftrightunsigned(F.xxhash64(F.lit(seed), id_col, text), 64 - HASH_BITS)
 
 
 def plan_mix(
@@ -142,10 +143,10 @@ def plan_mix(
     rows = sizes.groupBy("pattern").agg(F.sum("size").alias("n")).limit(max_patterns + 1).collect()
     if len(rows) > max_patterns:
         raise ValueError(f"more than {max_patterns} membership patterns")
-    rows.sort(key=lambda r: (r["pattern"] is None, r["pattern"] or ""))
+    rows.sort(key=lambda r: r["pattern"])
     patterns = [r["pattern"] for r in rows]
     amount = [int(r["n"] or 0) for r in rows]
-    held = [[None] if p is None else p.split(SEPARATOR) for p in patterns]
+    held = [json.loads(p) for p in patterns]
     sources = sorted({s for x in held for s in x}, key=lambda s: (s is None, s or ""))
     index = {s: i for i, s in enumerate(sources)}
     size_of = {s: 0 for s in sources}
@@ -247,14 +248,14 @@ def repeating_weights(size_of: dict, weights: tuple[float, ...] = (5.0, 2.0, 1.0
 
 def size_table(df: DataFrame, text: str, source: str, id_col: str, seed: int, membership: str | None = None) -> DataFrame:
     """pattern, size and hash of each row, with its id and source; small, and written once."""
-    key = F.col(source) if membership is None else pattern_key(F.col(membership))
+    key = pattern_key(F.array(F.col(source).cast("string")) if membership is None else F.col(membership))
     return materialize(
         df.select(
             F.col(id_col).alias("doc_id"),
             F.col(source).alias("source"),
             key.alias("pattern"),
             word_count(F.col(text)).alias("size"),
-            row_hash(id_col, text, seed).alias("h"),
+            row_hash(F.col(id_col), F.col(text), seed).alias("h"),
         ),
         "mix-sizes",
     )
@@ -282,9 +283,9 @@ def repeat_documents(
 ) -> DataFrame:
     """The mixed corpus itself: each row as often as the mix takes it, rounded to whole texts."""
     _, mix = mix_sources(df, text=text, source=source, id_col=id_col, max_uses=max_uses, seed=seed)
-    names = df.columns
-    marked = df.withColumns(
-        {"mix_size": word_count(F.col(text)), "mix_h": row_hash(id_col, text, seed), "mix_key": F.col(source)}
+    of = {c: F.col(f"row.`{c}`") for c in (text, source, id_col)}
+    marked = packed(df).withColumns(
+        {"mix_size": word_count(of[text]), "mix_h": row_hash(of[id_col], of[text], seed), "mix_key": pattern_key(F.array(of[source].cast("string")))}
     )
     mixed = taken_column(marked, mix, "mix_key", "mix_size", "mix_h")
     copies = F.when(F.col("mix_size") > 0, F.round(F.col("taken") / F.col("mix_size"))).otherwise(0).cast("int")
@@ -292,5 +293,5 @@ def repeat_documents(
         mixed.withColumn("mix_copies", copies)
         .where(F.col("mix_copies") > 0)
         .withColumn("mix_copy", F.explode(F.sequence(F.lit(1), F.col("mix_copies"))))
-        .select(*names)
+        .select("row.*")
     )

@@ -42,7 +42,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, give_back, map_arrow, mix64, release, slices, small_batches, text_bytes
+from .common import Scratch, give_back, map_arrow, mix64, packed, release, slices, small_batches, text_bytes
 from .shingles import all_shingles, wide_shingles
 
 COORDINATES, MISS = 64, 1e-6
@@ -517,14 +517,12 @@ def joined(placed: DataFrame, links: DataFrame, scratch: Scratch) -> DataFrame:
 def drop_near_duplicates(df: DataFrame, text: str = "text", id_col: str = "doc_id", width: int = 5, percent: int = 80) -> DataFrame:
     """The input's rows, one of each component. Rows that share an id are told apart by text,
     and of rows equal in both one stays."""
-    names = df.columns
     spark = df.sparkSession
     found = Scratch(spark, "near-found").write(components(df, text, id_col, width, percent), "components")
     gone = found.where(~F.col("kept")).select("doc_id", "text_key").distinct()
     same_id = found.where("kept").groupBy("doc_id").count().where("count > 1")
     repeated = bool(same_id.take(1))
-    packed = df.select(F.struct(*(F.col(f"`{n}`") for n in names)).alias("row"))
-    keyed = packed.select("row", F.col(f"row.`{id_col}`").cast("long").alias("id"), F.xxhash64(F.col(f"row.`{text}`")).alias("key"))
+    keyed = packed(df).select("row", F.col(f"row.`{id_col}`").cast("long").alias("id"), F.xxhash64(F.col(f"row.`{text}`")).alias("key"))
     rest = keyed.join(gone, F.col("id").eqNullSafe(F.col("doc_id")) & (F.col("key") == F.col("text_key")), "left_anti")
     if repeated:
         rest = rest.dropDuplicates(["id", "key"])

@@ -12,7 +12,7 @@ from .common import crc_mod, documents
 def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     model = language_id.train(docs.where(crc_mod("doc_id", 4) != 2))
-    rows = docs.select("doc_id", "text", (crc_mod("doc_id", 4) == 2).alias("held_out"))
+    rows = docs.select("doc_id", "text", F.coalesce(crc_mod("doc_id", 4) == 2, F.lit(False)).alias("held_out"))
     return language_id.identify(rows, model).select("doc_id", "held_out", "lang_pred", "score")
 
 
@@ -20,7 +20,7 @@ def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "toxic")
     grammar = toxicity.train(docs.where(crc_mod("doc_id", 5) != 0), labels.where(crc_mod("doc_id", 5) != 0))
-    rows = docs.withColumn("held_out", crc_mod("doc_id", 5) == 0)
+    rows = docs.withColumn("held_out", F.coalesce(crc_mod("doc_id", 5) == 0, F.lit(False)))
     return toxicity.score(rows, grammar).select("doc_id", "held_out", "score", "predicted", "n_clauses")
 
 
@@ -30,7 +30,7 @@ def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
         [(s, int(mix.sizes[s]), float(mix.targets[s])) for s in mix.sources],
         "mix_source string, source_size long, target double",
     )  # a row for each source
-    joined = mixed.join(F.broadcast(table), F.col("source").eqNullSafe(F.col("mix_source")))
+    joined = mixed.join(F.broadcast(table), F.col("source").eqNullSafe(F.col("mix_source")), "left")
     return joined.select("doc_id", "size", "source_size", "target", "taken")
 
 

@@ -12,7 +12,7 @@ repeated task gives the same bytes.
 
 Defined results: a null text has size 1 and the crc of the empty text; equal rows are placed
 one by one and get different slots; an empty table gives no shards; fewer rows than shards
-leave the last shards empty.
+leave the last shards empty; columns of any name stay as they are.
 """
 
 from __future__ import annotations
@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import seeded_hash, slices
+from .common import fresh, seeded_hash, slices
 
 BUCKET_BYTES = 64 << 20
 
@@ -34,9 +34,9 @@ def record_size(text: Column) -> Column:
 
 
 def scatter(df: DataFrame, keys: list[str], seed: int, n_buckets: int) -> DataFrame:
-    """Add shuffle_hash and shuffle_bucket."""
-    h = seeded_hash(seed, *[F.col(k) for k in keys])
-    return df.withColumn("shuffle_hash", h).withColumn("shuffle_bucket", (F.col("shuffle_hash") % n_buckets).cast("int"))
+    """Two more columns at the end, under names that the input does not have: hash and bucket."""
+    h, bucket = fresh(df.columns, "shuffle_hash", "shuffle_bucket")
+    return df.withColumn(h, seeded_hash(seed, *[F.col(k) for k in keys])).withColumn(bucket, (F.col(h) % n_buckets).cast("int"))
 
 
 def external_shuffle(
@@ -46,26 +46,29 @@ def external_shuffle(
     seed: int = 31,
     bucket_bytes: int = BUCKET_BYTES,
     least_buckets: int | None = None,
+    place: str = "place",
 ) -> tuple[DataFrame, int]:
-    """The records with `place`, their position in a seeded global order from 0, and their
+    """The records with `place` (one of that name is replaced), their position in a seeded global order from 0, and their
     number. Two counts come to the driver: bytes, and rows by bucket (a row per bucket,
     that is per bucket_bytes of input)."""
     spark = df.sparkSession
+    df = df.drop(place)
     names = df.columns
     n_bytes = df.agg(F.sum(record_size(F.col(text)))).first()[0] or 0
     least = least_buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
     n_buckets = max(least, -(-int(n_bytes) // bucket_bytes))
     scattered = scatter(df, list(keys), seed, n_buckets)
-    counts = {r[0]: r[1] for r in scattered.groupBy("shuffle_bucket").count().collect()}
+    h, bucket_name = scattered.columns[-2:]
+    counts = {r[0]: r[1] for r in scattered.groupBy(bucket_name).count().collect()}
     offsets, total = {}, 0
     for b in range(n_buckets):
         offsets[b] = total
         total += counts.get(b, 0)
     shared = spark.sparkContext.broadcast((offsets, counts))  # two numbers per bucket
-    dealt = scattered.repartitionById(n_buckets, F.col("shuffle_bucket")).sortWithinPartitions(
-        "shuffle_bucket", "shuffle_hash", *[F.col(k) for k in keys], F.xxhash64(*[F.col(c) for c in names])
+    dealt = scattered.repartitionById(n_buckets, F.col(bucket_name)).sortWithinPartitions(
+        bucket_name, h, *[F.col(k) for k in keys], F.xxhash64(*[F.col(c) for c in names])
     )
-    schema = df.withColumn("place", F.lit(0).cast("long")).schema
+    schema = df.withColumn(place, F.lit(0).cast("long")).schema
     at, n_keep = len(names) + 1, len(names)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -84,7 +87,7 @@ def external_shuffle(
                     end = begin + int(np.searchsorted(of[begin:], bucket, "right"))
                     places[begin:end] = order[seen : seen + end - begin]
                     seen, begin = seen + end - begin, end
-                yield pa.record_batch([*batch.columns[:n_keep], pa.array(places)], schema=pa.schema([*[batch.schema.field(i) for i in range(n_keep)], pa.field("place", pa.int64())]))
+                yield pa.record_batch([*batch.columns[:n_keep], pa.array(places)], schema=pa.schema([*[batch.schema.field(i) for i in range(n_keep)], pa.field(place, pa.int64())]))
 
     return dealt.mapInArrow(run, schema), total
 
@@ -105,9 +108,11 @@ def assign_shards(df: DataFrame, n_shards: int = 16, total: int = 0, place: str
 def shard_documents(
     df: DataFrame, n_shards: int = 16, text: str = "text", keys: tuple[str, ...] = ("doc_id", "text"), seed: int = 31
 ) -> DataFrame:
-    """Records with shard and slot."""
-    placed, total = external_shuffle(df, text, keys, seed)
-    return assign_shards(placed, n_shards, total).drop("place")
+    """Records with shard and slot; columns of these names are replaced, all others stay."""
+    df = df.drop("shard", "slot")
+    place = fresh(df.columns, "place")[0]
+    placed, total = external_shuffle(df, text, keys, seed, place=place)
+    return assign_shards(placed, n_shards, total, place).drop(place)
 
 
 def write_shards(df: DataFrame, path: str) -> None:

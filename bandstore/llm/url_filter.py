@@ -12,7 +12,8 @@ beyond, its block table is joined by block number, and Spark chooses the join by
 
 Defined results: a null URL or one without `://` has empty host and path, and no key; an
 empty list, or no matching entry, leaves the method's default verdict. Ties of length go to
-the longer host, then to `block`.
+the longer host, then to `block`. Columns host, path, rule and verdict of the input are
+replaced, all others stay.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower
+from .common import ascii_lower, fresh
 
 WORDS, BITS_PER_KEY, LITERAL_WORDS = 8, 16, 8192
 URL_PARTS = "://([^/?#]*)([^?#]*)"
@@ -96,20 +97,21 @@ def judge(pages: DataFrame, listed: DataFrame, default: str = "allow", url: str
         return parts.withColumns({"rule": F.lit(None).cast("string"), "verdict": F.lit(default)})
     n_blocks = max(1, -(-n_listed * BITS_PER_KEY // (64 * WORDS)))
     blocks = build_filter(entries, n_blocks)
-    probed = parts.withColumn("probe", probe_keys(lengths))
+    probe = fresh(parts.columns, "probe")[0]
+    probed = parts.withColumn(probe, probe_keys(lengths))
     if n_blocks * WORDS <= LITERAL_WORDS:
         words = [0] * (n_blocks * WORDS)
         for r in blocks.collect():  # at most LITERAL_WORDS numbers
             words[r["block"] * WORDS : (r["block"] + 1) * WORDS] = [r[f"w{j}"] for j in range(WORDS)]
         literal = F.array(*[F.lit(w).cast("long") for w in words])
         element = lambda k, j: F.element_at(literal, block_of(k, n_blocks) * WORDS + j + 1)
-        hits = F.filter("probe", lambda k: _passes_words(k, [element(k, j) for j in range(WORDS)]))
-        marked = probed.withColumn("probe", hits)
-        passing = marked.where(F.size("probe") > 0).select("host", "path", F.explode("probe").alias("key")).distinct()
-        some = F.size("probe") > 0
+        hits = F.filter(probe, lambda k: _passes_words(k, [element(k, j) for j in range(WORDS)]))
+        marked = probed.withColumn(probe, hits)
+        passing = marked.where(F.size(probe) > 0).select("host", "path", F.explode(probe).alias("key")).distinct()
+        some = F.size(probe) > 0
     else:
-        marked, some = probed, F.size("probe") > 0
-        exploded = probed.select("host", "path", F.explode("probe").alias("key")).distinct()
+        marked, some = probed, F.size(probe) > 0
+        exploded = probed.select("host", "path", F.explode(probe).alias("key")).distinct()
         passing = (
             exploded.withColumn("block", block_of(F.col("key"), n_blocks))
             .join(blocks, "block")
