@@ -133,9 +133,11 @@ def with_next(df: DataFrame, id_col: str, text: str, n_ranges: int) -> DataFrame
     # Range 0 has the largest ids; a null id is in the last range.
     cut_of = F.lit(len(cuts))
     if cuts:
-        edges = spark.sparkContext.broadcast(cuts)  # at most n_ranges numbers
+        # Of the sorted cuts, first every STEP-th is looked at, then those between two of them.
         literal = F.array(*[F.lit(c) for c in cuts])
-        above = F.size(F.filter(literal, lambda c: c < F.col("doc_id"))) if len(cuts) <= 512 else _bucket(edges)
+        coarse = F.array(*[F.lit(c) for c in cuts[STEP - 1 :: STEP]]).cast("array<long>")
+        whole = F.size(F.filter(coarse, lambda c: c < F.col("doc_id")))
+        above = whole * STEP + F.size(F.filter(F.slice(literal, whole * STEP + 1, F.lit(STEP)), lambda c: c < F.col("doc_id")))
         cut_of = F.when(F.col("doc_id").isNull(), F.lit(len(cuts))).otherwise(F.lit(len(cuts)) - above)
     base = base.withColumn("range_no", cut_of.cast("int"))
     base = base.withColumn("tie", F.xxhash64("text"))
@@ -168,15 +170,7 @@ def with_next(df: DataFrame, id_col: str, text: str, n_ranges: int) -> DataFrame
     ).select("doc_id", "text", "tie", "place.range_no", "place.ghost")
 
 
-def _bucket(edges):  # pragma: no cover - many ranges only
-    @F.pandas_udf("int")
-    def above(ids):
-        import pandas as pd
-
-        return pd.Series(np.searchsorted(np.asarray(edges.value), ids.fillna(0).to_numpy(np.int64), "left"))
-
-    return above(F.col("doc_id"))
-
+STEP = 32
 
 RESULT = (
     "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, "
