@@ -7,13 +7,19 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from bandstore.llm import decontaminate, language_id, mixing, near_dup, sharding
-from bandstore.llm.common import shared_dir
+from bandstore.llm.common import fresh
+from bandstore.sources.shared import shared_dir
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without a letter, which have no language, go."""
-    found = language_id.identify(docs, language_id.train(docs))
-    return found.where(found["lang_pred"] != language_id.UNDETERMINED).select(*docs.columns)
+    """Texts without a letter, which have no language, go; also where no row has a label to learn
+    from, so that a model without languages does not reject everything."""
+    model = language_id.train(docs)
+    if not model.languages:
+        return docs.where(language_id.has_letter(docs["text"]))
+    pred, score = fresh(docs.columns, "lang_pred", "score")
+    found = language_id.identify(docs, model, pred=pred, score=score)
+    return found.where(found[pred] != language_id.UNDETERMINED).select(*docs.columns)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -48,7 +54,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    root = f"{shared_dir(spark).rstrip('/')}/pipeline-{uuid.uuid4().hex}"
+    root = f"{shared_dir(spark)}/pipeline-{uuid.uuid4().hex}"
     for name, stage in STAGES:
         stage(spark, docs, sf_dir).write.parquet(f"{root}/{name}")
         docs = spark.read.parquet(f"{root}/{name}")
