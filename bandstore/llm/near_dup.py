@@ -216,7 +216,7 @@ def first_groups(lists: DataFrame) -> DataFrame:
 def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int, forest: bool) -> DataFrame:
     """Pairs (a, b) of a group (token, block) that agree on enough coordinates and whose sketches
     allow a link: a forest of the most alike, or all of different components (column component).
-    A group has up to 2 BLOCK members and goes to one task in sorted order."""
+    A group has some 4 BLOCK members at most and goes to one task in sorted order."""
     rows = grouped.join(classes.select("class", "n_shingles", "brief", "odd"), "class")
     keys = ["token", "block"]
     columns = [*keys, "class", "n_shingles", "brief", "odd"] + ([] if forest else ["component"])
@@ -229,12 +229,19 @@ def likely_pairs(grouped: DataFrame, classes: DataFrame, percent: int, forest: b
         sizes = table.column("n_shingles").to_numpy()
         briefs, odd = (_matrix(table.column(c).combine_chunks(), k) for c, k in (("brief", np.uint8), ("odd", np.uint64)))
         partners = np.repeat(starts + lengths, lengths) - np.arange(n) - 1
-        left = np.repeat(np.arange(n), partners)
-        right = left + 1 + np.arange(len(left)) - np.repeat(np.cumsum(partners) - partners, partners)
-        kept = may_link(odd[left], odd[right], sizes[left], sizes[right], percent)
-        left, right = left[kept], right[kept]
-        agree = (briefs[left] == briefs[right]).sum(axis=1)
-        left, right, agree = (x[agree >= least] for x in (left, right, agree))
+        upto = np.cumsum(partners)
+        parts, at = [], 0
+        while at < n:  # rows with about PAIRS_AT_ONCE pairs
+            to = max(at + 1, int(np.searchsorted(upto, (upto[at - 1] if at else 0) + PAIRS_AT_ONCE, "right")))
+            count = partners[at:to]
+            left = np.repeat(np.arange(at, to), count)
+            right = left + 1 + np.arange(len(left)) - np.repeat(np.cumsum(count) - count, count)
+            kept = may_link(odd[left], odd[right], sizes[left], sizes[right], percent)
+            left, right = left[kept], right[kept]
+            agree = (briefs[left] == briefs[right]).sum(axis=1)
+            parts.append([x[agree >= least] for x in (left, right, agree)])
+            at = to
+        left, right, agree = (np.concatenate(x) for x in zip(*parts, strict=True))
         if forest:
             chosen = _forest(left, right, np.bitwise_count(odd[left] ^ odd[right]).sum(axis=1, dtype=np.int64) - (agree << 16), n)
         else:
@@ -317,17 +324,18 @@ def with_component(rows: DataFrame, placed: DataFrame) -> DataFrame:
 def open_groups(lists: DataFrame, placed: DataFrame, scratch: Scratch) -> DataFrame:
     """(token, block, class, component): the groups in which the members outside a list's largest
     component meet all others. Lists within one component are closed. Members are cut into
-    blocks by a hash, those of the largest component (side 1) and the rest (side 0) for
-    themselves; a group holds two blocks of which one at least has side 0."""
+    blocks by a hash, those of the largest component and the rest for themselves; a group holds
+    two blocks, one of the rest at least. Blocks of the rest, mostly few, are larger, so that the
+    many of the largest component are repeated seldom."""
     at = scratch.write(with_component(lists, placed).select("token", "class", "component"), "labelled")
     counts = at.groupBy("token", F.xxhash64("component").alias("label")).agg(F.count(F.lit(1)).alias("n"))
     tops = counts.groupBy("token").agg(F.max(F.struct("n", "label")).alias("top"), F.sum("n").alias("all"))
     open_lists = tops.where(F.col("top.n") < F.col("all")).select(
         "token",
         F.col("top.label").alias("largest"),
-        F.ceil(2 * (F.col("all") - F.col("top.n")) / BLOCK).cast("int").alias("rest_blocks"),
-        F.ceil(2 * F.col("top.n") / BLOCK).cast("int").alias("top_blocks"),
-    )  # blocks of BLOCK / 2 members on average, as a hash deals them
+        F.ceil((F.col("all") - F.col("top.n")) / (2 * BLOCK)).cast("int").alias("rest_blocks"),
+        F.ceil(F.col("top.n") / BLOCK).cast("int").alias("top_blocks"),
+    )  # blocks of 2 BLOCK and of BLOCK members on average, as a hash deals them
     rows = at.join(open_lists, "token").withColumn("inside", F.xxhash64("component") == F.col("largest"))
     own = F.pmod(F.xxhash64(F.lit(31), "class"), F.when(F.col("inside"), F.col("top_blocks")).otherwise(F.col("rest_blocks")))
     rows = rows.withColumn("own", F.when(F.col("inside"), F.col("rest_blocks")).otherwise(0) + own)
