@@ -7,6 +7,7 @@ latest insertions can be taken back by emptying their slots."""
 
 from __future__ import annotations
 
+from collections.abc import Iterable
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -49,6 +50,15 @@ class ScalarEliminator:
             del self.coefs[slot], self.values[slot]
         del self.journal[mark:]
 
+    def insert_all(self, rows: Iterable[tuple[int, int, int]]) -> bool:
+        """Insert a group of rows as a whole; if one of them fails, none of them stays."""
+        mark = self.mark()
+        for row in rows:
+            if self.insert(*row)[0] == FAILED:
+                self.rollback(mark)
+                return False
+        return True
+
     def solve(self, free=lambda slot: 0) -> list[int]:
         """Values of all slots, from the right."""
         z = [0] * self.m

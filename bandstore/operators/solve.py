@@ -199,12 +199,19 @@ def solve_shards(shards: dict[int, Keys], p: BandParams) -> list[LayerTable]:
     tables: list[LayerTable] = []
     left = {s: k for s, k in shards.items() if len(k)}
     for layer in range(p.layers - 1):
-        jobs = [Job(k, layer, 0, s, table_starts(len(k), p.eps, "layered")) for s, k in left.items()]
-        if not jobs:
+        if not left:
             return tables
-        for job, (table, bumped) in zip(jobs, solve_layer(jobs, p, p.w, True), strict=True):
-            tables.append(table)
-            left[job.shard] = job.keys.take(np.flatnonzero(bumped))
+        again = dict(left)
+        for attempt in range(1 if np.isnan(p.empty_limit) else p.max_tries):
+            jobs = [Job(k, layer, attempt, s, table_starts(len(k), p.eps, "layered")) for s, k in again.items()]
+            for job, (table, bumped) in zip(jobs, solve_layer(jobs, p, p.w, True), strict=True):
+                if table.stats["empty"] > p.empty_limit * table.m and attempt + 1 < p.max_tries:
+                    continue  # emptier than asked: start over with new hashes
+                tables.append(table)
+                left[job.shard] = job.keys.take(np.flatnonzero(bumped))
+                del again[job.shard]
+            if not again:
+                break
         left = {s: k for s, k in left.items() if len(k)}
     return tables + _last_layer(left, p, p.layers - 1)
 

@@ -21,6 +21,12 @@ def overload(w: int, scheme: str, b: int) -> float:
     return -(3 if w <= 32 else 4) / w
 
 
+def head_tail(w: int, constant: float) -> tuple[int, float]:
+    """Bucket size and eps of the analysed variant: w*w / (C log2 w), and n / m = 1 + C log2 w / (8 w)."""
+    b = 1 << int(math.floor(math.log2(w * w / (constant * math.log2(w)))))
+    return b, 1 / (1 + constant * math.log2(w) / (8 * w)) - 1
+
+
 def two_thresholds(w: int, b: int, eps: float) -> tuple[int, int]:
     """The lower and upper threshold of the 2-bit scheme, linear in eps."""
     if w <= 32:
@@ -60,7 +66,9 @@ def thresholds(scheme: str, w: int, b: int, eps: float, c: int = 3) -> list[int]
 @dataclass(frozen=True)
 class BandParams:
     """w: band width; r: value bits; b: bucket size; eps: m/n - 1 of the overloaded layers
-    (of all slots for plain and zero); kind: layered, plain, zero or twohop."""
+    (of all slots for plain and zero); kind: layered, plain, zero or twohop. constant: C of the
+    headtail scheme; empty_limit: a layer with a greater share of empty slots starts over with
+    new hashes."""
 
     kind: str = "layered"
     r: int = 8
@@ -83,6 +91,8 @@ class BandParams:
     is_filter: bool = False
     range_bits: int = 0
     fixed_sizes: bool = False
+    constant: float = 2.0
+    empty_limit: float = math.nan
 
     def resolved(self) -> BandParams:
         """With b and eps filled in."""
@@ -90,8 +100,12 @@ class BandParams:
             raise ValueError("w must be 16, 32, 64 or 128, and 1 <= r <= 63")
         if self.kind in ("plain", "zero"):
             return replace(self, eps=0.1 if math.isnan(self.eps) else self.eps, b=self.b or 64, layers=1)
-        b = self.b or bucket_size(self.w, self.scheme)
-        eps = overload(self.w, self.scheme, b) if math.isnan(self.eps) else self.eps
+        if self.scheme == "headtail":
+            b, eps = head_tail(self.w, self.constant)
+            b, eps = self.b or b, eps if math.isnan(self.eps) else self.eps
+        else:
+            b = self.b or bucket_size(self.w, self.scheme)
+            eps = overload(self.w, self.scheme, b) if math.isnan(self.eps) else self.eps
         return replace(self, b=b, eps=eps)
 
     def thresholds(self) -> list[int]:

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from . import model
 from .functions import hashing
 from .operators import applications as apps
-from .operators import baselines, build, kernel, lookup, solve
+from .operators import baselines, build, external, kernel, lookup, solve
 from .params import BandParams
 from .plans import metrics, sql_functions, versions
 from .sources.shared import shared_dir
@@ -131,6 +131,26 @@ def queue_heights(spark, sf):
 # ---- functions ----------------------------------------------------------------------------------
 
 
+@query(ORDERS_SQL)
+def lookup_streamed(spark, sf):
+    """Layers built with two buckets of keys in memory at a time."""
+    df = orders(spark, sf)
+    s = external.build_streamed(df, ["o_orderkey"], "code", n_shards=2, r=3)
+    return lookup.lookup(s, df.select("o_orderkey"), ["o_orderkey"], out="code")
+
+
+@query("SELECT layer, TRUE AS same FROM (VALUES (0), (1), (2), (3)) t(layer)")
+def streamed_is_whole(spark, sf):
+    """Tables of the streamed build against those of whole shards, bit by bit."""
+    df, every = orders(spark, sf), ["shard", "layer"]
+    one = external.build_streamed(df, ["o_orderkey"], "code", n_shards=1, r=3).table
+    two = build.build(df, ["o_orderkey"], "code", n_shards=1, r=3, piece_starts=1 << 40).table
+    columns = ["z", "codes", "exceptions", "n_in", "n_bumped", "empty"]
+    both = one.select(*every, *columns).join(two.select(*every, *[F.col(c).alias(f"_{c}") for c in columns]), every, "full")
+    same = F.forall(F.array(*[F.col(c).eqNullSafe(F.col(f"_{c}")) for c in columns]), lambda x: x)
+    return both.groupBy(F.col("layer").cast("int").alias("layer")).agg(F.bool_and(same).alias("same"))
+
+
 def _lookup_orders(**options) -> Query:
     def run(spark, sf):
         df = orders(spark, sf)
@@ -150,6 +170,7 @@ for _name, _options in {
     "layered_1plus": {"scheme": "1plus"},
     "layered_1plus_range": {"scheme": "1plus", "range_bits": 16},
     "layered_headtail": {"scheme": "headtail"},
+    "layered_headtail_restart": {"scheme": "headtail", "constant": 4.0, "empty_limit": 0.01},
     "layered_single": {"scheme": "single"},
     "layered_cautious": {"mode": "cautious"},
     "layered_r2l_buckets": {"bucket_order": "r2l"},
@@ -519,6 +540,43 @@ def ranking_of_space(spark, sf):
     return worse.groupBy("a.name").agg(F.count(F.lit(1)).cast("int").alias("place"))
 
 
+VALUE_BITS = (1, 2, 4, 8, 12, 16)
+
+
+def _value_bits(spark, sf) -> DataFrame:
+    df = lines(spark, sf)
+    n = df.count()
+    rows = []
+    for r in VALUE_BITS:
+        for scheme in ("1plus", "2bit"):
+            s = build.build(df, LINE_KEY, r=r, b=128, scheme=scheme, n_shards=1)
+            rows.append((r, f"layered_{scheme}", metrics.space_report(s).first()["overhead"]))
+        for name in ("xor", "fuse", "quotient"):
+            bits = baselines.build(name, df, LINE_KEY, r=r, n_shards=1).table.agg(F.sum("bits")).first()[0]
+            rows.append((r, name, bits / n / r - 1))
+    return spark.createDataFrame(rows, "r int, name string, overhead double")
+
+
+@query()
+def sweep_value_bits(spark, sf):
+    """Measured overhead by value bits, r = 1 to 16, from stored bytes; one shard, as padding and
+    directory weigh on few keys: with 1,500 keys and r = 1, xor stores less than layers do."""
+    return _value_bits(spark, sf)
+
+
+@query("SELECT r, 'layered' AS family FROM (VALUES " + ", ".join(f"({r})" for r in VALUE_BITS) + ") t(r)")
+def smallest_by_value_bits(spark, sf):
+    """The family that stores the fewest bits for each r."""
+    return _value_bits(spark, sf).groupBy("r").agg(F.split(F.min_by("name", "overhead"), "_")[0].alias("family"))
+
+
+@query()
+def success_rate_wide(spark, sf):
+    """Share of 20 seeds for which a plain system of w = 128 over all orders fits, by eps; it is one
+    half near 3 percent at a million keys, and at less for fewer."""
+    return metrics.success_curve(orders(spark, sf), ["o_orderkey"], 128, [0.01, 0.02, 0.03, 0.04, 0.05])
+
+
 @query("SELECT eps_percent, TRUE AS ok FROM (VALUES (10), (20), (30)) t(eps_percent)")
 def zero_span_report(spark, sf):
     """Rate of foreign keys within the span over all orders and lines: small at every eps."""

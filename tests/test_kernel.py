@@ -130,3 +130,28 @@ def test_contradicting_keys_raise():
     both = solve.Keys.concat([k, solve.Keys(k.hi, k.lo, k.value ^ np.uint64(1))])
     with pytest.raises(RuntimeError):
         solve.solve_shards({0: both}, BandParams(kind="plain", max_tries=5).resolved())
+
+
+def test_head_and_tail_are_groups():
+    """Thresholds of the headtail scheme against inserting tails, then heads, as transactions."""
+    from bandstore.operators import kernel
+
+    rng = np.random.default_rng(8)
+    keys = solve.Keys(*(rng.integers(0, 1 << 63, 4000).astype(np.uint64) for _ in range(2)), rng.integers(0, 8, 4000).astype(np.uint64))
+    p = BandParams(r=3, w=32, scheme="headtail", piece_starts=1 << 40).resolved()
+    n_starts = solve.table_starts(4000, p.eps, "layered")
+    table, bumped = solve.solve_layer([solve.Job(keys, 0, 0, 0, n_starts)], p, p.w, True)[0]
+    start = hashing.starts(keys.hi, n_starts, 0, 0)
+    coef = hashing.coefficients(keys.lo, p.w, p.coef, 0, 0)[0]
+    system, gone = kernel.ScalarEliminator(table.m), set()
+    head = -(-3 * p.w // 8)
+    for bucket in range(-(-n_starts // p.b)):
+        at = np.flatnonzero(start // p.b == bucket)
+        tail, first = (at[(start[at] % p.b >= head) == x].tolist() for x in (True, False))
+        row = lambda i: (int(start[i]), int(coef[i]), int(keys.value[i]))
+        if not system.insert_all(map(row, tail)):
+            gone |= set(at.tolist())
+        elif not system.insert_all(map(row, first)):
+            gone |= set(first)
+    assert set(np.flatnonzero(bumped).tolist()) == gone and 0 < len(gone) < 2000
+    assert table.stats["empty"] == table.m - len(system.coefs)

@@ -307,3 +307,58 @@ def test_success_and_span_cover_the_table(spark):
     for shard_keys in (1000, 1 << 20):
         curve = {r["eps"]: r["success"] for r in metrics.success_curve(df, ["k"], 64, [-0.2, 0.3], 4, shard_keys=shard_keys).collect()}
         assert curve[0.3] == 1.0 > curve[-0.2]
+
+
+@pytest.mark.parametrize(
+    "options",
+    [{}, {"scheme": "1plus"}, {"w": 128, "mode": "cautious"}, {"w": 16, "layout": "contiguous"}, {"scheme": "headtail", "order": "l2r"}],
+)
+def test_streamed_build_is_the_build(orders, options):
+    """Two buckets at a time give the tables that whole shards give, bit by bit."""
+    from bandstore.operators import external
+
+    streamed = external.build_streamed(orders, ["o_orderkey"], "code", n_shards=2, r=3, **options)
+    whole = build.build(orders, ["o_orderkey"], "code", n_shards=2, r=3, piece_starts=1 << 40, **options)
+    columns = [c for c in whole.table.columns if c not in ("row_ops", "n_redundant")]
+    ordered = lambda s: s.table.select(*columns).orderBy("shard", "layer").collect()
+    assert ordered(streamed) == ordered(whole)
+    got = lookup.lookup(streamed, orders, ["o_orderkey"], "broadcast", out="v")
+    assert got.where("v is null or v != code").count() == 0
+
+
+def test_streamed_build_holds_two_buckets(orders):
+    from bandstore.operators import external
+    from bandstore.params import BandParams
+
+    p = BandParams(r=1, n_shards=1, is_filter=True).resolved()
+    pairs = build.digests(orders, ["o_orderkey"], "xx128", 1).selectExpr("0 AS shard", "hi", "lo", "0L AS value")
+    n = pairs.count()
+    sized = pairs.selectExpr("shard", f"{n}L AS n", "hi", "lo", "value").mapInArrow(external._placing(p, 0), external.PLACED)
+    dealt = sized.coalesce(1).sortWithinPartitions("bucket", F.desc("pos"))
+    rows = dealt.mapInArrow(external._forward(p, 0), external.ECHELON)
+    assert n > 4 * p.b and rows.agg(F.max("resident")).first()[0] <= 2.5 * p.b
+
+
+def test_streamed_build_of_odd_tables(spark, orders):
+    from bandstore.operators import external
+
+    nothing = external.build_streamed(orders.where("false"), ["o_orderkey"], "code", r=3)
+    assert nothing.table.count() == 0
+    few = spark.createDataFrame([(1, 5), (1, 5), (None, 3), (2, 0)], "k long, v long")
+    got = lookup.lookup(external.build_streamed(few, ["k"], "v", r=3), few.where("k is not null"), ["k"], out="found")
+    assert got.where("found != v").count() == 0
+    with pytest.raises(ValueError):
+        external.build_streamed(few, ["k"], kind="zero")
+
+
+@pytest.mark.parametrize("strategy", ["broadcast", "shuffle", "sql"])
+def test_head_and_tail_start_over(orders, strategy):
+    """A layer emptier than asked starts over with new hashes; lookups follow."""
+    easy = build.build(orders, ["o_orderkey"], "code", n_shards=2, r=3, scheme="headtail", constant=4.0)
+    shares = sorted(r[0] for r in easy.table.where("layer = 0").selectExpr("empty / m").collect())
+    limit = shares[0] * 0.97
+    hard = build.build(orders, ["o_orderkey"], "code", n_shards=2, r=3, scheme="headtail", constant=4.0, empty_limit=limit)
+    first = hard.table.where("layer = 0")
+    assert first.where("attempt > 0").count() >= 1
+    assert first.where(f"empty > {limit} * m and attempt < {hard.params.max_tries - 1}").count() == 0
+    assert lookup.lookup(hard, orders, ["o_orderkey"], strategy, out="v").where("v != code").count() == 0
