@@ -202,7 +202,7 @@ def solve_shards(shards: dict[int, Keys], p: BandParams) -> list[LayerTable]:
         if not left:
             return tables
         again = dict(left)
-        for attempt in range(1 if np.isnan(p.empty_limit) else p.max_tries):
+        for attempt in range(p.max_tries):
             jobs = [Job(k, layer, attempt, s, table_starts(len(k), p.eps, "layered")) for s, k in again.items()]
             for job, (table, bumped) in zip(jobs, solve_layer(jobs, p, p.w, True), strict=True):
                 if table.stats["empty"] > p.empty_limit * table.m and attempt + 1 < p.max_tries:

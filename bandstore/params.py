@@ -68,7 +68,7 @@ class BandParams:
     """w: band width; r: value bits; b: bucket size; eps: m/n - 1 of the overloaded layers
     (of all slots for plain and zero); kind: layered, plain, zero or twohop. constant: C of the
     headtail scheme; empty_limit: a layer with a greater share of empty slots starts over with
-    new hashes."""
+    new hashes, so none does at 1."""
 
     kind: str = "layered"
     r: int = 8
@@ -92,7 +92,7 @@ class BandParams:
     range_bits: int = 0
     fixed_sizes: bool = False
     constant: float = 2.0
-    empty_limit: float = math.nan
+    empty_limit: float = 1.0
 
     def resolved(self) -> BandParams:
         """With b and eps filled in."""
