@@ -155,3 +155,12 @@ def test_head_and_tail_are_groups():
             gone |= set(first)
     assert set(np.flatnonzero(bumped).tolist()) == gone and 0 < len(gone) < 2000
     assert table.stats["empty"] == table.m - len(system.coefs)
+
+
+def test_bucket_metadata_parts_a_bucket_with_more_keys_than_cells():
+    """A dozen keys make one bucket, for which often no seed leaves every cell to one key at most."""
+    from bandstore.operators import baselines
+
+    for seed in range(20):
+        k = keys(12, seed=seed)
+        assert (baselines.build_meta_buckets("meta_buckets", k, 8).value(k.hi, k.lo) == k.value).all()
