@@ -164,3 +164,16 @@ def test_bucket_metadata_parts_a_bucket_with_more_keys_than_cells():
     for seed in range(20):
         k = keys(12, seed=seed)
         assert (baselines.build_meta_buckets("meta_buckets", k, 8).value(k.hi, k.lo) == k.value).all()
+
+
+@pytest.mark.parametrize("kind", ["sparse3", "sparse4", "twoblock"])
+def test_gauss_tables_answer_all_shards_of_one_try_together(kind, monkeypatch):
+    """Keys of 20 shards, some of which took further tries; a step for each try, not for each shard."""
+    from bandstore.operators import baselines
+
+    k = keys(20 * baselines.GAUSS_SHARD + 7)
+    table = baselines.build_gauss(kind, k, 8)
+    steps, rows_of = [], getattr(baselines, "two_blocks" if kind == "twoblock" else "sparse_rows")
+    monkeypatch.setattr(baselines, rows_of.__name__, lambda *a: steps.append(1) or rows_of(*a))
+    assert (table.value(k.hi, k.lo) == k.value).all()
+    assert len(steps) == len(set(table.attempts)) < table.shards
