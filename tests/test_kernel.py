@@ -177,3 +177,11 @@ def test_gauss_tables_answer_all_shards_of_one_try_together(kind, monkeypatch):
     monkeypatch.setattr(baselines, rows_of.__name__, lambda *a: steps.append(1) or rows_of(*a))
     assert (table.value(k.hi, k.lo) == k.value).all()
     assert len(steps) == len(set(table.attempts)) < table.shards
+
+
+def test_figures_alone_need_no_back_substitution(monkeypatch):
+    p = BandParams(kind="plain", w=64, r=1, eps=0.1).resolved()
+    job = solve.Job(keys(2000, 1), 0, 0, 0, solve.table_starts(2000, 0.1, "plain"))
+    whole = solve.solve_layer([job], p, 64, False)[0][0]
+    monkeypatch.setattr(kernel, "back_substitute", None)
+    assert solve.solve_layer([job], p, 64, False, values=False)[0][0].stats == whole.stats
